@@ -29,9 +29,9 @@ from pyspark.sql import DataFrame
 from .tokens import CachedEncoder, encoder
 
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-SENTENCE_COST, INSIDE_COST = 2.0, 48.0
+SENTENCE_COST, INSIDE_COST = 1.0, 16.0
 #: Sentence ends nearer than this to the one before are no candidates; inside longer sentences, one candidate each.
-SPACING, FALLBACK = 24, 64
+SPACING, FALLBACK = 16, 24
 
 
 def choose_cuts(positions: np.ndarray, penalties: np.ndarray, size: int, exact: bool = False) -> list[int]:
@@ -73,9 +73,9 @@ def candidates(doc_ends: np.ndarray, sentence_ends: np.ndarray, n: int) -> tuple
     thin = sentence_ends[np.flatnonzero(np.diff(sentence_ends // SPACING, append=-1))] if len(sentence_ends) else sentence_ends
     known = np.union1d(thin, doc_ends)
     gaps = np.diff(known, prepend=0)
-    long = np.flatnonzero(gaps > 4 * FALLBACK)
+    long = np.flatnonzero(gaps > 2 * FALLBACK)
     inside = [np.arange(known[k] - gaps[k] + FALLBACK, known[k], FALLBACK) for k in long]
-    if n - (known[-1] if len(known) else 0) > 4 * FALLBACK:
+    if n - (known[-1] if len(known) else 0) > 2 * FALLBACK:
         inside.append(np.arange((known[-1] if len(known) else 0) + FALLBACK, n, FALLBACK))
     positions = np.unique(np.concatenate([known, *inside, [n]])).astype(np.int64)
     penalties = np.full(len(positions), INSIDE_COST)
