@@ -29,15 +29,16 @@ from pyspark.sql import DataFrame
 from .tokens import CachedEncoder, encoder
 
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-SENTENCE_COST, INSIDE_COST = 1.0, 16.0
+SENTENCE_COST, INSIDE_COST = 0.5, 4.0
 #: Sentence ends nearer than this to the one before are no candidates; inside longer sentences, one candidate each.
 SPACING, FALLBACK = 16, 24
 
 
-def choose_cuts(positions: np.ndarray, penalties: np.ndarray, size: int, exact: bool = False) -> list[int]:
+def choose_cuts(positions: np.ndarray, penalties: np.ndarray, size: int, exact: bool = False, open_end: bool = False) -> list[int]:
     """Ends of the windows of least cost over the stream [0, positions[-1]); positions ascend, gaps at most size.
 
     exact: lengths that are powers of two cost no padding (for short streams; 12 more transitions a cut).
+    open_end: the last window costs nothing, as what follows decides about it.
     """
     p, c = positions.tolist(), penalties.tolist()
     cost, back = [0.0], [-1]
@@ -51,6 +52,8 @@ def choose_cuts(positions: np.ndarray, penalties: np.ndarray, size: int, exact:
             keys.popleft()
         best, i = keys[0]
         best += pen + size - pos
+        if open_end and j == len(p):
+            best, i = min((cost[k], k) for k in range(j) if at[k] >= low)
         for w in powers:
             k = place.get(pos - w)
             if k is not None and cost[k] + pen < best:
@@ -107,20 +110,20 @@ class Packer:
         doc_ends = np.cumsum([d[2] for d in self.docs])
         sentence_ends = np.flatnonzero(self.ends_sentence[ids]) + 1
         n = len(ids)
-        tail = max(0, n - self.size) if last else n
+        tail = n if n > self.size else 0 if last else n
         positions, penalties = candidates(doc_ends[doc_ends <= tail], sentence_ends[sentence_ends <= tail], tail) if tail else (np.zeros(0, np.int64), np.zeros(0))
-        ends = choose_cuts(positions, penalties, self.size) if tail else []
+        ends = choose_cuts(positions, penalties, self.size, open_end=True) if tail else []
         if last:
-            # the last full window's start is chosen with the tail: every position from there on may be a cut
-            start = ends[-2] if len(ends) > 1 else 0
-            ends = ends[:-2] + ([start] if start else [])
+            # what the open last window holds is cut anew: every position in it may be a cut
+            ends = ends[:-1]
+            start = ends[-1] if ends else 0
             rest = np.arange(start + 1, n + 1)
-            cost = np.full(len(rest), INSIDE_COST / 4)
+            cost = np.full(len(rest), INSIDE_COST)
             cost[np.isin(rest, sentence_ends)] = SENTENCE_COST
             cost[np.isin(rest, doc_ends)] = 0.0
             ends += [start + e for e in choose_cuts(rest - start, cost, self.size, exact=True)]
         else:
-            ends = ends[:-2]  # the last ones would be chosen without what follows
+            ends = ends[:-3]  # the last ones would be chosen without what follows
         yield from self._emit(ids, ends)
         done = ends[-1] if ends else 0
         self.ids, self.parts, self.held = ids[done:], [], n - done
