@@ -169,39 +169,30 @@ class ArrayQuery:
 
 
 @dataclass(frozen=True)
-class Box:
-    """Normal form of a range query: a half-open integer box and one attribute range."""
+class Region:
+    """Normal form of a query: for each dimension disjoint half-open runs of coordinates, and disjoint attribute ranges."""
 
-    lo: tuple[int, ...]
-    hi: tuple[int, ...]
-    attr: Constraint
+    dims: tuple[tuple[tuple[int, int], ...], ...]
+    attr: tuple[Constraint, ...]
 
     @property
     def empty(self) -> bool:
-        return self.attr.empty or any(a >= b for a, b in zip(self.lo, self.hi))
+        return not self.attr or not all(self.dims)
 
 
-def complete_query(q: ArrayQuery, spec: ArraySpec) -> Box:
-    """Fill open sides and missing dimensions from the domain, clip to it, and make upper bounds exclusive."""
+def complete_query(q: ArrayQuery, spec: ArraySpec) -> Region:
+    """Fill open sides and missing dimensions from the domain, clip to it, make upper bounds exclusive; sets become runs."""
     unknown = set(q.dims) - set(spec.names)
     if unknown:
         raise ValueError(f"unknown dimensions: {sorted(unknown)}")
-    lo, hi = [], []
+    dims = []
     for d in spec.dims:
-        c = q.dims.get(d.name, Constraint())
-        if c.values is not None:
-            runs = to_ranges(c, True)
-            if len(runs) > 1:
-                raise ValueError("a set with gaps is a membership query")
-            c = runs[0] if runs else Constraint(1, 0)
-        a = d.lo if c.lo is None else math.ceil(c.lo) + (not c.lo_incl and float(c.lo).is_integer())
-        b = d.hi if c.hi is None else (math.floor(c.hi) + 1 if c.hi_incl else math.ceil(c.hi))
-        lo.append(max(a, d.lo))
-        hi.append(min(b, d.hi))
-    attr = q.attr
-    if attr.values is not None:
-        runs = to_ranges(attr, False)
-        if len(runs) > 1:
-            raise ValueError("a set of values is a membership query")
-        attr = runs[0] if runs else Constraint(1.0, 0.0)
-    return Box(tuple(lo), tuple(hi), attr)
+        runs = []
+        for c in to_ranges(q.dims.get(d.name, Constraint()), True):
+            a = d.lo if c.lo is None else math.ceil(c.lo) + (not c.lo_incl and float(c.lo).is_integer())
+            b = d.hi if c.hi is None else (math.floor(c.hi) + 1 if c.hi_incl else math.ceil(c.hi))
+            a, b = max(a, d.lo), min(b, d.hi)
+            if a < b:
+                runs.append((a, b))
+        dims.append(tuple(runs))
+    return Region(tuple(dims), tuple(to_ranges(q.attr, False)))
