@@ -150,14 +150,14 @@ def sentence_end_ids(enc: CachedEncoder) -> np.ndarray:
     return np.array([bool(re.fullmatch(r"[^\w\s]*[.!?][^\w\s]*(</w>)?", n.strip("ĠĊ"))) and not n.startswith("<|") for n in names])
 
 
-def pack(docs: DataFrame, path: str, size: int = 4096, end_id: int | None = 2, horizon: int = 600_000) -> DataFrame:
+def pack(docs: DataFrame, path: str, size: int = 4096, end_id: int | None = 2, horizon: int = 600_000, cached_pieces: int = 400_000) -> DataFrame:
     """Pieces of documents in sequences of at most `size` ids; sequence_id is unique over all partitions.
 
     No shuffle: each input partition is a stream of its own, and the same split gives the same windows again.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = encoder(path)
+        enc = encoder(path, cached_pieces)
         if not hasattr(enc, "sentence_ends"):
             enc.sentence_ends = sentence_end_ids(enc)
         packer, base = Packer(size, enc.sentence_ends, horizon), TaskContext.get().partitionId() << 40
