@@ -36,7 +36,8 @@ def global_edges(cells: DataFrame, columns: list[str], bins: int, binning: str =
         fine = global_edges(cells, columns, 256)
         out = {}
         for c, e in fine.items():
-            at = F.size(F.filter(F.array(*[F.lit(float(x)) for x in e]), lambda x, c=c: x <= F.col(c)))
+            value = F.col(c)
+            at = F.size(F.filter(F.array(*[F.lit(float(x)) for x in e]), lambda x: x <= value))  # noqa: B023
             freq = {r[0] - 1: r[1] for r in cells.groupBy(at.alias("k")).count().collect()}
             out[c] = E.v_optimal(e, np.array([freq.get(k, 0) for k in range(len(e))], float), bins)[0]
         return out

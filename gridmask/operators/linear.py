@@ -43,7 +43,10 @@ def with_chunks(cells: DataFrame, spec: ArraySpec) -> DataFrame:
 
 def with_irregular_chunks(cells: DataFrame, cuts: dict[str, Sequence[int]]) -> DataFrame:
     """chunk_coord from ascending lower cuts by dimension: the number of cuts at or below the coordinate, less one."""
-    at = [F.size(F.filter(F.array(*[F.lit(int(x)) for x in xs]), lambda e, d=d: e <= F.col(d))) - 1 for d, xs in cuts.items()]
+    def below(d: str, xs: Sequence[int]) -> Column:
+        return F.size(F.filter(F.array(*[F.lit(int(x)) for x in xs]), lambda e: e <= F.col(d))) - 1
+
+    at = [below(d, xs) for d, xs in cuts.items()]
     return cells.withColumn("chunk_coord", F.array(*[a.cast("long") for a in at]))
 
 

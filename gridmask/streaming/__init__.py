@@ -1,0 +1 @@
+"""Append and windows over streams."""
