@@ -1,16 +1,17 @@
 """Queries over the chunk-tree index: masks over children, descent by levels, leaf evaluation, estimates.
 
-The descent takes one job for each of the few levels; its frontier goes to the shared folder, never to the driver.
-Masks are bitwise Column expressions over 64-bit words.
+The few top levels are dense and walked in memory; below them the descent takes one job for each level, whose frontier
+goes to the shared folder, never to the driver. Masks there are bitwise Column expressions over 64-bit words.
 Rounding is outward for "partial or more" and inward for "complete", so bins that were merged cost more descents but
 never a wrong row. A child is complete when its whole value range and box lie inside the query.
 """
 
 from __future__ import annotations
 
+from bisect import bisect_left, bisect_right
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
-from functools import reduce
+from functools import cache, reduce
 
 import numpy as np
 import pyarrow as pa
@@ -98,7 +99,20 @@ class DimMasks:
     from_: list[list[list[int]]]
     upto: list[list[list[int]]]
 
+    @property
+    def ints(self) -> dict[str, list[list[int]]]:
+        """The same masks as whole numbers."""
+        return _ints(self.fanout)
 
+
+@cache
+def _ints(fanout: tuple[int, ...]) -> dict[str, list[list[int]]]:
+    m = dim_masks(fanout)
+    joined = lambda words: sum((w & ((1 << 64) - 1)) << (64 * i) for i, w in enumerate(words))
+    return {k: [[joined(w) for w in rows] for rows in getattr(m, k)] for k in ("at", "from_", "upto")}
+
+
+@cache
 def dim_masks(fanout: tuple[int, ...]) -> DimMasks:
     digits = np.array(linear.slot_digits(fanout))
     n = len(digits)
@@ -187,23 +201,86 @@ def expand(rows: DataFrame, index: Index, complete: Words, partial: Words, keep:
     return kids.select(*keep, F.shiftleft("z", index.step).bitwiseOR(F.element_at(zs, F.col("k.slot") + 1)).alias("z"), F.col("k.complete").alias("complete"))
 
 
+def dense_masks(row: dict, region: Region, m: DimMasks, spans: list[int], domain: list[int], exact: bool) -> tuple[int, int]:
+    """node_masks for one node of a dense level, on whole-number bitmaps: (complete, partial)."""
+    edges, present = row["edges"], row["present"]
+
+    def family(name: str, k: int, first: int) -> int:
+        stored_, i = row[name], k - first
+        return 0 if i < 0 else stored_[min(i, len(stored_) - 1)]
+
+    below = lambda v: bisect_right(edges, v) - 1
+    edge = lambda v: int(edges[bisect_left(edges, v)] == v) if bisect_left(edges, v) < len(edges) else 0
+    some = all_ = 0
+    for c in region.attr:
+        begun, whole = present, present
+        if c.hi is not None:
+            shift = 0 if c.hi_incl else edge(c.hi)
+            begun = family("started", below(c.hi) - shift, 0)
+            whole &= family("ended", below(c.hi) - 1 - shift, -1)
+        if c.lo is not None:
+            shift = edge(c.lo) if c.lo_incl else 0
+            begun &= ~family("ended", below(c.lo) - 1 - shift, -1)
+            whole &= ~family("started", below(c.lo) - shift, 0)
+        some, all_ = some | begun, all_ | whole
+    cover = full = present
+    for d, runs in enumerate(region.dims):
+        start, span, f = row["lo"][d], spans[d], m.fanout[d]
+        end, touched, inside = min(start + span * f, domain[d]), 0, 0
+        for a, b in runs:
+            if a >= end or b <= start:
+                continue
+            low, high = max(0, (a - start) // span), min(f - 1, (b - 1 - start) // span)
+            t, cut = m.ints["from_"][d][low] & m.ints["upto"][d][high], 0
+            if a > start and not (exact and (a - start) % span == 0):
+                cut |= m.ints["at"][d][low]
+            if b < end and not (exact and (b - start) % span == 0):
+                cut |= m.ints["at"][d][high]
+            touched, inside = touched | t, inside | t & ~cut
+        cover, full = cover & touched, full & inside
+    complete = all_ & full
+    return complete, (some | all_) & cover & ~complete
+
+
 def descend(index: Index, region: Region, exact: bool = True, levels: int | None = None) -> list[tuple[int, DataFrame]]:
-    """[(level of the children, (z, complete))], from the root's children down to leaves or after `levels` steps."""
+    """[(level of the children, (z, complete))], from the root's children down to leaves or after `levels` steps.
+
+    Dense levels are walked in memory; below them each level is one job.
+    """
     spark = index.cells.sparkSession
     out: list[tuple[int, DataFrame]] = []
     if region.empty:
         return [(0, spark.createDataFrame([], "z long, complete boolean"))]
     frontier: DataFrame | None = None
+    partial: list[int] | None = [0]
+    m, zs = dim_masks(index.fanout), linear.slot_z(index.fanout)
+    domain = [d.hi for d in index.spec.dims]
     for level in range(index.height, 0, -1):
         if levels is not None and len(out) >= levels:
             break
-        rows = index.level(level).where(~disjoint(region))
-        if frontier is not None:
-            rows = rows.join(frontier.where(~F.col("complete")).select("z"), "z", "left_semi")
-        # a frontier is small beside its level; written down, it is worked out once for all that follows
-        kids = written(expand(rows, index, *node_masks(index, region, level, exact)), "frontier")
-        out.append((level - 1, kids))
-        frontier = kids
+        nodes = index.dense(level) if partial is not None else None
+        if nodes is not None:
+            kids: list[tuple[int, bool]] = []
+            for z in partial:
+                row = nodes.get(z)
+                if row is None or not any((c.hi is None or row["vmin"] <= c.hi) and (c.lo is None or row["vmax"] >= c.lo) for c in region.attr):
+                    continue
+                whole, some = dense_masks(row, region, m, index.child_span(level), domain, exact)
+                for bits, flag in ((whole, True), (some, False)):
+                    while bits:
+                        low = bits & -bits
+                        kids.append((z << index.step | zs[low.bit_length() - 1], flag))
+                        bits ^= low
+            table = pa.table({"z": pa.array([k[0] for k in kids], pa.int64()), "complete": pa.array([k[1] for k in kids], pa.bool_())})
+            frontier = spark.createDataFrame(table)
+            partial = [k[0] for k in kids if not k[1]]
+        else:
+            rows = index.level(level).where(~disjoint(region))
+            if frontier is not None:
+                rows = rows.join(frontier.where(~F.col("complete")).select("z"), "z", "left_semi")
+            # a frontier is small beside its level; written down, it is worked out once for all that follows
+            frontier, partial = written(expand(rows, index, *node_masks(index, region, level, exact)), "frontier"), None
+        out.append((level - 1, frontier))
     return out
 
 

@@ -12,7 +12,7 @@ import math
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
-from dataclasses import asdict, dataclass, replace
+from dataclasses import asdict, dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -80,6 +80,22 @@ class Index:
     cells: DataFrame
     leaves: DataFrame
     nodes: list[DataFrame]
+    #: Levels of at most dense_rows nodes are kept as plain rows after their first use, as the index's top is small.
+    dense_rows: int = 4096
+    _dense: dict = field(default_factory=dict)
+
+    def dense(self, k: int) -> dict[int, dict] | None:
+        """Rows of level k by Z code, if the grid has at most dense_rows nodes there; else None."""
+        bound = math.prod(-(-g // f**k) for g, f in zip(self.spec.grid, self.fanout))
+        if bound > self.dense_rows:
+            return None
+        if k not in self._dense:
+            joined = lambda words: sum((w & ((1 << 64) - 1)) << (64 * i) for i, w in enumerate(words))
+            rows = {}
+            for r in self.level(k).select("z", "lo", "vmin", "vmax", "edges", "started", "ended", "present").collect():
+                rows[r.z] = {"lo": r.lo, "vmin": r.vmin, "vmax": r.vmax, "edges": r.edges, "started": [joined(w) for w in r.started], "ended": [joined(w) for w in r.ended], "present": joined(r.present)}
+            self._dense[k] = rows
+        return self._dense[k]
 
     @property
     def fanout(self) -> tuple[int, ...]:
