@@ -44,11 +44,6 @@ class ArrayDef:
     fanout: tuple[int, ...] | None = None
 
 
-def _lineitem(dims: dict[str, F.Column], attr: str = "l_extendedprice"):
-    return lambda spark, d: as_array(load(spark, d, "lineitem"), dims, F.col(attr), "max")
-
-
-_PK, _SK = F.col, F.col
 ARRAYS: dict[str, ArrayDef] = {
     "a2": ArrayDef(lambda s, d: as_array(load(s, d, "lineitem"), {"partkey": F.col("l_partkey"), "suppkey": F.col("l_suppkey")}, F.col("l_extendedprice")), ("partkey", "suppkey"), (32, 32), "SELECT l_partkey AS partkey, l_suppkey AS suppkey, max(l_extendedprice) AS value FROM lineitem GROUP BY 1, 2"),
     "a2q": ArrayDef(lambda s, d: as_array(load(s, d, "lineitem"), {"partkey": F.col("l_partkey"), "suppkey": F.col("l_suppkey")}, F.col("l_quantity")), ("partkey", "suppkey"), (32, 32), "SELECT l_partkey AS partkey, l_suppkey AS suppkey, max(l_quantity) AS value FROM lineitem GROUP BY 1, 2"),
