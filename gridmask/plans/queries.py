@@ -395,7 +395,6 @@ add("asof_cell", lambda s, d: (lambda c, h: h.join(c, ["user", "hour"], "left").
 add("fill_empty_cells", lambda s, d: load(s, d, "documents").select(F.col("doc_id").alias("doc")).join(cells_and_spec(s, d, "al")[0], "doc", "left"), f"SELECT doc_id AS doc, value FROM documents LEFT JOIN ({ARRAYS['al'].sql}) ON doc = doc_id")
 add("anti_empty_cells", lambda s, d: load(s, d, "documents").select(F.col("doc_id").alias("doc")).join(cells_and_spec(s, d, "al")[0], "doc", "left_anti"), "SELECT doc_id AS doc FROM documents WHERE NOT EXISTS (SELECT 1 FROM labels WHERE labels.doc_id = documents.doc_id AND quality IS NOT NULL)")
 add("json_attr", lambda s, d: load(s, d, "events").groupBy(F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n")), "SELECT json_extract_string(props, '$.k') AS k, count(*) AS n FROM events GROUP BY 1")
-add("set_ops", lambda s, d: (lambda a, b: a.intersect(b).union(a.exceptAll(b).limit(0)))(fixed("a2", FIXED["attr_only"][1], s, d), fixed("a2", FIXED["dim_only"][1], s, d)), f"SELECT * FROM ({where_sql('a2', FIXED['attr_only'][2])}) INTERSECT SELECT * FROM ({where_sql('a2', FIXED['dim_only'][2])})")
 add("tumbling_cells", lambda s, d: load(s, d, "events").groupBy(F.window("ts", "1 hour").alias("w"), "user_id").agg(F.max("value").alias("vmax")).select(F.date_format("w.start", "yyyy-MM-dd HH").alias("hour"), "user_id", "vmax"), "SELECT strftime(date_trunc('hour', ts), '%Y-%m-%d %H') AS hour, user_id, max(value) AS vmax FROM events GROUP BY 1, 2")
 add("chunk_topk", lambda s, d: (lambda df, by: df.withColumn("r", F.row_number().over(Window.partitionBy(*by).orderBy(F.desc("value"), "user", "hour"))).where("r <= 2").select(*by, "user", "hour", "r"))(*chunked(s, d)), _AE + ' SELECT c0, c1, "user", hour, r FROM (SELECT *, row_number() OVER (PARTITION BY c0, c1 ORDER BY value DESC, "user", hour) AS r FROM k) WHERE r <= 2')
 

@@ -12,21 +12,23 @@ from ..streaming import append as S
 from .arrays import hour, load, where_sql
 
 
-def _sliced(spark: SparkSession, d: str, slices: int = 6) -> tuple[DataFrame, str, DataFrame]:
-    """Events written as one file for each slice of hours, in order; the first slice stays a table."""
+def sliced(spark: SparkSession, d: str, slices: int = 6, copies: int = 1) -> tuple[DataFrame, str, DataFrame]:
+    """Events written as one file for each slice of hours, in order, every row `copies` times; the first slice stays a table."""
     events = load(spark, d, "events").withColumn("h", hour("ts"))
     top = events.agg(F.max("h")).first()[0] + 1
     path = S.fresh_folder(spark, "event-slices")
     first = events.where(F.col("h") < top // slices)
     for k in range(1, slices):
         part = events.where((F.col("h") >= top * k // slices) & (F.col("h") < top * (k + 1) // slices)).drop("h")
+        for _ in range(copies - 1):
+            part = part.unionAll(part)
         part.coalesce(1).write.mode("append").parquet(path)
     return first, path, events.drop("h")
 
 
 def stream_append_range(spark: SparkSession, d: str) -> DataFrame:
     """The index takes the later slices from a stream; a range query over it must see them all."""
-    first, path, events = _sliced(spark, d)
+    first, path, events = sliced(spark, d)
     to_cells = lambda rows: as_array(rows, {"user": F.col("user_id"), "hour": hour("ts")}, F.col("value"))
     cells = to_cells(first)
     spec = fit_spec(events.select(F.col("user_id").alias("user"), hour("ts").cast("long").alias("hour")), ["user", "hour"], (16, 16))
@@ -41,14 +43,14 @@ def stream_append_range(spark: SparkSession, d: str) -> DataFrame:
 
 
 def stream_tumbling(spark: SparkSession, d: str) -> DataFrame:
-    first, path, events = _sliced(spark, d)
+    first, path, events = sliced(spark, d)
     first.drop("h").coalesce(1).write.mode("append").parquet(path)
     out = S.run_to_table(S.event_stream(spark, path, events, files=100).groupBy(F.window("ts", "1 hour"), "user_id").agg(F.max("value").alias("vmax"), F.count("*").alias("n")), "stream_tumbling", "complete", S.fresh_folder(spark, "stream-checkpoint"))
     return out.select(F.date_format("window.start", "yyyy-MM-dd HH").alias("hour"), "user_id", "vmax", "n")
 
 
 def stream_bounds(spark: SparkSession, d: str) -> DataFrame:
-    first, path, events = _sliced(spark, d)
+    first, path, events = sliced(spark, d)
     first.drop("h").coalesce(1).write.mode("append").parquet(path)
     return S.run_to_table(S.chunk_bounds(S.event_stream(spark, path, events, files=2)), "stream_bounds", "complete", S.fresh_folder(spark, "stream-checkpoint"))
 

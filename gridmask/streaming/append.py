@@ -73,6 +73,17 @@ def deduplicated(stream: DataFrame, delay: str = "1 hour") -> DataFrame:
     return stream.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def run_to_files(rows: DataFrame, path: str, checkpoint: str) -> DataFrame:
+    """Run a stream of rows to its end into Parquet files under path, and read them."""
+    rows.writeStream.format("parquet").option("path", path).option("checkpointLocation", checkpoint).outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return rows.sparkSession.read.schema(rows.schema).parquet(path)
+
+
+def standing_queries(stream: DataFrame, bands: DataFrame) -> DataFrame:
+    """Rows of the stream with every band(band, lo, hi, least) they fall into; bands are the users' queries, so they are few."""
+    return stream.join(F.broadcast(bands), (F.col("user_id") >= F.col("lo")) & (F.col("user_id") < F.col("hi")) & (F.col("value") >= F.col("least")))
+
+
 def fresh_folder(spark: SparkSession, tag: str) -> str:
     import uuid
 
