@@ -40,6 +40,32 @@ def value_runs(cells: DataFrame, spec: ArraySpec, holds: Column) -> DataFrame:
     return told.groupBy(*lead, "run").agg(F.min(along).alias("first"), F.max(along).alias("last"), F.count("*").alias("length")).drop("run")
 
 
+def pivot_blocks(cells: DataFrame, spec: ArraySpec, along: str, prefix: str) -> DataFrame:
+    """One row for each line along a dimension and each block of a chunk's side on it: other dims, <along>_from, a column a slot.
+
+    The blocks cover the whole domain, so a line of any length is told in rows of bounded width.
+    """
+    i = spec.names.index(along)
+    d, side = spec.dims[i], spec.chunk[i]
+    lead = [n for n in spec.names if n != along]
+    slot = F.pmod(F.col(along) - d.lo, F.lit(side)).cast("int")
+    placed = cells.select(*lead, (F.col(along) - slot).alias(f"{along}_from"), slot.alias("slot"), spec.attr)
+    wide = placed.groupBy(*lead, f"{along}_from").pivot("slot", list(range(side))).agg(F.max(spec.attr))
+    return wide.select(*lead, f"{along}_from", *(F.col(str(k)).alias(f"{prefix}{k}") for k in range(side)))
+
+
+def as_of_all(cells: DataFrame, spec: ArraySpec, along: str) -> DataFrame:
+    """The latest value at every coordinate of the fitted domain, from a line's first cell on: other dims, along, latest.
+
+    A cell answers for the places up to the next cell of its line, so no grid is made and joined.
+    """
+    d = spec.dims[spec.names.index(along)]
+    lead = [n for n in spec.names if n != along]
+    following = F.lead(along, 1, d.hi).over(Window.partitionBy(*lead).orderBy(along))
+    held = cells.select(*lead, F.col(along).alias("since"), (following - 1).alias("until"), F.col(spec.attr).alias("latest"))
+    return held.select(*lead, F.explode(F.sequence("since", "until")).alias(along), "latest")
+
+
 @pandas_udf(BinaryType())
 def bitmap_of(numbers: pd.Series) -> bytes:
     """Aggregate of cell numbers into a raw bitmap, for groups of one chunk's size."""

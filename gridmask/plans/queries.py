@@ -388,6 +388,7 @@ add("slice_dim", lambda s, d: Q.range_query(index_of(s, d, "a3"), ArrayQuery({"m
 add("reduce_along_dim", lambda s, d: index_of(s, d, "a3").cells.groupBy("month").agg(F.max("value").alias("vmax"), F.count("*").alias("n")), f"SELECT month, max(value) AS vmax, count(*) AS n FROM ({ARRAYS['a3'].sql}) GROUP BY 1")
 add("rollup_dims", lambda s, d: load(s, d, "supplier").join(F.broadcast(load(s, d, "nation")), F.col("s_nationkey") == F.col("n_nationkey")).join(F.broadcast(load(s, d, "region")), F.col("n_regionkey") == F.col("r_regionkey")).rollup("r_name", "n_name").agg(F.count("*").alias("n"), F.max("s_acctbal").alias("best")), "SELECT r_name, n_name, count(*) AS n, max(s_acctbal) AS best FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (r_name, n_name)")
 add("cube_dims", lambda s, d: load(s, d, "lineitem").cube("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.max("l_quantity").alias("most")), "SELECT l_returnflag, l_linestatus, count(*) AS n, max(l_quantity) AS most FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")
+# the first three turns, as its SQL asks for; pivot_turns (table_queries.py) tells all of them
 add("pivot_dim", lambda s, d: index_of(s, d, "ac").cells.groupBy("conv").pivot("turn", [0, 1, 2]).agg(F.max("value")).select("conv", F.col("0").alias("t0"), F.col("1").alias("t1"), F.col("2").alias("t2")), f"SELECT conv, max(value) FILTER (WHERE turn = 0) AS t0, max(value) FILTER (WHERE turn = 1) AS t1, max(value) FILTER (WHERE turn = 2) AS t2 FROM ({ARRAYS['ac'].sql}) GROUP BY 1")
 add("neighbourhood_window", lambda s, d: cells_and_spec(s, d, "ae")[0].withColumn("peak", F.max("value").over(Window.partitionBy("user").orderBy("hour").rangeBetween(-3, 3))), f'SELECT "user", hour, value, max(value) OVER (PARTITION BY "user" ORDER BY hour RANGE BETWEEN 3 PRECEDING AND 3 FOLLOWING) AS peak FROM ({ARRAYS["ae"].sql})')
 add("array_join", lambda s, d: cells_and_spec(s, d, "a2")[0].join(cells_and_spec(s, d, "a2p")[0].withColumnRenamed("value", "retail"), ["partkey", "suppkey"]), f"SELECT partkey, suppkey, a.value, b.value AS retail FROM ({_A2}) a JOIN ({ARRAYS['a2p'].sql}) b USING (partkey, suppkey)")

@@ -143,3 +143,10 @@ def stream_static_range(spark: SparkSession, d: str) -> DataFrame:
     bands = spark.createDataFrame(_BANDS, "band string, lo long, hi long, least double")
     hits = S.standing_queries(S.event_stream(spark, path, events, files=2), bands)
     return S.run_to_files(hits.select("band", "event_id", "value"), path + "-out", S.fresh_folder(spark, "stream-checkpoint"))
+
+
+@query('WITH c AS ({}), k AS (SELECT *, min(turn) OVER () AS l FROM c) SELECT conv, turn - (turn - l) % 8 AS turn_from, {} FROM k GROUP BY 1, 2'.format(ARRAYS["ac"].sql, ", ".join(f"max(value) FILTER (WHERE (turn - l) % 8 = {k}) AS t{k}" for k in range(8))))
+def pivot_turns(spark: SparkSession, d: str) -> DataFrame:
+    """Every turn of every conversation, eight to a row; pivot_dim tells the first three turns only."""
+    cells, spec = cells_and_spec(spark, d, "ac")
+    return T.pivot_blocks(cells, spec, "turn", "t")
