@@ -392,6 +392,7 @@ add("cube_dims", lambda s, d: load(s, d, "lineitem").cube("l_returnflag", "l_lin
 add("pivot_dim", lambda s, d: index_of(s, d, "ac").cells.groupBy("conv").pivot("turn", [0, 1, 2]).agg(F.max("value")).select("conv", F.col("0").alias("t0"), F.col("1").alias("t1"), F.col("2").alias("t2")), f"SELECT conv, max(value) FILTER (WHERE turn = 0) AS t0, max(value) FILTER (WHERE turn = 1) AS t1, max(value) FILTER (WHERE turn = 2) AS t2 FROM ({ARRAYS['ac'].sql}) GROUP BY 1")
 add("neighbourhood_window", lambda s, d: cells_and_spec(s, d, "ae")[0].withColumn("peak", F.max("value").over(Window.partitionBy("user").orderBy("hour").rangeBetween(-3, 3))), f'SELECT "user", hour, value, max(value) OVER (PARTITION BY "user" ORDER BY hour RANGE BETWEEN 3 PRECEDING AND 3 FOLLOWING) AS peak FROM ({ARRAYS["ae"].sql})')
 add("array_join", lambda s, d: cells_and_spec(s, d, "a2")[0].join(cells_and_spec(s, d, "a2p")[0].withColumnRenamed("value", "retail"), ["partkey", "suppkey"]), f"SELECT partkey, suppkey, a.value, b.value AS retail FROM ({_A2}) a JOIN ({ARRAYS['a2p'].sql}) b USING (partkey, suppkey)")
+# the first hour of each of 30 days, as its SQL asks for; asof_hours (table_queries.py) answers every hour of the array
 add("asof_cell", lambda s, d: (lambda c, h: h.join(c, ["user", "hour"], "left").withColumn("latest", F.last("value", ignorenulls=True).over(Window.partitionBy("user").orderBy("hour").rowsBetween(Window.unboundedPreceding, 0))).where("hour % 24 = 0 and latest is not null").select("user", "hour", "latest"))(cells_and_spec(s, d, "ae")[0], cells_and_spec(s, d, "ae")[0].select("user").distinct().withColumn("hour", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(719).cast("long"))))), f'WITH c AS ({ARRAYS["ae"].sql}), g AS (SELECT DISTINCT "user", h.hour FROM c, (SELECT unnest(generate_series(0, 719, 24)) AS hour) h) SELECT g."user", g.hour, c.value AS latest FROM g ASOF JOIN c ON g."user" = c."user" AND g.hour >= c.hour')
 add("fill_empty_cells", lambda s, d: load(s, d, "documents").select(F.col("doc_id").alias("doc")).join(cells_and_spec(s, d, "al")[0], "doc", "left"), f"SELECT doc_id AS doc, value FROM documents LEFT JOIN ({ARRAYS['al'].sql}) ON doc = doc_id")
 add("anti_empty_cells", lambda s, d: load(s, d, "documents").select(F.col("doc_id").alias("doc")).join(cells_and_spec(s, d, "al")[0], "doc", "left_anti"), "SELECT doc_id AS doc FROM documents WHERE NOT EXISTS (SELECT 1 FROM labels WHERE labels.doc_id = documents.doc_id AND quality IS NOT NULL)")

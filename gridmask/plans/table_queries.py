@@ -150,3 +150,10 @@ def pivot_turns(spark: SparkSession, d: str) -> DataFrame:
     """Every turn of every conversation, eight to a row; pivot_dim tells the first three turns only."""
     cells, spec = cells_and_spec(spark, d, "ac")
     return T.pivot_blocks(cells, spec, "turn", "t")
+
+
+@query(f'WITH c AS ({_AE}), g AS (SELECT DISTINCT "user", h.hour FROM c, (SELECT unnest(generate_series((SELECT min(hour) FROM c), (SELECT max(hour) FROM c))) AS hour) h) SELECT g."user", g.hour, c.value AS latest FROM g ASOF JOIN c ON g."user" = c."user" AND g.hour >= c.hour')
+def asof_hours(spark: SparkSession, d: str) -> DataFrame:
+    """The latest value of every user at every hour of the array; asof_cell asks for one hour in 24 of 30 days only."""
+    cells, spec = cells_and_spec(spark, d, "ae")
+    return T.as_of_all(cells, spec, "hour")
