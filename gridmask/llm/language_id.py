@@ -88,14 +88,22 @@ def identify(docs: DataFrame) -> DataFrame:
 
 
 def known_language(docs: DataFrame, model: LanguageModel, floor: float = 0.0) -> DataFrame:
-    """Filter: the rows whose text has a language, at a score of at least floor; columns as they were."""
+    """Filter: the rows whose text has a language, at a score of at least floor; columns as they were.
+
+    Scores are never below 0, so at the default floor exactly the texts with a letter stay. So they do at any floor
+    where no text was taught, as a model without languages has no ground to reject one.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for big in batches:
             for at in range(0, big.num_rows, 500):
                 b = big.slice(at, 500)
-                names, scores = shared.value.predict(b.column("text").to_pylist())
-                yield b.filter(pa.array([n != UNKNOWN and s >= floor for n, s in zip(names, scores)], pa.bool_()))
+                texts = b.column("text").to_pylist()
+                if shared.value.net is None:
+                    keep = [bool(t and LETTER.search(t)) for t in texts]
+                else:
+                    keep = [n != UNKNOWN and bool(s >= floor) for n, s in zip(*shared.value.predict(texts))]
+                yield b.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

@@ -29,6 +29,8 @@ from .components import connected_components, forest
 from .shared import exchange_size, materialize, ranges
 
 BITS = 64
+#: A column that tells rows apart, where doc_id does not.
+ROW = "_row"
 
 
 def fingerprint(text: str | None, words_per_shingle: int = 4, seed: int = 42) -> int:
@@ -49,17 +51,18 @@ def fingerprint(text: str | None, words_per_shingle: int = 4, seed: int = 42) ->
     return int(np.packbits(2 * ones > n, bitorder="little").view("<u8")[0])
 
 
-def fingerprints(docs: DataFrame, words_per_shingle: int = 4) -> DataFrame:
-    """doc_id, fp (the 64 bits as a signed long)."""
+def fingerprints(docs: DataFrame, words_per_shingle: int = 4, also: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, fp (the 64 bits as a signed long), and the long columns in `also`."""
+    names = ["doc_id", "fp", *also]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for big in batches:
             for at in range(0, big.num_rows, 500):
                 b = big.slice(at, 500)
                 fps = np.array([fingerprint(t, words_per_shingle) for t in b.column("text").to_pylist()], np.uint64)
-                yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array(fps.view(np.int64))], names=["doc_id", "fp"])
+                yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array(fps.view(np.int64)), *(b.column(c) for c in also)], names=names)
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, fp long")
+    return docs.select("doc_id", "text", *also).mapInArrow(run, ", ".join(f"{n} long" for n in names))
 
 
 def group_bits(sample: np.ndarray, parts: int) -> list[list[int]]:
@@ -215,3 +218,17 @@ def near_duplicates(docs: DataFrame, radius: int = 4, words_per_shingle: int = 4
     comp = connected_components(links_forest(distinct, radius))
     labels = distinct.join(comp, distinct.rep == comp.node, "left").select("fp", F.coalesce("component", "rep").alias("component_id"))
     return fps.join(labels, "fp", "left").select("doc_id", "fp", "component_id")
+
+
+def first_of_groups(docs: DataFrame, radius: int = 4, words_per_shingle: int = 4) -> DataFrame:
+    """doc_id, ROW, rows: of each group of linked fingerprints the first key (doc_id, nulls last, then fp and ROW) and its rows.
+
+    docs has the column ROW beside doc_id and text. Fingerprints are the nodes, so repeated and null ids join no groups.
+    """
+    fps = materialize(fingerprints(docs, words_per_shingle, (ROW,)), "fingerprints")
+    keys = fps.groupBy("doc_id", "fp", ROW).agg(F.count("*").alias("rows"))
+    distinct = materialize(fps.select("fp", F.col("fp").alias("rep")).distinct(), "distinct-fingerprints")
+    comp = connected_components(links_forest(distinct, radius))
+    grouped = keys.join(comp, keys.fp == comp.node, "left").groupBy(F.coalesce("component", "fp"))
+    first = grouped.agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "fp", ROW, "rows")).alias("first"))
+    return first.select("first.doc_id", f"first.{ROW}", "first.rows")
