@@ -9,7 +9,6 @@ passed by; an empty table gives an empty result.
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -20,17 +19,27 @@ from pyspark.sql import functions as F
 from .byte_conv import ByteConv
 from .shared import bucket_of_id
 
-LETTER = re.compile(r"[^\W\d_]")
 UNKNOWN = "und"
+#: A sampled text teaches by at most its first so many characters, which bounds what the driver holds.
+TAUGHT_CHARS = 200_000
+
+
+def has_letter(text: str | None) -> bool:
+    """Whether any character is a letter; signs for numbers, such as fractions and circled digits, are none."""
+    return text is not None and any(map(str.isalpha, text))
 
 
 def sample_by_class(rows: DataFrame, label: str, per_class: int) -> DataFrame:
-    """About per_class rows of each class, by a hash of doc_id; a class with fewer rows is taken whole."""
-    counts = {r[0]: r[1] for r in rows.where(F.col(label).isNotNull()).groupBy(label).count().collect()}
+    """About per_class rows of each class, by a hash of doc_id; a class with fewer rows is taken whole. At most
+    2 * per_class rows a class in all, however often an id repeats."""
+    known = rows.where(F.col(label).isNotNull())
+    counts = {r[0]: r[1] for r in known.groupBy(label).count().collect()}
     if not counts:
         return rows.limit(0)
     share = F.create_map(*[F.lit(x) for k, n in counts.items() for x in (k, min(1.0, per_class / n))])
-    return rows.where(F.col(label).isNotNull() & (F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < share[F.col(label)] * (1 << 20)))
+    picked = known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < share[F.col(label)] * (1 << 20))
+    # an id that repeats is picked with all its rows: of those, the hash of the whole row decides
+    return picked.orderBy(F.xxhash64(*rows.columns), *rows.columns).limit(2 * per_class * len(counts))
 
 
 class LanguageModel:
@@ -39,7 +48,7 @@ class LanguageModel:
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
         names, scores = [UNKNOWN] * len(texts), np.zeros(len(texts))
-        told = [i for i, t in enumerate(texts) if t and LETTER.search(t)]
+        told = [i for i, t in enumerate(texts) if has_letter(t)]
         if told and self.net is not None:
             p = self.net.predict([texts[i].lower().encode("utf-8", "surrogatepass") for i in told])
             best = p.argmax(axis=1)
@@ -51,8 +60,9 @@ class LanguageModel:
 
 def train(docs: DataFrame, per_language: int = 500, epochs: int = 6) -> LanguageModel:
     """docs(doc_id, text, lang): only rows with a lang and a text teach."""
-    rows = sample_by_class(docs.where(F.col("text").isNotNull()).select("doc_id", "text", "lang"), "lang", per_language).orderBy("doc_id", "text").collect()
-    rows = [r for r in rows if LETTER.search(r.text)]
+    told = docs.where(F.col("text").isNotNull()).select("doc_id", F.substring("text", 1, TAUGHT_CHARS).alias("text"), "lang")
+    rows = sample_by_class(told, "lang", per_language).orderBy("doc_id", "text").collect()
+    rows = [r for r in rows if has_letter(r.text)]
     languages = sorted({r.lang for r in rows})
     if not languages:
         return LanguageModel([], None)
@@ -87,12 +97,18 @@ def identify(docs: DataFrame) -> DataFrame:
     return predict(docs, model).select("doc_id", F.coalesce(in_held_out_fold(), F.lit(False)).alias("held_out"), "lang_pred", "score")
 
 
-def known_language(docs: DataFrame, model: LanguageModel, floor: float = 0.0) -> DataFrame:
-    """Filter: the rows whose text has a language, at a score of at least floor; columns as they were.
+def undecided(model: LanguageModel, margin: float = 1.25) -> float:
+    """The score below which a prediction is hardly better than an even guess among the learned languages."""
+    return margin / max(2, len(model.languages))
+
+
+def known_language(docs: DataFrame, model: LanguageModel, floor: float | None = None, languages: tuple[str, ...] | None = None) -> DataFrame:
+    """Filter: the rows whose text has a letter and a language, at a score of at least floor; columns as they were.
 
-    Scores are never below 0, so at the default floor exactly the texts with a letter stay. So they do at any floor
-    where no text was taught, as a model without languages has no ground to reject one.
+    floor None: undecided(model). languages: only these stay (None: every learned one). A model without languages has no
+    ground to reject a text with letters.
     """
+    least = undecided(model) if floor is None else floor
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -101,9 +117,9 @@ def known_language(docs: DataFrame, model: LanguageModel, floor: float = 0.0) ->
                 b = big.slice(at, 500)
                 texts = b.column("text").to_pylist()
                 if shared.value.net is None:
-                    keep = [bool(t and LETTER.search(t)) for t in texts]
+                    keep = [has_letter(t) for t in texts]
                 else:
-                    keep = [n != UNKNOWN and bool(s >= floor) for n, s in zip(*shared.value.predict(texts))]
+                    keep = [n != UNKNOWN and bool(s >= least) and (languages is None or n in languages) for n, s in zip(*shared.value.predict(texts))]
                 yield b.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

@@ -8,7 +8,7 @@ import pytest
 
 from gridmask.llm import byte_conv, language_id, quality
 
-ODD = [None, "", " \n", "1234 !!", "é", "x" * 40_000, "word " * 20_000, "same", "same"]
+ODD = [None, "", " \n", "1234 ½ ² ① !!", "é", "x" * 40_000, "word " * 20_000, "same", "same"]
 
 
 def test_windows_cover_the_text():
@@ -65,7 +65,7 @@ def test_language(spark, larger):
     model = language_id.train(docs, per_language=50, epochs=1)
     got = {r.doc_id: r for r in language_id.predict(odd(spark), model).collect()}
     assert [got[i].lang_pred == "und" for i in range(len(ODD))] == [True, True, True, True, False, False, False, False, False]
-    kept = language_id.known_language(odd(spark), model)
+    kept = language_id.known_language(odd(spark), model, floor=0.0)
     assert kept.columns == odd(spark).columns and sorted(r.doc_id for r in kept.collect()) == list(range(4, 9))
     none = language_id.identify(odd(spark)).collect()
     assert {r.lang_pred for r in none} == {"und"}
@@ -102,7 +102,8 @@ def test_pipeline(spark, larger):
     net = quality.train(docs, labels.where(~quality.in_held_out_fold()))
     kept = [r for r in docs.collect() if quality.score_texts(net, [r.text])[0] >= 0.3]
     model = language_id.train(spark.createDataFrame(kept, docs.schema).where(~language_id.in_held_out_fold()))
-    kept = [r for r in kept if model.predict([r.text])[0][0] != "und"]
+    told = [model.predict([r.text]) for r in kept]
+    kept = [r for r, (names, scores) in zip(kept, told) if names[0] != "und" and scores[0] >= 1.25 / len(model.languages)]
     comp = plain_components([r.doc_id for r in kept], [plain_fingerprint(r.text) for r in kept])
     kept = [r for r in kept if comp[r.doc_id] == r.doc_id]
     library, by_doc = Tokenizer.from_file(tokenizer_path("word_bpe_49k.json")), defaultdict(list)
