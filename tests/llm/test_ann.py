@@ -43,7 +43,7 @@ def test_odd_rows(spark):
     want = exact(ids, x, ids)
     for size in (50_000, 5):  # large lists are salted
         got = {}
-        for r in ann.search(df, F.lit(True), n_lists=3, probes=3, list_rows=size, eps=9.0).collect():
+        for r in ann.search(df, F.lit(True), n_lists=3, target=1.0, list_rows=size, eps=9.0).collect():
             got.setdefault(r.query_id, []).append((r["rank"], r.vec_id))
         assert {q: [i for _, i in sorted(v)] for q, v in got.items()} == {q: [i for i, _ in w] for q, w in want.items()}
     assert ann.search(df.limit(0), F.lit(True)).count() == 0
@@ -51,6 +51,28 @@ def test_odd_rows(spark):
     assert {r["count"] for r in few} == {3}
 
 
+def test_repeated_rows_and_doubles(spark):
+    rng = np.random.default_rng(3)
+    x = rng.standard_normal((40, 6))  # not exact in 32 bits
+    rows = [(i, x[i].tolist()) for i in range(40)] + [(7, x[7].tolist()), (7, x[8].tolist()), (None, x[9].tolist())]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    all_x = np.array([r[1] for r in rows])
+    got = {}
+    for r in ann.search(df, F.col("vec_id") == 7, target=1.0, eps=9.0).collect():
+        got.setdefault(r["rank"], []).append((r.vec_id, r.score))
+    assert sorted(got) == list(range(1, 11)) and all(len(v) == 3 for v in got.values())  # three rows ask, each has ten
+    want = {k: [] for k in got}
+    for q in (7, 40, 41):
+        d = np.sqrt(((all_x - all_x[q]) ** 2).sum(axis=1))
+        ids = [1 << 62 if r[0] is None else r[0] for r in rows]
+        order = [j for j in np.lexsort((range(43), ids, d)) if j != q][:10]
+        for k, j in enumerate(order, 1):
+            want[k].append((rows[j][0], d[j]))
+    for k in want:
+        a, b = sorted(got[k], key=str), sorted(want[k], key=str)
+        assert [i for i, _ in a] == [i for i, _ in b] and np.allclose([s for _, s in a], [s for _, s in b], rtol=1e-14, atol=0)
+
+
 def test_adaptive_scan_keeps_the_nearest():
     rng = np.random.default_rng(4)
     x = rng.standard_normal((2000, 64)).astype(np.float32)
