@@ -39,13 +39,28 @@ def test_against_all_pairs(spark):
     data = [(int(k), *rows[i], "extra") for k, i in enumerate(order)]
     df = spark.createDataFrame(data, "vec_id long, embedding array<float>, label int, rep string")
     want = brute([d[:3] for d in data])
-    for options in ({}, {"block_rows": 16}):
+    for options in ({}, {"block_rows": 16}, {"bits": 12, "tables": 60}):
         got = {r.vec_id: (r.n_links, r.component_id, r.kept) for r in embedding_dedup.near_duplicates(df, **options).collect()}
         wrong = [i for i in want if got[i] != want[i]]
         assert len(wrong) <= 1, [(i, got[i], want[i]) for i in wrong]  # 1 in 7,000 pairs at the threshold may be missed
     assert embedding_dedup.near_duplicates(df.limit(0)).count() == 0
 
 
+def test_ids_that_repeat_or_lack(spark):
+    rng = np.random.default_rng(5)
+    a, b = ([float(np.float32(v)) for v in rng.standard_normal(64)] for _ in range(2))
+    rows = [(1, a, 0), (1, b, 0), (2, a, 0), (None, b, 0), (3, b, 1), (None, a, 1)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int")
+    got = sorted(((r.vec_id, r.n_links, r.component_id, r.kept) for r in embedding_dedup.near_duplicates(df).collect()), key=str)
+    assert got == sorted([(1, 1, 1, True), (1, 1, 1, True), (2, 1, 1, False), (None, 1, 1, False), (3, 0, 3, True), (None, 0, None, True)], key=str)
+
+
+def test_hashing_grows_with_the_rows():
+    assert embedding_dedup.hashing(1_000, 0.93, 1e-4)[0] == 8
+    bits, tables = zip(*(embedding_dedup.hashing(n, 0.93, 1e-4) for n in (10**5, 10**7, 10**9)))
+    assert list(bits) == sorted(set(bits)) and list(tables) == sorted(set(tables)) and tables[-1] <= 255
+
+
 def test_table(spark, sf_dir):
     rows = spark.read.parquet(f"{sf_dir}/embeddings.parquet").collect()
     want = brute([(r.vec_id, r.embedding, r.label) for r in rows])
