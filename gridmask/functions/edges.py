@@ -6,6 +6,8 @@ node's numbers, which are few; the DataFrame side calls it once for each group.
 
 from __future__ import annotations
 
+import heapq
+
 import numpy as np
 
 
@@ -22,12 +24,6 @@ def equi_width(values: np.ndarray, bins: int) -> tuple[np.ndarray, np.ndarray]:
     return edges, bin_counts(values, edges)
 
 
-def singleton(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """One bin for each distinct value."""
-    edges = np.unique(values)
-    return edges, bin_counts(values, edges)
-
-
 def weighted_equi_depth(values: np.ndarray, weights: np.ndarray, bins: int) -> tuple[np.ndarray, np.ndarray]:
     """Edges at equal shares of the weight, for instance of how often queries ask for a value."""
     total = np.cumsum(weights)
@@ -135,29 +131,93 @@ def _fill(edges: np.ndarray, total: np.ndarray, kept: list[int], bins: int) -> l
     return kept
 
 
-def reduce_equi_depth(edges: np.ndarray, mass: np.ndarray, bins: int, most_swaps: int = 256) -> np.ndarray:
+class _Exchange:
+    """Bins over numbered edges, with a queue of splits by what they gain and one of merges by what they cost.
+
+    Queue entries name the bins they change; an entry whose bins are gone is dropped when it comes up.
+    """
+
+    def __init__(self, total: np.ndarray, kept: list[int], bins: int) -> None:
+        self.total, self.share = total, total[-1] / bins
+        self.after = dict(zip(kept, kept[1:]))
+        self.before = dict(zip(kept[1:], kept))
+        self.splits: list[tuple[float, int, int, int]] = []
+        self.merges: list[tuple[float, int, int, int]] = []
+        for a in kept[:-1]:
+            self.offer_split(a)
+        for m in kept[1:-1]:
+            self.offer_merge(m)
+
+    def error(self, i, j):
+        return (self.total[j] - self.total[i] - self.share) ** 2
+
+    def offer_split(self, a: int) -> None:
+        b = self.after[a]
+        if b - a > 1:
+            inner = np.arange(a + 1, b)
+            change = self.error(a, inner) + self.error(inner, b) - self.error(a, b)
+            k = int(np.argmin(change))
+            heapq.heappush(self.splits, (float(change[k]), a, int(inner[k]), b))
+
+    def offer_merge(self, m: int) -> None:
+        a, b = self.before.get(m), self.after.get(m)
+        if a is not None and b is not None:
+            heapq.heappush(self.merges, (float(self.error(a, b) - self.error(a, m) - self.error(m, b)), a, m, b))
+
+    def best(self, queue: list, ok) -> tuple | None:
+        """The first entry of a queue that still holds and is ok; others that hold stay in it."""
+        aside, found = [], None
+        while queue:
+            entry = heapq.heappop(queue)
+            _, a, m, b = entry
+            holds = self.after.get(a) == b if queue is self.splits else self.after.get(a) == m and self.after.get(m) == b
+            if not holds:
+                continue
+            aside.append(entry)
+            if ok(entry):
+                found = entry
+                break
+        for entry in aside:
+            heapq.heappush(queue, entry)
+        return found
+
+    def step(self) -> bool:
+        """Make the split and the merge, on bins apart from each other, that together lower the error most."""
+        any_ = lambda e: True
+        apart = lambda s, m: s[1] not in (m[1], m[2])
+        s, m = self.best(self.splits, any_), self.best(self.merges, any_)
+        if s is None or m is None:
+            return False
+        pairs = [(s, m)] if apart(s, m) else [(s, self.best(self.merges, lambda e: apart(s, e))), (self.best(self.splits, lambda e: apart(e, m)), m)]
+        pairs = [p for p in pairs if None not in p]
+        if not pairs:
+            return False
+        s, m = min(pairs, key=lambda p: p[0][0] + p[1][0])
+        if s[0] + m[0] >= -1e-9 * (1 + self.share**2):
+            return False
+        _, a, e, b = s
+        self.after |= {a: e, e: b}
+        self.before |= {e: a, b: e}
+        _, left, gone, right = m
+        del self.after[gone], self.before[gone]
+        self.after[left], self.before[right] = right, left
+        for x in {a, e, left}:
+            self.offer_split(x)
+        for x in {a, e, b, left, right}:
+            self.offer_merge(x)
+        return True
+
+
+def reduce_equi_depth(edges: np.ndarray, mass: np.ndarray, bins: int) -> np.ndarray:
     """Nearly equi-depth bins by local exchange: from the equi-width bins on, the split that helps most and the merge
-    that hurts least are made together, on bins apart from each other, as long as the total error falls."""
+    that hurts least are made together as long as the total error falls. The error falls each time, so this ends."""
     if len(edges) <= bins + 1:
         return edges
     total = np.concatenate([[0], np.cumsum(mass)])
-    share = total[-1] / bins
-    error = lambda i, j: (total[j] - total[i] - share) ** 2
-    kept = np.array(_fill(edges, total, np.searchsorted(edges, reduce_equi_width(edges, bins)).tolist(), bins))
-    for _ in range(most_swaps):
-        free = np.setdiff1d(np.arange(len(edges)), kept)
-        home = np.searchsorted(kept, free) - 1  # bin of each free edge
-        a, b = kept[home], kept[home + 1]
-        gain = error(a, free) + error(free, b) - error(a, b)
-        inner = np.arange(1, len(kept) - 1)  # removing kept[inner] joins bins inner - 1 and inner
-        loss = error(kept[inner - 1], kept[inner + 1]) - error(kept[inner - 1], kept[inner]) - error(kept[inner], kept[inner + 1])
-        sums = gain[:, None] + loss[None]
-        sums[(home[:, None] == inner[None] - 1) | (home[:, None] == inner[None])] = np.inf
-        s, m = np.unravel_index(np.argmin(sums), sums.shape)
-        if not sums[s, m] < -1e-9 * (1 + share * share):
-            break
-        kept = np.sort(np.append(np.delete(kept, inner[m]), free[s]))
-    return edges[kept]
+    work = _Exchange(total, _fill(edges, total, np.searchsorted(edges, reduce_equi_width(edges, bins)).tolist(), bins), bins)
+    while work.step():
+        pass
+    return edges[sorted({0, *work.after, *work.after.values()})]
 
 
 def reduce_optimal(edges: np.ndarray, mass: np.ndarray, bins: int) -> np.ndarray:
@@ -193,14 +253,10 @@ def reduce_by_sign(starts: np.ndarray, ends: np.ndarray, edges: np.ndarray, mass
     return np.unique(np.concatenate(out))
 
 
-def signs(lows: np.ndarray, highs: np.ndarray, edges: np.ndarray) -> list[tuple[bool, bool]]:
-    """For each bin but the first: does it add children, does it remove some, compared with the bin before?"""
-    inside = lambda k: (lows < edges[k + 1]) & (highs >= edges[k])
-    out = []
-    for k in range(1, len(edges) - 1):
-        before, now = inside(k - 1), inside(k)
-        out.append((bool((now & ~before).any()), bool((before & ~now).any())))
-    return out
-
-
-REDUCE = {"equi_width": lambda e, m, b: reduce_equi_width(e, b), "equi_depth": reduce_equi_depth, "optimal": reduce_optimal, "v_uniform": lambda e, m, b: v_optimal_within(e, m, b) if len(e) > b + 1 else e, "v_normal": lambda e, m, b: v_optimal_within(e, m, b, "normal") if len(e) > b + 1 else e}
+REDUCE = {
+    "equi_width": lambda e, m, b: reduce_equi_width(e, b),
+    "equi_depth": reduce_equi_depth,
+    "optimal": reduce_optimal,
+    "v_uniform": lambda e, m, b: v_optimal_within(e, m, b) if len(e) > b + 1 else e,
+    "v_normal": lambda e, m, b: v_optimal_within(e, m, b, "normal") if len(e) > b + 1 else e,
+}

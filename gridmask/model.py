@@ -34,6 +34,8 @@ class ArraySpec:
     attr: str = "value"
     chunk: tuple[int, ...] = ()
     on_collision: str = "max"
+    #: Cells when the spec was fitted; 0: not known. It only helps to choose how finely an index is stored.
+    n_cells: int = field(default=0, compare=False)
 
     @property
     def names(self) -> list[str]:
@@ -58,7 +60,7 @@ class ArraySpec:
     @staticmethod
     def from_json(text: str) -> ArraySpec:
         x = json.loads(text)
-        return ArraySpec(tuple(Dim(**d) for d in x["dims"]), x["attr"], tuple(x["chunk"]), x["on_collision"])
+        return ArraySpec(tuple(Dim(**d) for d in x["dims"]), x["attr"], tuple(x["chunk"]), x["on_collision"], x.get("n_cells", 0))
 
 
 def as_array(df: DataFrame, dims: dict[str, Column], attr: Column, on_collision: str = "max", name: str = "value") -> DataFrame:
@@ -80,11 +82,20 @@ def check_unique(cells: DataFrame, dims: Sequence[str]) -> None:
         raise ValueError("several rows at one coordinate")
 
 
-def fit_spec(cells: DataFrame, dims: Sequence[str], chunk: Sequence[int], attr: str = "value") -> ArraySpec:
-    """Spec whose domains are the coordinates that occur: one aggregate, one row to the driver."""
-    row = cells.agg(*[f(d).alias(f"{p}{i}") for i, d in enumerate(dims) for p, f in (("l", F.min), ("h", F.max))]).first()
-    domain = [(row[f"l{i}"] or 0, (-1 if row[f"h{i}"] is None else row[f"h{i}"]) + 1) for i in range(len(dims))]
-    return ArraySpec(tuple(Dim(d, lo, max(lo, hi)) for d, (lo, hi) in zip(dims, domain)), attr, tuple(chunk))
+def fit_spec(cells: DataFrame, dims: Sequence[str], chunk: Sequence[int], attr: str = "value", domain: dict[str, tuple[int, int]] | None = None) -> ArraySpec:
+    """Spec whose domains are the coordinates that occur: one aggregate, one row to the driver.
+
+    domain: known ends (lo, hi exclusive) of some dimensions, which the coordinates found can only widen.
+    """
+    ends = [f(d).alias(f"{p}{i}") for i, d in enumerate(dims) for p, f in (("l", F.min), ("h", F.max))]
+    row = cells.agg(F.count("*").alias("n"), *ends).first()
+    out = []
+    for i, d in enumerate(dims):
+        lo, hi = (0, 0) if row[f"l{i}"] is None else (row[f"l{i}"], row[f"h{i}"] + 1)
+        if domain and d in domain:
+            lo, hi = (domain[d] if row[f"l{i}"] is None else (min(lo, domain[d][0]), max(hi, domain[d][1])))
+        out.append(Dim(d, lo, max(lo, hi)))
+    return ArraySpec(tuple(out), attr, tuple(chunk), n_cells=row["n"])
 
 
 @dataclass(frozen=True)

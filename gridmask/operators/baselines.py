@@ -1,18 +1,22 @@
 """The methods that the index is compared with.
 
-Rectangle clip: one global bitmap index of the attribute; its cells become lines, lines are clipped by the query's box
-and merged to boxes. Dimension columns: every dimension is an indexed column beside the attribute, and all answers are
-ANDed. Further: flat and hierarchical synopses, the chunk grid with a filter, and the plain scan.
+Both bitmap methods are stored indexes over blocks of the row-major order, built once. Rectangle clip: one index of the
+attribute; its answer becomes lines, lines are clipped by the query's boxes and merged to boxes. Dimension columns:
+every dimension is an indexed column beside the attribute, and all answers are ANDed. A query reads only the bitmaps
+that its ranges of bins need. Further: flat and hierarchical synopses, the chunk grid with a filter, the plain scan.
 """
 
 from __future__ import annotations
 
+import math
+import uuid
 from collections.abc import Iterator
+from dataclasses import dataclass
 from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import edges as E
@@ -20,11 +24,12 @@ from ..functions.codec import CODECS
 from ..model import ArrayQuery, ArraySpec, Constraint, Region, complete_query
 from . import linear
 from .encoding import bin_range, stored
-from .query import bin_span
-from .tree import Index, grouped, runs_of
+from .query import MOST_BROADCAST, bin_span, bit
+from .tree import Index, grouped, runs_of, shared_folder
 
 BLOCK = 32_768
-BITMAPS = "col string, block long, present binary, bitmaps array<binary>"
+#: Name of the bitmap of non-empty cells.
+PRESENT = "*"
 
 
 def global_edges(cells: DataFrame, columns: list[str], bins: int, binning: str = "equi_depth") -> dict[str, np.ndarray]:
@@ -46,98 +51,243 @@ def global_edges(cells: DataFrame, columns: list[str], bins: int, binning: str =
     return {c: np.unique([row[f"a_{c}"], *row[c], row[f"b_{c}"]]) for c in columns}
 
 
+def block_cells(spec: ArraySpec) -> int:
+    """Cells of a block: whole rows of the last dimension where they fit, so that lines end within it."""
+    row = max(1, spec.dims[-1].extent)
+    return BLOCK // row * row if row <= BLOCK else BLOCK
+
+
 def linear_cells(cells: DataFrame, spec: ArraySpec) -> DataFrame:
     """Cells with their block and place in the array's row-major order."""
     at = linear.row_major([F.col(d.name) - F.lit(d.lo) for d in spec.dims], [d.extent for d in spec.dims])
-    return cells.withColumn("at", at).withColumn("block", F.floor(F.col("at") / BLOCK)).withColumn("place", (F.col("at") % BLOCK).cast("int"))
+    size = block_cells(spec)
+    return cells.withColumn("at", at).withColumn("block", F.floor(F.col("at") / size)).withColumn("place", (F.col("at") % size).cast("int")).drop("at")
+
+
+@dataclass
+class LinearIndex:
+    """A stored index of some columns over the row-major order. cells: dims, value, block, place, in order of blocks.
+    bitmaps: col, k, block, bits."""
+
+    spark: SparkSession
+    path: str
+    spec: ArraySpec
+    edges: dict[str, np.ndarray]
+    encoding: str
+    codec: str
+
+    @property
+    def cells(self) -> DataFrame:
+        names = ", ".join(f"`{d}` long" for d in self.spec.names)
+        return self.spark.read.schema(f"{names}, `{self.spec.attr}` double, block long, place int").parquet(f"{self.path}/cells")
+
+    @property
+    def bitmaps(self) -> DataFrame:
+        return self.spark.read.schema("k int, block long, bits binary, col string").parquet(f"{self.path}/bitmaps")
+
+    def bins(self, col: str) -> int:
+        return max(1, len(self.edges[col]) - 1)
+
+    @property
+    def blocks(self) -> int:
+        return -(-math.prod(d.extent for d in self.spec.dims) // block_cells(self.spec))
 
 
-def global_bitmaps(cells: DataFrame, spec: ArraySpec, edges: dict[str, np.ndarray], encoding: str, codec: str = "wah") -> DataFrame:
-    """(col, block, present, bitmaps): an index of each column over blocks of the row-major order."""
-    placed = linear_cells(cells, spec)
-    columns = list(edges)
-    rows = placed.select("block", "place", F.explode(F.array(*[F.struct(F.lit(c).alias("col"), F.col(c).cast("double").alias("v")) for c in columns])).alias("x")).select("block", "place", F.col("x.col").alias("col"), F.col("x.v").alias("v"))
-    dealt = rows.withColumn("key", F.xxhash64("block", "col")).repartition("key").sortWithinPartitions("key", "block", "col", "place")
+def build_linear(cells: DataFrame, spec: ArraySpec, columns: list[str], bins: int = 32, encoding: str = "range", binning: str = "equi_depth", codec: str = "wah", path: str | None = None) -> LinearIndex:
+    """Index of the columns (dimensions or the attribute): one shuffle of the cells by block, all bitmaps from there."""
+    spark = cells.sparkSession
+    path = path or f"{shared_folder(spark)}/linear-{uuid.uuid4().hex}"
+    edges, size = global_edges(cells, columns, bins, binning), block_cells(spec)
+    placed = linear_cells(cells, spec).repartitionByRange("block").sortWithinPartitions("block", "place")
+    placed.write.mode("overwrite").parquet(f"{path}/cells")
+    index = LinearIndex(spark, path, spec, edges, encoding, codec)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         write = CODECS[codec].encode
-        for t in grouped(batches, "key"):
-            out = []
-            for _, s, e in runs_of(t, "key"):
-                g = t.slice(s, e - s)
-                pairs = set(zip(g.column("col").to_pylist(), g.column("block").to_pylist()))
-                names, blocks = np.array(g.column("col").to_pylist()), g.column("block").to_numpy()
-                for col, block in sorted(pairs):
-                    mine = (names == col) & (blocks == block)
-                    place, v = g.column("place").to_numpy()[mine], g.column("v").to_numpy()[mine]
-                    bins = max(1, len(edges[col]) - 1)
-                    bin_of = np.full(BLOCK, -1, np.int64)
-                    bin_of[place] = np.clip(np.searchsorted(edges[col], v, side="right") - 1, 0, bins - 1)
-                    out.append((col, block, write(bin_of >= 0), [write(b) for b in stored(bin_of, bins, encoding)]))
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t_) for c, t_ in zip(zip(*out), (pa.string(), pa.int64(), pa.binary(), pa.list_(pa.binary())))], names=["col", "block", "present", "bitmaps"])
-
-    return dealt.mapInArrow(run, BITMAPS)
-
-
-def bitmap_hits(bitmaps: DataFrame, edges: dict[str, np.ndarray], wanted: dict[str, Constraint], encoding: str, codec: str = "wah") -> DataFrame:
-    """(block, place, sure): positions in all columns' answers, ANDed block by block; unsure where an edge bin was used."""
-    columns = list(wanted)
-    by_block = reduce(lambda a, b: a.join(b, "block"), [bitmaps.where(F.col("col") == c).select("block", F.struct("present", "bitmaps").alias(f"c{i}")) for i, c in enumerate(columns)])
+        for t in grouped(batches, "block"):
+            for block, s, e in runs_of(t, "block"):
+                place = t.column("place").to_numpy()[s:e]
+                mask = np.zeros(size, bool)
+                mask[place] = True
+                out = [(-1, block, write(mask), PRESENT)]
+                for col in columns:
+                    n = max(1, len(edges[col]) - 1)
+                    bin_of = np.full(size, -1, np.int64)
+                    bin_of[place] = np.clip(np.searchsorted(edges[col], t.column(col).to_numpy()[s:e], side="right") - 1, 0, n - 1)
+                    out += [(k, block, write(b), col) for k, b in enumerate(stored(bin_of, n, encoding))]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t_) for c, t_ in zip(zip(*out), (pa.int32(), pa.int64(), pa.binary(), pa.string()))], names=["k", "block", "bits", "col"])
+
+    dealt = index.cells.select("block", "place", *columns).repartition("block").sortWithinPartitions("block", "place")
+    rows = dealt.mapInArrow(run, "k int, block long, bits binary, col string")
+    rows.sortWithinPartitions("col", "k", "block").write.mode("overwrite").partitionBy("col").parquet(f"{path}/bitmaps")
+    return index
+
+
+def _asked(index: LinearIndex, wanted: dict[str, list[Constraint]]) -> tuple[dict[str, list[tuple[int, int, int, int]]], dict[str, set[int]]]:
+    """For each column the spans of bins of its ranges, and which bitmaps they need: a dry run on empty masks."""
+    spans: dict[str, list[tuple[int, int, int, int]]] = {}
+    needed: dict[str, set[int]] = {}
+    dry = np.zeros(1, bool)
+    for col, ranges in wanted.items():
+        bins = index.bins(col)
+        spans[col] = [bin_span(c, index.edges[col], bins, False) for c in ranges]
+        needed[col] = set()
+
+        def note(k: int) -> np.ndarray:
+            needed[col].add(k)  # noqa: B023
+            return dry
+
+        for first, last, first_sure, last_sure in spans[col]:
+            bin_range(note, dry, bins, index.encoding, first, last)
+            bin_range(note, dry, bins, index.encoding, first_sure, last_sure)
+    return spans, needed
+
+
+def bitmap_answers(index: LinearIndex, wanted: dict[str, list[Constraint]]) -> DataFrame:
+    """(block, hit, sure): words of the cells in all columns' answers, ANDed block by block; not sure where an edge bin was
+    used. Only the bitmaps that are needed are read: two for a range under range or interval encoding."""
+    spans, needed = _asked(index, wanted)
+    size, encoding, codec = block_cells(index.spec), index.encoding, index.codec
+    n_words = -(-size // 64)
+    some = F.col("col") == PRESENT
+    for col, ks in needed.items():
+        if ks:
+            some = some | ((F.col("col") == col) & F.col("k").isin(*sorted(ks)))
+    bins = {col: index.bins(col) for col in wanted}
+    rows = index.bitmaps.where(some).select("block", "col", "k", "bits").repartition("block").sortWithinPartitions("block")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         decode = CODECS[codec].decode
-        for b in batches:
-            for row in b.to_pylist():
-                sure = maybe = np.ones(BLOCK, bool)
-                for i, c in enumerate(columns):
-                    present, maps, e = decode(row[f"c{i}"]["present"]), row[f"c{i}"]["bitmaps"], edges[c]
-                    bins = max(1, len(e) - 1)
-                    first, last, first_sure, last_sure = bin_span(wanted[c], e, bins, False)
-                    outer, _ = bin_range(lambda k: decode(maps[k]), present, bins, encoding, first, last)
-                    inner, _ = bin_range(lambda k: decode(maps[k]), present, bins, encoding, first_sure, last_sure)
-                    sure, maybe = sure & inner, maybe & outer
-                at = np.flatnonzero(maybe)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), row["block"]), pa.int64()), pa.array(at, pa.int32()), pa.array(sure[at])], names=["block", "place", "sure"])
-
-    return by_block.mapInArrow(run, "block long, place int, sure boolean")
-
-
-def _attr_range(region: Region) -> Constraint:
-    if len(region.attr) != 1:
-        raise ValueError("one attribute range")
-    return region.attr[0]
-
-
-def dim_columns(cells: DataFrame, spec: ArraySpec, q: ArrayQuery, bins: int = 32, encoding: str = "range", binning: str = "equi_depth") -> DataFrame:
-    """Dimension columns: an index for each dimension and the attribute, answers ANDed, edge bins verified."""
-    region = complete_query(q, spec)
+        for t in grouped(batches, "block"):
+            blocks, words = [], ([], [])
+            cols, ks, bits = (t.column(c).to_pylist() for c in ("col", "k", "bits"))
+            for block, s, e in runs_of(t, "block"):
+                have = {(cols[i], ks[i]): bits[i] for i in range(s, e)}
+                present = decode(have[PRESENT, -1])
+                hit = sure = present
+                for col, own in spans.items():
+                    read = lambda k, col=col: decode(have[col, k])  # noqa: B023, E731
+                    hit = hit & reduce(np.logical_or, [bin_range(read, present, bins[col], encoding, a, b)[0] for a, b, _, _ in own])
+                    sure = sure & reduce(np.logical_or, [bin_range(read, present, bins[col], encoding, a, b)[0] for _, _, a, b in own])
+                if hit.any():
+                    blocks.append(block)
+                    for out, mask in zip(words, (hit, sure)):
+                        padded = np.zeros(n_words * 64, bool)
+                        padded[: len(mask)] = mask
+                        out.append(np.packbits(padded, bitorder="little").view("<i8"))
+            at = pa.array(np.arange(len(blocks) + 1, dtype=np.int32) * n_words)
+            lists = [pa.ListArray.from_arrays(at, pa.array(np.concatenate(w) if w else np.zeros(0, np.int64))) for w in words]
+            yield pa.RecordBatch.from_arrays([pa.array(blocks, pa.int64()), *lists], names=["block", "hit", "sure"])
+
+    return rows.mapInArrow(run, "block long, hit array<long>, sure array<long>")
+
+
+def bitmap_hits(index: LinearIndex, wanted: dict[str, list[Constraint]]) -> DataFrame:
+    """The stored cells that satisfy all columns' ranges: bitmaps first, cells of edge bins by their values."""
+    answers = bitmap_answers(index, wanted)
+    if index.blocks * block_cells(index.spec) // 4 <= MOST_BROADCAST:
+        answers = F.broadcast(answers)
+    holds = reduce(lambda a, b: a & b, [reduce(lambda a, b: a | b, [c.column(F.col(col)) for c in ranges]) for col, ranges in wanted.items()], F.lit(True))
+    return index.cells.join(answers, "block").where(bit("hit", "place") & (bit("sure", "place") | holds))
+
+
+def count_bounds(index: LinearIndex, wanted: dict[str, list[Constraint]]) -> DataFrame:
+    """One row: lower and upper bound of the hits from bitmaps alone, without a look at any value."""
+    ones = lambda name: F.coalesce(F.sum(F.aggregate(name, F.lit(0), lambda a, w: a + F.bit_count(w))), F.lit(0))
+    return bitmap_answers(index, wanted).agg(ones("sure").alias("lower_bound"), ones("hit").alias("upper_bound"))
+
+
+def wanted_columns(spec: ArraySpec, region: Region) -> dict[str, list[Constraint]]:
+    """A region as ranges of columns."""
+    return {d: [Constraint.between(a, b) for a, b in runs] for d, runs in zip(spec.names, region.dims)} | {spec.attr: list(region.attr)}
+
+
+def dim_columns(index: LinearIndex, q: ArrayQuery) -> DataFrame:
+    """Dimension columns: answers of all columns ANDed, edge bins verified."""
+    spec, region = index.spec, complete_query(q, index.spec)
+    cols = [*spec.names, spec.attr]
     if region.empty:
-        return cells.limit(0)
-    wanted = {d: Constraint.between(runs[0][0], runs[-1][1]) for d, runs in zip(spec.names, region.dims)} | {spec.attr: _attr_range(region)}
-    edges = global_edges(cells, list(wanted), bins, binning)
-    hits = bitmap_hits(global_bitmaps(cells, spec, edges, encoding), edges, wanted, encoding)
-    placed = linear_cells(cells, spec).join(hits, ["block", "place"])
-    return placed.where(F.col("sure") | q.predicate(spec)).select(*spec.names, spec.attr)
+        return index.cells.select(*cols).limit(0)
+    return bitmap_hits(index, wanted_columns(spec, region)).select(*cols)
+
+
+# ---- rectangle clip ---------------------------------------------------------------------------------------------
+
+
+def sweep(lines: np.ndarray, region_dims: tuple[tuple[tuple[int, int], ...], ...], d: int = 0) -> np.ndarray:
+    """Boxes (n, dims, 2), hi exclusive, cut by the product of each dimension's runs: a sweep along dimension d finds the
+    boxes that a run meets, and the rest of the dimensions are swept for those alone."""
+    if d == len(region_dims) or not len(lines):
+        return lines
+    order = np.argsort(lines[:, d, 0], kind="stable")
+    lines, out = lines[order], []
+    reach = np.maximum.accumulate(lines[:, d, 1])
+    for a, b in region_dims[d]:
+        # boxes that begin before the run's end; those before `first` all end before it begins
+        first, end = int(np.searchsorted(reach, a, side="right")), int(np.searchsorted(lines[:, d, 0], b, side="left"))
+        met = lines[first:end]
+        met = met[met[:, d, 1] > a].copy()
+        met[:, d, 0], met[:, d, 1] = np.maximum(met[:, d, 0], a), np.minimum(met[:, d, 1], b)
+        out.append(sweep(met, region_dims, d + 1))
+    return np.concatenate(out)
+
+
+def line_boxes(at: np.ndarray, spec: ArraySpec) -> np.ndarray:
+    """Ascending row-major places -> boxes (n, dims, 2) one cell wide but in the last dimension."""
+    extents = [d.extent for d in spec.dims]
+    row, col = np.divmod(at, extents[-1])
+    breaks = np.flatnonzero((np.diff(at) != 1) | (np.diff(row) != 0)) + 1
+    first, last = np.concatenate([[0], breaks]), np.concatenate([breaks, [len(at)]]) - 1
+    out = np.empty((len(first), spec.n, 2), np.int64)
+    out[:, -1, 0], out[:, -1, 1] = col[first], col[last] + 1
+    rest = row[first]
+    for d in reversed(range(spec.n - 1)):
+        rest, c = np.divmod(rest, extents[d])
+        out[:, d, 0], out[:, d, 1] = c, c + 1
+    return out + np.array([d.lo for d in spec.dims])[None, :, None]
+
+
+def _joined(boxes: np.ndarray, d: int) -> np.ndarray:
+    """Boxes that touch along d and agree elsewhere become one."""
+    if len(boxes) < 2:
+        return boxes
+    others = [k for k in range(boxes.shape[1]) if k != d]
+    keys = boxes[:, others].reshape(len(boxes), -1)
+    order = np.lexsort([boxes[:, d, 0], *keys.T])
+    boxes, keys = boxes[order], keys[order]
+    new = np.concatenate([[True], (keys[1:] != keys[:-1]).any(axis=1) | (boxes[1:, d, 0] != boxes[:-1, d, 1])])
+    first = np.flatnonzero(new)
+    out = boxes[first].copy()
+    out[:, d, 1] = boxes[np.append(first[1:], len(boxes)) - 1, d, 1]
+    return out
+
 
+def clipped_boxes(index: LinearIndex, q: ArrayQuery) -> DataFrame:
+    """Boxes lo_/hi_<dim> (hi exclusive) that make up the answer.
 
-def attribute_lines(cells: DataFrame, spec: ArraySpec, c: Constraint, bins: int = 32) -> DataFrame:
-    """Boxes lo_/hi_<dim> (hi exclusive), one cell wide but in the last dimension: runs of the attribute's answer."""
-    edges = global_edges(cells, [spec.attr], bins)
-    hits = bitmap_hits(global_bitmaps(cells, spec, edges, "interval"), edges, {spec.attr: c}, "interval")
-    good = linear_cells(cells, spec).join(hits, ["block", "place"]).where(F.col("sure") | c.column(F.col(spec.attr)))
-    *lead, last = spec.names
-    w = Window.partitionBy(*lead).orderBy(last)
-    runs = good.withColumn("island", F.col(last) - F.row_number().over(w)).groupBy(*lead, "island").agg(F.min(last).alias(f"lo_{last}"), (F.max(last) + 1).alias(f"hi_{last}"))
-    return runs.select(*[x for d in lead for x in (F.col(d).alias(f"lo_{d}"), (F.col(d) + 1).alias(f"hi_{d}"))], f"lo_{last}", f"hi_{last}")
+    Each block turns its part of the attribute's answer into lines, sweeps them against the query's boxes and joins
+    neighbouring lines; what is left is joined across blocks. A block holds whole lines, but where a line is longer than
+    a block: such a line stays in pieces.
+    """
+    spec, region = index.spec, complete_query(q, index.spec)
+    names = [x for d in spec.names for x in (f"lo_{d}", f"hi_{d}")]
+    schema = ", ".join(f"`{n}` long" for n in names)
+    if region.empty:
+        return index.spark.createDataFrame([], schema)
+    size = block_cells(spec)
+    hits = bitmap_hits(index, {spec.attr: list(region.attr)}).select("block", "place")
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in grouped(batches, "block"):
+            for block, s, e in runs_of(t, "block"):
+                boxes = sweep(line_boxes(block * size + t.column("place").to_numpy()[s:e].astype(np.int64), spec), region.dims)
+                if spec.n > 1:
+                    boxes = _joined(boxes, spec.n - 2)
+                if len(boxes):
+                    flat = boxes.reshape(len(boxes), -1)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(flat[:, i])) for i in range(flat.shape[1])], names=names)
 
-def clip_boxes(boxes: DataFrame, spec: ArraySpec, region: Region) -> DataFrame:
-    """Boxes cut to the query's box, dimension by dimension; empty ones go."""
-    for d, runs in zip(spec.names, region.dims):
-        a, b = runs[0][0], runs[-1][1]
-        boxes = boxes.where((F.col(f"hi_{d}") > a) & (F.col(f"lo_{d}") < b)).withColumns({f"lo_{d}": F.greatest(f"lo_{d}", F.lit(a)), f"hi_{d}": F.least(f"hi_{d}", F.lit(b))})
-    return boxes
+    return merge_boxes(hits.repartition("block").sortWithinPartitions("block", "place").mapInArrow(run, schema), spec)
 
 
 def merge_boxes(boxes: DataFrame, spec: ArraySpec) -> DataFrame:
@@ -150,22 +300,20 @@ def merge_boxes(boxes: DataFrame, spec: ArraySpec) -> DataFrame:
     return boxes.select(*[x for d in spec.names for x in (f"lo_{d}", f"hi_{d}")])
 
 
-def clipped_boxes(cells: DataFrame, spec: ArraySpec, q: ArrayQuery) -> DataFrame:
-    region = complete_query(q, spec)
-    return merge_boxes(clip_boxes(attribute_lines(cells, spec, _attr_range(region)), spec, region), spec)
-
-
 def box_cells(boxes: DataFrame, spec: ArraySpec) -> DataFrame:
     for d in spec.names:
         boxes = boxes.withColumn(d, F.explode(F.sequence(F.col(f"lo_{d}"), F.col(f"hi_{d}") - 1)))
     return boxes.select(*spec.names)
 
 
-def rect_clip(cells: DataFrame, spec: ArraySpec, q: ArrayQuery) -> DataFrame:
+def rect_clip(index: LinearIndex, q: ArrayQuery) -> DataFrame:
     """Rectangle clip: cells of the merged boxes, with their values."""
-    if complete_query(q, spec).empty:
-        return cells.limit(0)
-    return cells.join(box_cells(clipped_boxes(cells, spec, q), spec), spec.names, "left_semi").select(*spec.names, spec.attr)
+    spec = index.spec
+    cols = [*spec.names, spec.attr]
+    return index.cells.select(*cols).join(box_cells(clipped_boxes(index, q), spec), spec.names, "left_semi")
+
+
+# ---- synopses ---------------------------------------------------------------------------------------------------
 
 
 def zone_map(index: Index, q: ArrayQuery) -> DataFrame:
@@ -222,7 +370,6 @@ def scan(cells: DataFrame, spec: ArraySpec, q: ArrayQuery) -> DataFrame:
     return cells.where(q.predicate(spec)).select(*spec.names, spec.attr)
 
 
-def bitmap_bytes(bitmaps: DataFrame) -> DataFrame:
-    """(col, bytes) of a global index."""
-    size = F.octet_length("present") + F.aggregate("bitmaps", F.lit(0), lambda a, x: a + F.octet_length(x))
-    return bitmaps.groupBy("col").agg(F.sum(size.cast("long")).alias("bytes"))
+def bitmap_bytes(index: LinearIndex) -> DataFrame:
+    """(col, bytes) of a stored index."""
+    return index.bitmaps.groupBy("col").agg(F.sum(F.octet_length("bits").cast("long")).alias("bytes"))

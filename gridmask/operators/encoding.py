@@ -10,24 +10,42 @@ from collections.abc import Callable
 
 import numpy as np
 
-ENCODINGS = ("equality", "range", "interval")
+#: One bitmap a bin; bins 0..i; half of the bins from k on; and the composites: a bitmap for each bit of the bin's
+#: number; for each digit of it in mixed radix, range encoded; and one for each bin and for each group of bins.
+ENCODINGS = ("equality", "range", "interval", "bit_sliced", "components", "two_level")
+#: Lower radix of "components", and bins in a group of "two_level".
+GROUP = 8
+
+
+def bases_of(bins: int) -> tuple[int, ...]:
+    """Radices of a bin's number, the lowest first."""
+    return (bins,) if bins <= GROUP else (GROUP, -(-bins // GROUP))
 
 
 def stored(bin_of: np.ndarray, bins: int, encoding: str) -> list[np.ndarray]:
     """bin_of: bin of each cell, -1 for empty cells. Equality: one bitmap a bin. Range: cells of bins 0..i, for i < B - 1.
     Interval: with B made even and m = B / 2, cells of bins k..k + m - 1, for k < m."""
+    present = bin_of >= 0
     if encoding == "equality":
         return [bin_of == b for b in range(bins)]
     if encoding == "range":
-        return [(bin_of >= 0) & (bin_of <= i) for i in range(bins - 1)]
+        return [present & (bin_of <= i) for i in range(bins - 1)]
     if encoding == "interval":
         m = (bins + 1) // 2
         return [(bin_of >= k) & (bin_of < k + m) for k in range(m)]
+    if encoding == "bit_sliced":
+        return [((bin_of >> s) & 1).astype(bool) & present for s in range(bitmap_count(bins, encoding))]
+    if encoding == "components":
+        bases = bases_of(bins)
+        return [present & (d <= i) for d, b in zip(digits(bin_of, bases), bases) for i in range(b - 1)]
+    if encoding == "two_level":
+        return [bin_of == b for b in range(bins)] + [present & (bin_of // GROUP == g) for g in range(-(-bins // GROUP))]
     raise ValueError(encoding)
 
 
 def bitmap_count(bins: int, encoding: str) -> int:
-    return {"equality": bins, "range": bins - 1, "interval": (bins + 1) // 2}[encoding]
+    composite = {"bit_sliced": max(1, (bins - 1).bit_length()), "components": sum(b - 1 for b in bases_of(bins)), "two_level": bins + -(-bins // GROUP)}
+    return ({"equality": bins, "range": bins - 1, "interval": (bins + 1) // 2} | composite)[encoding]
 
 
 def bin_range(read: Callable[[int], np.ndarray], present: np.ndarray, bins: int, encoding: str, i: int, j: int) -> tuple[np.ndarray, int]:
@@ -36,6 +54,35 @@ def bin_range(read: Callable[[int], np.ndarray], present: np.ndarray, bins: int,
         return np.zeros_like(present), 0
     if i == 0 and j == bins - 1:
         return present, 0
+    if encoding in ("bit_sliced", "components"):
+        opened: dict[int, np.ndarray] = {}
+
+        def once(k: int) -> np.ndarray:
+            if k not in opened:
+                opened[k] = read(k)
+            return opened[k]
+
+        if encoding == "bit_sliced":
+            n = bitmap_count(bins, encoding)
+            under = lambda bound: sliced_below([once(k) for k in range(n)], present, bound)
+        else:
+            bases, parts, at = bases_of(bins), [], 0
+            for b in bases:
+                parts.append([at + k for k in range(b - 1)])
+                at += b - 1
+            under = lambda bound: components_below(parts, present, bases, bound, once)
+        upper = present if j == bins - 1 else under(j + 1)
+        out = upper & ~under(i) if i else upper
+        return out, len(opened)
+    if encoding == "two_level":
+        out, n = np.zeros_like(present), 0
+        k = i
+        while k <= j:
+            if k % GROUP == 0 and min(k + GROUP, bins) - 1 <= j:  # a whole group
+                out, n, k = out | read(bins + k // GROUP), n + 1, k + GROUP
+            else:
+                out, n, k = out | read(k), n + 1, k + 1
+        return out, n
     if encoding == "equality":
         if j - i + 1 > bins // 2:
             others = [b for b in range(bins) if not i <= b <= j]
@@ -89,8 +136,9 @@ def digits(ranks: np.ndarray, bases: tuple[int, ...]) -> list[np.ndarray]:
     return out
 
 
-def components_below(parts: list[list[np.ndarray]], present: np.ndarray, bases: tuple[int, ...], bound: int) -> np.ndarray:
-    """Multi-component index, parts[c][i] = cells whose component c is at most i (range encoded): cells of rank < bound."""
+def components_below(parts: list[list], present: np.ndarray, bases: tuple[int, ...], bound: int, read: Callable = lambda x: x) -> np.ndarray:
+    """Multi-component index, parts[c][i] = cells whose component c is at most i (range encoded), or what read() makes
+    them from: cells of rank < bound."""
     if bound >= np.prod(bases):
         return present.copy()
     want, rest = [], bound
@@ -99,7 +147,7 @@ def components_below(parts: list[list[np.ndarray]], present: np.ndarray, bases:
         rest //= b
     less, equal = np.zeros_like(present), present.copy()
     for c in reversed(range(len(bases))):
-        at_most = lambda i, c=c: np.zeros_like(present) if i < 0 else present if i >= bases[c] - 1 else parts[c][i]
+        at_most = lambda i, c=c: np.zeros_like(present) if i < 0 else present if i >= bases[c] - 1 else read(parts[c][i])
         less |= equal & at_most(want[c] - 1)
         equal &= at_most(want[c]) & ~at_most(want[c] - 1)
     return less

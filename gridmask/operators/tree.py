@@ -1,8 +1,15 @@
 """The chunk-tree index: leaf bitmaps over chunks, and levels of nodes over leaves.
 
-A level is one table sorted by Z code. A node's row holds, for at most BINS value bins, words over its children: which
-have begun (their least value lies below the bin's upper edge) and which have ended (their largest lies at or below it).
-Leaves are built in one pass over cells dealt by chunk, levels bottom up from their children, F times fewer each time.
+A node's row holds words over its children. `started`: for each of the thresholds `plus`, ascending, the children whose
+least value lies below it. `ended`: for each threshold in `minus`, the children whose largest value lies at or below
+it. Only thresholds are kept at which the set changes, so no two stored bitmaps of a family are equal. `equal`: for each
+bin the children that may hold one of its values, for queries by single values. Leaves are built in one pass over cells
+dealt by chunk, levels bottom up from their children, F times fewer each time.
+
+Stored form: a part is the subtree of one node on level `part_level`; cells, leaves and the levels below it lie in
+folders by generation and part, the few nodes from there up in one folder a generation. A version file names the
+generation of every part that is current. Writers add a generation for the parts that they change and then the version
+file, so readers see the old index or the new one, and what did not change is not written again.
 """
 
 from __future__ import annotations
@@ -11,12 +18,13 @@ import json
 import math
 import tempfile
 import uuid
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterator, Sequence
 from dataclasses import asdict, dataclass, field, replace
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import edges as E
@@ -29,7 +37,10 @@ from .encoding import stored
 @dataclass(frozen=True)
 class IndexConfig:
     """bins: most bins in a leaf or node. fanout: children along each dimension (None: by the number of dimensions).
-    list_below: chunks with fewer cells are listed, not bitmap-indexed (None: where a list takes less space)."""
+    list_below: chunks with fewer cells are listed, not bitmap-indexed (None: where a list takes less space).
+    query_weights: (lo, hi, weight) of values that queries ask for, for leaf_binning "weighted".
+    part_cells, most_parts: cells aimed at in a stored part, and how many parts there may be.
+    node_order: how rows of cells, leaves and nodes lie in their files: "z", "row" or "hilbert"."""
 
     bins: int = 16
     fanout: tuple[int, ...] | None = None
@@ -38,12 +49,18 @@ class IndexConfig:
     leaf_binning: str = "equi_depth"
     merge: str = "equi_depth"
     list_below: int | None = None
+    query_weights: tuple[tuple[float, float, float], ...] = ()
+    part_cells: int = 1 << 22
+    most_parts: int = 4096
+    node_order: str = "z"
 
     def __post_init__(self) -> None:
         if self.bins < 2:
             raise ValueError("at least two bins")
         if self.fanout and not (2 ** len(self.fanout) <= math.prod(self.fanout) <= 4096):
             raise ValueError("fanout out of bounds")
+        if self.node_order not in ("z", "row", "hilbert"):
+            raise ValueError(self.node_order)
 
 
 def choose_fanout(n: int, target: int | None = None) -> tuple[int, ...]:
@@ -54,8 +71,11 @@ def choose_fanout(n: int, target: int | None = None) -> tuple[int, ...]:
 
 
 def shared_folder(spark: SparkSession) -> str:
+    """spark.checkpoint.dir; a temporary folder only where driver and executors are one process."""
     at = spark.conf.get("spark.checkpoint.dir", None) or getattr(spark, "_gridmask_folder", None)
     if not at:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         at = spark._gridmask_folder = "file://" + tempfile.mkdtemp(prefix="gridmask-")
     return at.rstrip("/")
 
@@ -68,34 +88,88 @@ def written(df: DataFrame, tag: str, path: str | None = None) -> DataFrame:
 
 
 LEAF = "z long, lo array<long>, n_cells long, vmin double, vmax double, edges array<double>, weights array<double>, kind string, present binary, bitmaps array<binary>, list_no array<int>, list_value array<double>"
-NODE = "z long, lo array<long>, n_cells long, vmin double, vmax double, edges array<double>, weights array<double>, started array<array<long>>, ended array<array<long>>, present array<long>"
+NODE = "z long, lo array<long>, n_cells long, vmin double, vmax double, edges array<double>, weights array<double>, plus array<double>, started array<array<long>>, minus array<double>, ended array<array<long>>, equal array<array<long>>, present array<long>"
+
+# ---- versions ---------------------------------------------------------------------------------------------------
+
+
+def _files(spark: SparkSession, path: str):
+    """(file system, path) of the JVM's: any store that Spark reads."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark._jsc.hadoopConfiguration()), at
+
+
+def versions(spark: SparkSession, path: str) -> list[int]:
+    fs, at = _files(spark, f"{path}/versions")
+    if not fs.exists(at):
+        return []
+    names = [s.getPath().getName() for s in fs.listStatus(at)]
+    return sorted(int(n.removesuffix(".json")) for n in names if n.endswith(".json"))
+
+
+def commit(spark: SparkSession, path: str, state: dict) -> None:
+    """Publish a version at once: the file appears under its name when it is whole; a version is written only once."""
+    fs, at = _files(spark, f"{path}/versions/{state['version']:010d}.json")
+    if fs.exists(at):
+        raise RuntimeError(f"version {state['version']} of {path} exists: another writer was faster")
+    _, draft = _files(spark, f"{path}/versions/.{uuid.uuid4().hex}")
+    out = fs.create(draft)
+    out.write(bytearray(json.dumps(state).encode()))
+    out.close()
+    if not fs.rename(draft, at):
+        raise RuntimeError(f"version {state['version']} of {path} could not be published")
+
+
+def read_state(spark: SparkSession, path: str, version: int | None = None) -> dict:
+    found = versions(spark, path)
+    if not found or version is not None and version not in found:
+        raise FileNotFoundError(f"{path}: version {version or 'any'}")
+    text = spark.read.text(f"{path}/versions/{version or found[-1]:010d}.json", wholetext=True).first()[0]
+    return json.loads(text)
+
+
+# ---- the index --------------------------------------------------------------------------------------------------
+
+
+def merge_ranges(ranges: list[tuple[int, int]], most: int | None = None) -> list[tuple[int, int]]:
+    """Half-open ranges in order, touching ones joined; with `most`, the smallest gaps are closed until so few are left."""
+    out: list[list[int]] = []
+    for a, b in sorted(ranges):
+        if out and a <= out[-1][1]:
+            out[-1][1] = max(out[-1][1], b)
+        else:
+            out.append([a, b])
+    if most is not None and len(out) > most:
+        gaps = sorted(range(1, len(out)), key=lambda i: out[i][0] - out[i - 1][1])
+        closed = set(gaps[: len(out) - most])
+        joined = [out[0]]
+        for i in range(1, len(out)):
+            if i in closed:
+                joined[-1][1] = out[i][1]
+            else:
+                joined.append(out[i])
+        out = joined
+    return [(a, b) for a, b in out]
+
+
+def in_ranges(c: Column, ranges: list[tuple[int, int]]) -> Column:
+    return reduce(lambda x, y: x | y, [c == F.lit(a) if b == a + 1 else (c >= F.lit(a)) & (c < F.lit(b)) for a, b in ranges], F.lit(False))
 
 
 @dataclass
 class Index:
-    """cells: dims, value, z, cell_no. leaves: level 0. nodes[k - 1]: level k; the last level is the root alone."""
+    """An index at one version. Tables: cells (dims, value, z, cell_no), leaves (level 0), level(k) of nodes; the last
+    level is the root alone. read(k, ranges) gives a table's rows in ranges of leaf codes, from the parts they touch."""
 
+    spark: SparkSession
+    path: str
     spec: ArraySpec
     config: IndexConfig
-    cells: DataFrame
-    leaves: DataFrame
-    nodes: list[DataFrame]
-    #: Levels of at most dense_rows nodes are kept as plain rows after their first use, as the index's top is small.
+    state: dict
+    #: Up to so many nodes of a frontier are held by the driver and walked in memory; 0: none, all by DataFrames.
     dense_rows: int = 4096
     _dense: dict = field(default_factory=dict)
-
-    def dense(self, k: int) -> dict[int, dict] | None:
-        """Rows of level k by Z code, if the grid has at most dense_rows nodes there; else None."""
-        bound = math.prod(-(-g // f**k) for g, f in zip(self.spec.grid, self.fanout))
-        if bound > self.dense_rows:
-            return None
-        if k not in self._dense:
-            joined = lambda words: sum((w & ((1 << 64) - 1)) << (64 * i) for i, w in enumerate(words))
-            rows = {}
-            for r in self.level(k).select("z", "lo", "vmin", "vmax", "edges", "started", "ended", "present").collect():
-                rows[r.z] = {"lo": r.lo, "vmin": r.vmin, "vmax": r.vmax, "edges": r.edges, "started": [joined(w) for w in r.started], "ended": [joined(w) for w in r.ended], "present": joined(r.present)}
-            self._dense[k] = rows
-        return self._dense[k]
+    _tables: dict = field(default_factory=dict)
 
     @property
     def fanout(self) -> tuple[int, ...]:
@@ -103,21 +177,114 @@ class Index:
 
     @property
     def height(self) -> int:
-        return len(self.nodes)
+        return self.state["height"]
+
+    @property
+    def part_level(self) -> int:
+        return self.state["part_level"]
+
+    @property
+    def parts(self) -> dict[int, int]:
+        """Part -> generation that holds it."""
+        return {int(k): g for k, g in self.state["parts"].items()}
 
     @property
     def step(self) -> int:
         """Bits of a Z code for one level."""
         return self.spec.n * linear.digit_bits(self.fanout)
 
+    @property
+    def shift(self) -> int:
+        """Bits of a leaf's Z code below its part's number."""
+        return self.part_level * self.step
+
+    def _schema(self, name: str) -> str:
+        if name == "cells":
+            return ", ".join(f"`{d}` long" for d in self.spec.names) + f", `{self.spec.attr}` double, z long, cell_no int"
+        return LEAF if name == "level=0" else NODE
+
+    def _load(self, name: str, parts: Sequence[int] | None) -> DataFrame:
+        spark, base = self.spark, f"{self.path}/{name}"
+        k = None if name == "cells" else int(name.split("=")[1])
+        if k is not None and k >= self.part_level and k > 0:
+            return spark.read.schema(self._schema(name)).parquet(f"{base}/gen={self.state['top']}")
+        schema = f"{self._schema(name)}, gen int, part long"
+        chosen = self.parts if parts is None else {p: self.parts[p] for p in parts}
+        if not chosen:
+            return spark.createDataFrame([], schema)
+        whole = {g for g, ps in self.state["whole"].items() if parts is None and all(self.parts.get(p) == int(g) for p in ps)}
+        folders = [f"{base}/gen={g}" for g in sorted(whole)] + [f"{base}/gen={g}/part={p}" for p, g in sorted(chosen.items()) if str(g) not in whole]
+        return spark.read.schema(schema).option("basePath", base).parquet(*folders)
+
+    def read(self, name: str, ranges: list[tuple[int, int]] | None = None) -> DataFrame:
+        """Rows of a table; with ranges of leaf codes, only those of the parts and codes in the ranges are read."""
+        cols = [c.split()[0].strip("`") for c in self._schema(name).replace(", ", "\n").split("\n")]
+        if ranges is None:
+            if name not in self._tables:
+                self._tables[name] = self._load(name, None)
+            return self._tables[name].select(*cols)
+        k = 0 if name == "cells" else int(name.split("=")[1])
+        parts = None
+        if name == "cells" or k < self.part_level or k == 0:
+            parts = self.parts_in(ranges)
+            if len(self.parts) <= 256:  # files are listed once for all queries
+                if name not in self._tables:
+                    self._tables[name] = self._load(name, None)
+                rows = self._tables[name].where(F.expr(f"part IN ({', '.join(f'{p}L' for p in parts)})") if parts else F.lit(False))
+            else:  # only the chosen folders are listed
+                rows = self._load(name, parts)
+        else:
+            rows = self.read(name)
+        few = merge_ranges([(a >> (k * self.step), ((b - 1) >> (k * self.step)) + 1) for a, b in ranges], 64)
+        return rows.where(in_ranges(F.col("z"), few)).select(*cols)
+
+    def parts_in(self, ranges: list[tuple[int, int]]) -> list[int]:
+        """Parts that hold any of the leaf codes, exactly."""
+        starts = [a for a, _ in ranges]
+        return [p for p in sorted(self.parts) if (i := int(np.searchsorted(starts, (p + 1) << self.shift)) - 1) >= 0 and ranges[i][1] > p << self.shift]
+
+    @property
+    def cells(self) -> DataFrame:
+        return self.read("cells")
+
+    @property
+    def leaves(self) -> DataFrame:
+        return self.read("level=0")
+
     def level(self, k: int) -> DataFrame:
-        return self.leaves if k == 0 else self.nodes[k - 1]
+        return self.read(f"level={k}")
+
+    def span(self, z: int, k: int) -> tuple[int, int]:
+        """Leaf codes under a node of level k."""
+        return z << (k * self.step), (z + 1) << (k * self.step)
+
+    def node_rows(self, k: int, zs: list[int]) -> dict[int, dict]:
+        """Nodes of level k by code: from memory if the whole level is small, else only the asked ones are read."""
+        if self._bound(k) <= self.dense_rows:
+            if k not in self._dense:
+                self._dense[k] = _in_memory(self.level(k))
+            return self._dense[k]
+        asked = F.expr(f"z IN ({', '.join(f'{z}L' for z in zs)})") if zs else F.lit(False)
+        return _in_memory(self.read(f"level={k}", merge_ranges([self.span(z, k) for z in zs])).where(asked))
+
+    def _bound(self, k: int) -> int:
+        """Nodes that level k can have."""
+        return math.prod(-(-g // f**k) for g, f in zip(self.spec.grid, self.fanout))
 
     def child_span(self, k: int) -> list[int]:
         """Coordinates that a child of a level-k node covers along each dimension."""
         return [s * f ** (k - 1) for s, f in zip(self.spec.chunk, self.fanout)]
 
 
+def _in_memory(rows: DataFrame) -> dict[int, dict]:
+    """Node rows by code, bitmaps as whole numbers."""
+    joined = lambda words: sum((w & ((1 << 64) - 1)) << (64 * i) for i, w in enumerate(words))
+    out = {}
+    for r in rows.select("z", "lo", "vmin", "vmax", "edges", "weights", "plus", "started", "minus", "ended", "equal", "present").collect():
+        out[r.z] = {"lo": r.lo, "vmin": r.vmin, "vmax": r.vmax, "edges": r.edges, "by_value": len(r.edges) == len(r.weights), "plus": r.plus, "minus": r.minus, "started": [joined(w) for w in r.started], "ended": [joined(w) for w in r.ended], "equal": [joined(w) for w in r.equal], "present": joined(r.present)}
+    return out
+
+
 def tree_height(spec: ArraySpec, fanout: tuple[int, ...]) -> int:
     h = 1
     while any(f**h < g for f, g in zip(fanout, spec.grid)):
@@ -127,6 +294,15 @@ def tree_height(spec: ArraySpec, fanout: tuple[int, ...]) -> int:
     return h
 
 
+def choose_part_level(spec: ArraySpec, cfg: IndexConfig, levels: int) -> int:
+    """The lowest level that has no more nodes than parts are wanted."""
+    wanted = min(cfg.most_parts, max(1, (spec.n_cells or math.prod(d.extent for d in spec.dims)) // cfg.part_cells))
+    for k in range(levels + 1):
+        if math.prod(-(-g // f**k) for g, f in zip(spec.grid, cfg.fanout)) <= wanted:
+            return k
+    return levels
+
+
 def to_words(mask: np.ndarray, n: int) -> list[int]:
     """Slots (bool, n) -> signed 64-bit words."""
     padded = np.zeros(-(-n // 64) * 64, bool)
@@ -134,7 +310,7 @@ def to_words(mask: np.ndarray, n: int) -> list[int]:
     return np.packbits(padded, bitorder="little").view("<i8").tolist()
 
 
-def grouped(batches: Iterator[pa.RecordBatch], key: str, most_rows: int = 1 << 22) -> Iterator[pa.Table]:
+def grouped(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Table]:
     """Tables of whole groups from batches sorted by key; a group is a chunk or a node, so it is bounded."""
     held: list[pa.RecordBatch] = []
     for b in batches:
@@ -173,6 +349,11 @@ def leaf_row(z: int, lo: list[int], numbers: np.ndarray, values: np.ndarray, spe
     if len(few) <= cfg.bins:
         edges, weights = few, E.bin_counts(order, np.append(few, np.inf))
         edges = few
+    elif cfg.leaf_binning == "weighted":
+        asked = np.ones(len(order))
+        for a, b, w in cfg.query_weights:
+            asked[(order >= a) & (order < b)] += w
+        edges, weights = E.weighted_equi_depth(order, asked, cfg.bins)
     else:
         edges, weights = BINNING[cfg.leaf_binning](order, cfg.bins)
     n, cells = len(values), spec.chunk_cells
@@ -212,19 +393,38 @@ def build_leaves(cells: DataFrame, spec: ArraySpec, cfg: IndexConfig, levels: in
 
 
 def node_row(z: int, lo: list[int], children: dict, fanout: tuple[int, ...], cfg: IndexConfig, edges: np.ndarray | None = None) -> tuple:
-    """A node from its children's slots, least and largest values, cells, edges and weights; given edges are kept."""
+    """A node from its children's slots, least and largest values, cells, edges and weights; given edges are kept.
+
+    A child with as many weights as edges holds just those values. Where all children do and the values are few, so
+    does the node, and its bins are the values.
+    """
     slots, lows, highs = np.array(children["slot"]), np.array(children["vmin"]), np.array(children["vmax"])
     parts = [(np.array(e), np.array(w)) for e, w in zip(children["edges"], children["weights"])]
-    # a leaf of single values has a weight for each edge: each value's mass is a point
+    by_value = all(len(e) == len(w) for e, w in parts)
+    # a child of single values has a weight for each edge: each value's mass is a point
     points = [(np.array([x]), np.array([m])) for e, w in parts if len(e) == len(w) for x, m in zip(e, w)]
-    parts = [(e, w) for e, w in parts if len(e) != len(w)] + points
+    spread = [(e, w) for e, w in parts if len(e) != len(w)] + points
     every = np.unique(np.concatenate([lows, highs]))
-    if edges is None:
-        kept = every if len(every) <= cfg.bins + 1 else E.REDUCE[cfg.merge](every, E.spread_mass(every, parts), cfg.bins)
-    else:  # bins stay as they are; only the outer bounds follow the data
-        inner = edges[(edges > every[0]) & (edges < every[-1])]
-        kept = np.unique(np.concatenate([every[:1], inner, every[-1:]]))
-    weights = E.spread_mass(kept, parts)
+    values = np.unique(np.concatenate([e for e, _ in parts])) if by_value else every
+    by_value = by_value and len(values) <= cfg.bins
+    if by_value:
+        kept = values
+        weights = np.zeros(len(kept))
+        for e, w in parts:
+            weights[np.searchsorted(kept, e)] += w
+    else:
+        if edges is not None:  # bins stay as they are; only the outer bounds follow the data
+            inner = edges[(edges > every[0]) & (edges < every[-1])]
+            kept = np.unique(np.concatenate([every[:1], inner, every[-1:]]))
+        elif len(every) <= cfg.bins + 1:
+            kept = every
+        elif cfg.merge == "by_sign":
+            kept = E.reduce_by_sign(lows, highs, every, E.spread_mass(every, spread), cfg.bins)
+        else:
+            kept = E.REDUCE[cfg.merge](every, E.spread_mass(every, spread), cfg.bins)
+        weights = E.spread_mass(kept, spread)
+        if len(kept) == 1:  # one value: a point
+            weights = weights[:1]
     n = math.prod(fanout)
 
     def words(chosen: np.ndarray) -> list[int]:
@@ -232,9 +432,31 @@ def node_row(z: int, lo: list[int], children: dict, fanout: tuple[int, ...], cfg
         mask[slots[chosen]] = True
         return to_words(mask, n)
 
-    started = [words(lows < e) for e in kept[1:]] + [words(lows <= kept[-1])]
-    ended = [words(highs <= e) for e in kept]
-    return z, lo, int(sum(children["n_cells"])), float(every[0]), float(every[-1]), kept.tolist(), weights.tolist(), started, ended, words(np.ones(len(slots), bool))
+    # of thresholds with equal sets the largest stands for "started", the smallest for "ended"; no set is stored that
+    # is all or none
+    begun = [(lows < t) for t in kept[1:]]
+    plus = [k for k, m in enumerate(begun) if not m.all() and (k + 1 == len(begun) or (m != begun[k + 1]).any())]
+    over = [(highs <= t) for t in kept]
+    minus = [k for k, m in enumerate(over) if m.any() and (k == 0 or (m != over[k - 1]).any())]
+    equal = [words(holding(parts, kept, k, by_value)) for k in range(len(kept) if by_value else max(1, len(kept) - 1))]
+    head = (z, lo, int(sum(children["n_cells"])), float(every[0]), float(every[-1]), kept.tolist(), weights.tolist())
+    return (*head, [float(kept[k + 1]) for k in plus], [words(begun[k]) for k in plus], [float(kept[k]) for k in minus], [words(over[k]) for k in minus], equal, words(np.ones(len(slots), bool)))
+
+
+def holding(parts: list[tuple[np.ndarray, np.ndarray]], edges: np.ndarray, k: int, by_value: bool) -> np.ndarray:
+    """Children that may hold a value of bin k: one of their bins with any mass, both ends taken as inside, meets it.
+
+    Mass is spread evenly over bins, so every value of a child lies in some bin of it that has mass, ends included.
+    """
+    if by_value or len(edges) == 1:
+        return np.array([bool(((e == edges[k]) & (w > 0)).any()) if len(e) == len(w) else bool((e[0] <= edges[k]) & (e[-1] >= edges[k])) for e, w in parts])
+    a, b, last = edges[k], edges[k + 1], k + 2 == len(edges)
+
+    def meets(e: np.ndarray, w: np.ndarray) -> bool:
+        left, right = (e, e) if len(e) == len(w) else (e[:-1], e[1:])
+        return bool(((w > 0) & (right >= a) & ((left <= b) if last else (left < b))).any())
+
+    return np.array([meets(e, w) for e, w in parts])
 
 
 def build_level(children: DataFrame, spec: ArraySpec, cfg: IndexConfig, level: int, levels: int, old: DataFrame | None = None) -> DataFrame:
@@ -251,7 +473,8 @@ def build_level(children: DataFrame, spec: ArraySpec, cfg: IndexConfig, level: i
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = pa.list_(pa.int64())
-        schema = pa.schema([("z", pa.int64()), ("lo", words), ("n_cells", pa.int64()), ("vmin", pa.float64()), ("vmax", pa.float64()), ("edges", pa.list_(pa.float64())), ("weights", pa.list_(pa.float64())), ("started", pa.list_(words)), ("ended", pa.list_(words)), ("present", words)])
+        numbers, masks = pa.list_(pa.float64()), pa.list_(words)
+        schema = pa.schema([("z", pa.int64()), ("lo", words), ("n_cells", pa.int64()), ("vmin", pa.float64()), ("vmax", pa.float64()), ("edges", numbers), ("weights", numbers), ("plus", numbers), ("started", masks), ("minus", numbers), ("ended", masks), ("equal", masks), ("present", words)])
         for t in grouped(batches, "parent"):
             rows = []
             for z, s, e in runs_of(t, "parent"):
@@ -274,34 +497,89 @@ def place_cells(cells: DataFrame, spec: ArraySpec, fanout: tuple[int, ...], leve
     return cells.select(*spec.names, spec.attr, z.alias("z"), linear.row_major(linear.local_coords(spec), spec.chunk).cast("int").alias("cell_no"))
 
 
-def build_index(cells: DataFrame, spec: ArraySpec, cfg: IndexConfig | None = None, path: str | None = None) -> Index:
-    """Index of one attribute. Each cell is read once to be placed and once for its leaf."""
+def file_order(index: Index, level: int) -> list[Column | str]:
+    """What rows of a part are sorted by. Codes are prefixes of the part's whatever the order within a part."""
+    order = index.config.node_order
+    if order == "z":
+        return ["z"]
+    bits = linear.digit_bits(index.fanout)
+    total = bits * max(1, index.height - level)
+    if all(f == 1 << bits for f in index.fanout):
+        at = linear.deinterleave(F.col("z"), index.spec.n, total)
+    else:  # digits of the fanout, each in bits of its own
+        groups = [linear.deinterleave(F.shiftright("z", k * index.step).bitwiseAND(F.lit((1 << index.step) - 1)), index.spec.n, bits) for k in range(max(1, index.height - level))]
+        at = [reduce(lambda x, y: x + y, [g[d] * F.lit(f**k) for k, g in enumerate(groups)]) for d, f in enumerate(index.fanout)]
+    return at if order == "row" else [linear.hilbert_code(at, total)]
+
+
+def write_parts(index: Index, name: str, rows: DataFrame, gen: int) -> None:
+    """Rows of a table into the generation's folders, one for each part, in file order."""
+    k = 0 if name == "cells" else int(name.split("=")[1])
+    folder = f"{index.path}/{name}/gen={gen}"
+    order = [*file_order(index, k), *(["cell_no"] if name == "cells" else [])]
+    if name != "cells" and k > 0 and k >= index.part_level:
+        rows.coalesce(1).sortWithinPartitions(*order).write.mode("overwrite").parquet(folder)
+        return
+    placed = rows.withColumn("part", F.shiftright("z", index.shift - k * index.step))
+    if name == "cells":
+        placed = placed.repartitionByRange("z")
+    placed.sortWithinPartitions("part", *order).write.mode("overwrite").partitionBy("part").parquet(folder)
+
+
+def build_index(cells: DataFrame, spec: ArraySpec, cfg: IndexConfig | None = None, path: str | None = None, previous: dict | None = None) -> Index:
+    """Index of one attribute. Each cell is read once to be placed and once for its leaf.
+
+    previous: the state of an index at path that this one replaces, as its next version.
+    """
+    spark = cells.sparkSession
     cfg = cfg or IndexConfig()
     if cfg.fanout is None:
         cfg = replace(cfg, fanout=choose_fanout(spec.n))
     levels = tree_height(spec, cfg.fanout)
-    at = lambda name: path and f"{path}/{name}"
-    placed = place_cells(cells, spec, cfg.fanout, levels).repartitionByRange("z").sortWithinPartitions("z", "cell_no")
-    cells = written(placed, "cells", at("cells"))
-    leaves = written(build_leaves(cells, spec, cfg, levels), "leaves", at("level=0"))
-    nodes, below = [], leaves
+    path = (path or f"{shared_folder(spark)}/index-{uuid.uuid4().hex}").rstrip("/")
+    taken = versions(spark, path)
+    gen = (previous["gen"] if previous else read_state(spark, path)["gen"] if taken else 0) + 1
+    state = {"version": taken[-1] + 1 if taken else 1, "gen": gen, "top": gen, "height": levels, "part_level": choose_part_level(spec, cfg, levels), "parts": {}, "whole": {}, "batches": (previous or {}).get("batches", {})}
+    draft = Index(spark, path, spec, cfg, state)
+    write_parts(draft, "cells", place_cells(cells, spec, cfg.fanout, levels), gen)
+    placed = spark.read.schema(f"{draft._schema('cells')}, part long").parquet(f"{path}/cells/gen={gen}")
+    write_parts(draft, "level=0", build_leaves(placed, spec, cfg, levels), gen)
+    leaves = spark.read.schema(f"{LEAF}, part long").parquet(f"{path}/level=0/gen={gen}")
+    # as many rows as parts, which are bounded
+    state["parts"] = {str(r[0]): gen for r in leaves.select("part").distinct().collect()}
+    state["whole"] = {str(gen): sorted(int(p) for p in state["parts"])}
     for k in range(1, levels + 1):
-        below = written(build_level(below, spec, cfg, k, levels), f"level-{k}", at(f"level={k}"))
-        nodes.append(below)
-    index = Index(spec, cfg, cells, leaves, nodes)
-    if path:
-        save_meta(index, path)
-    return index
-
-
-def save_meta(index: Index, path: str) -> None:
-    spark = index.cells.sparkSession
-    text = json.dumps({"spec": index.spec.to_json(), "config": asdict(index.config), "height": index.height})
-    spark.createDataFrame([(text,)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/meta")
-
-
-def read_index(spark: SparkSession, path: str) -> Index:
-    meta = json.loads(spark.read.text(f"{path}/meta").first()[0])
-    cfg = meta["config"] | {"fanout": tuple(meta["config"]["fanout"])}
-    nodes = [spark.read.parquet(f"{path}/level={k}") for k in range(1, meta["height"] + 1)]
-    return Index(ArraySpec.from_json(meta["spec"]), IndexConfig(**cfg), spark.read.parquet(f"{path}/cells"), spark.read.parquet(f"{path}/level=0"), nodes)
+        write_parts(draft, f"level={k}", build_level(Index(spark, path, spec, cfg, state).level(k - 1), spec, cfg, k, levels), gen)
+    return publish(draft, state)
+
+
+def publish(index: Index, state: dict) -> Index:
+    """Write the version file; the index at that version."""
+    state = state | {"spec": index.spec.to_json(), "config": asdict(index.config)}
+    commit(index.spark, index.path, state)
+    return Index(index.spark, index.path, index.spec, index.config, state, index.dense_rows)
+
+
+def read_index(spark: SparkSession, path: str, version: int | None = None) -> Index:
+    path = path.rstrip("/")
+    state = read_state(spark, path, version)
+    listed = {"fanout": tuple(state["config"]["fanout"]), "query_weights": tuple(map(tuple, state["config"].get("query_weights", ())))}
+    return Index(spark, path, ArraySpec.from_json(state["spec"]), IndexConfig(**(state["config"] | listed)), state)
+
+
+def vacuum(index: Index) -> int:
+    """Delete folders and version files that this version does not need; readers of older ones must be gone."""
+    spark, gone = index.spark, 0
+    needed = set(index.parts.values()) | {index.state["top"]}
+    for name in ["cells", *(f"level={k}" for k in range(index.height + 1))]:
+        fs, at = _files(spark, f"{index.path}/{name}")
+        for s in fs.listStatus(at) if fs.exists(at) else []:
+            gen = int(s.getPath().getName().split("=")[1])
+            stale = [s.getPath()] if gen not in needed else [p.getPath() for p in fs.listStatus(s.getPath()) if p.getPath().getName().startswith("part=") and index.parts.get(int(p.getPath().getName().split("=")[1])) != gen]
+            for p in stale:
+                gone += bool(fs.delete(p, True))
+    for v in versions(spark, index.path):
+        if v < index.state["version"]:
+            fs, at = _files(spark, f"{index.path}/versions/{v:010d}.json")
+            gone += bool(fs.delete(at, False))
+    return gone

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..model import ArrayQuery, ArraySpec, Constraint, as_array, fit_spec
+from ..operators.baselines import LinearIndex, build_linear
 from ..operators.tree import Index, IndexConfig, build_index
 
 
@@ -26,11 +27,18 @@ def hour(c: str) -> F.Column:
     return F.datediff(F.col(c).cast("date"), F.lit("2024-01-01").cast("date")) * 24 + F.hour(c)
 
 
-def dictionary(df: DataFrame, col: str) -> DataFrame:
-    """Ordinals of a string column's distinct values, from 0: a dictionary, so it is as small as the values are few."""
-    from pyspark.sql import Window
+#: Entries of a dictionary that may be sorted in one task and broadcast.
+MOST_ENTRIES = 100_000
 
-    return df.select(col).distinct().withColumn(f"{col}_no", (F.dense_rank().over(Window.orderBy(col)) - 1).cast("long"))
+
+def with_ordinal(df: DataFrame, col: str) -> DataFrame:
+    """df with <col>_no: the ordinal of the column's value among its distinct values, from 0. For dictionaries: more than
+    MOST_ENTRIES values raise. Rows without a value go."""
+    values = sorted(r[0] for r in df.where(F.col(col).isNotNull()).select(col).distinct().limit(MOST_ENTRIES + 1).collect())
+    if len(values) > MOST_ENTRIES:
+        raise ValueError(f"{col} has more than {MOST_ENTRIES} values: not a dictionary")
+    entries = df.sparkSession.createDataFrame([(v, i) for i, v in enumerate(values)], f"{col} string, {col}_no long")
+    return df.join(F.broadcast(entries), col)
 
 
 @dataclass(frozen=True)
@@ -60,12 +68,13 @@ ARRAYS: dict[str, ArrayDef] = {
     "ak": ArrayDef(lambda s, d: as_array(load(s, d, "customer"), {"nation": F.col("c_nationkey"), "cust": F.col("c_custkey")}, F.col("c_acctbal")), ("nation", "cust"), (8, 32), "SELECT c_nationkey AS nation, c_custkey AS cust, max(c_acctbal) AS value FROM customer GROUP BY 1, 2"),
     "an": ArrayDef(lambda s, d: as_array(load(s, d, "nation"), {"region": F.col("n_regionkey"), "nation": F.col("n_nationkey")}, F.lit(1)), ("region", "nation"), (8, 8), "SELECT n_regionkey AS region, n_nationkey AS nation, 1.0::DOUBLE AS value FROM nation"),
     "ag": ArrayDef(lambda s, d: as_array(load(s, d, "pages"), {"page": F.col("page_id")}, F.length("html")), ("page",), (64,), "SELECT page_id AS page, CAST(max(length(html)) AS DOUBLE) AS value FROM pages WHERE html IS NOT NULL GROUP BY 1"),
-    "aet": ArrayDef(lambda s, d: as_array(load(s, d, "events").join(F.broadcast(dictionary(load(s, d, "events"), "event_type")), "event_type"), {"user": F.col("user_id"), "hour": hour("ts")}, F.col("event_type_no")), ("user", "hour"), (16, 16), "SELECT user_id AS \"user\", date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) * 24 + hour(ts) AS hour, CAST(max(no) AS DOUBLE) AS value FROM (SELECT *, dense_rank() OVER (ORDER BY event_type) - 1 AS no FROM events) GROUP BY 1, 2"),
-    "ap": ArrayDef(lambda s, d: as_array(load(s, d, "part").join(F.broadcast(dictionary(load(s, d, "part"), "p_brand")), "p_brand"), {"brand": F.col("p_brand_no"), "size": F.col("p_size") - 1}, F.col("p_retailprice")), ("brand", "size"), (8, 8), "SELECT dense_rank() OVER (ORDER BY p_brand) - 1 AS brand, p_size - 1 AS size, p_retailprice AS value FROM part"),
+    "aet": ArrayDef(lambda s, d: as_array(with_ordinal(load(s, d, "events"), "event_type"), {"user": F.col("user_id"), "hour": hour("ts")}, F.col("event_type_no")), ("user", "hour"), (16, 16), "SELECT user_id AS \"user\", date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) * 24 + hour(ts) AS hour, CAST(max(no) AS DOUBLE) AS value FROM (SELECT *, dense_rank() OVER (ORDER BY event_type) - 1 AS no FROM events) GROUP BY 1, 2"),
+    "ap": ArrayDef(lambda s, d: as_array(with_ordinal(load(s, d, "part"), "p_brand"), {"brand": F.col("p_brand_no"), "size": F.col("p_size") - 1}, F.col("p_retailprice")), ("brand", "size"), (8, 8), "SELECT dense_rank() OVER (ORDER BY p_brand) - 1 AS brand, p_size - 1 AS size, p_retailprice AS value FROM part"),
 }
 ARRAYS["ap"] = ArrayDef(ARRAYS["ap"].cells, ARRAYS["ap"].dims, ARRAYS["ap"].chunk, f"SELECT brand, size, max(value) AS value FROM ({ARRAYS['ap'].sql}) GROUP BY 1, 2")
 
 _BUILT: dict[tuple, Index] = {}
+_LINEAR: dict[tuple, LinearIndex] = {}
 
 
 def cells_and_spec(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, ArraySpec]:
@@ -74,8 +83,13 @@ def cells_and_spec(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFra
     return cells, fit_spec(cells, a.dims, a.chunk)
 
 
+#: The given tables are small: parts of so few cells that queries have something to leave out.
+PART_CELLS = 1 << 15
+
+
 def index_of(spark: SparkSession, sf_dir: str, name: str, cfg: IndexConfig | None = None, chunk: tuple[int, ...] | None = None) -> Index:
     """The array's index; built at its first use in this application, kept in the shared folder."""
+    cfg = cfg or IndexConfig(part_cells=PART_CELLS)
     key = (spark.sparkContext.applicationId, sf_dir, name, cfg, chunk)
     if key not in _BUILT:
         a = ARRAYS[name]
@@ -84,6 +98,15 @@ def index_of(spark: SparkSession, sf_dir: str, name: str, cfg: IndexConfig | Non
     return _BUILT[key]
 
 
+def linear_of(spark: SparkSession, sf_dir: str, name: str, columns: str = "value", **options) -> LinearIndex:
+    """A stored index of the baselines: of the attribute ("value") or of all dimensions as well ("all")."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, columns, tuple(sorted(options.items())))
+    if key not in _LINEAR:
+        cells, spec = cells_and_spec(spark, sf_dir, name)
+        _LINEAR[key] = build_linear(cells, spec, [*spec.names, spec.attr] if columns == "all" else [spec.attr], **options)
+    return _LINEAR[key]
+
+
 def value_bounds(index: Index) -> tuple[float, float]:
     row = index.level(index.height).select("vmin", "vmax").first()
     return row["vmin"], row["vmax"]

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..model import ArraySpec, Dim
+from ..operators.baselines import LinearIndex, build_linear
 from ..operators.tree import Index, IndexConfig, build_index
 
 Component = tuple[tuple[float, ...], tuple[tuple[float, ...], ...]]
@@ -16,6 +17,7 @@ Component = tuple[tuple[float, ...], tuple[tuple[float, ...], ...]]
 #: Means as shares of the grid, standard deviations as shares of it; a plain example with diagonal covariances.
 FIXED_2D = [((0.25, 0.25), (0.125, 0.25)), ((0.75, 0.5), (0.25, 0.125)), ((0.5, 0.875), (0.5, 0.5))]
 _BUILT: dict[tuple, Index] = {}
+_LINEAR: dict[tuple, LinearIndex] = {}
 
 
 def random_components(dims: int, count: int, seed: int = 42, spread: tuple[float, float] = (0.05, 0.3)) -> list[Component]:
@@ -59,20 +61,39 @@ def sum_gauss(spark: SparkSession, shape: tuple[int, ...], parts, threshold: flo
     return cells if threshold is None else cells.where(F.col("value") >= threshold)
 
 
-def index(spark: SparkSession, shape: tuple[int, ...], parts=None, cfg: IndexConfig | None = None, threshold: float | None = None) -> Index:
-    key = (spark.sparkContext.applicationId, shape, repr(parts), cfg, threshold)
+#: Side of a chunk by the number of dimensions.
+SIDES = {1: 64, 2: 32, 3: 8, 4: 4}
+
+
+def index(spark: SparkSession, shape: tuple[int, ...], parts=None, cfg: IndexConfig | None = None, threshold: float | None = None, side: int | None = None) -> Index:
+    """Index of a generated array. Chunks without a cell above the threshold have no leaf."""
+    key = (spark.sparkContext.applicationId, shape, repr(parts), cfg, threshold, side)
     if key not in _BUILT:
-        side = {1: 64, 2: 8, 3: 8, 4: 4}[len(shape)]
-        spec = ArraySpec(tuple(Dim(f"d{i}", 0, k) for i, k in enumerate(shape)), "value", (side,) * len(shape))
-        _BUILT[key] = build_index(sum_gauss(spark, shape, parts or FIXED_2D, threshold), spec, cfg)
+        cells = sum_gauss(spark, shape, parts or FIXED_2D, threshold)
+        _BUILT[key] = build_index(cells, spec_of(shape, side), cfg)
     return _BUILT[key]
 
 
-def sql(shape: tuple[int, ...], parts, digits: int = 9) -> str:
-    """The same grid for DuckDB, diagonal covariances only."""
-    terms = []
+def spec_of(shape: tuple[int, ...], side: int | None = None) -> ArraySpec:
+    return ArraySpec(tuple(Dim(f"d{i}", 0, k) for i, k in enumerate(shape)), "value", (side or SIDES[len(shape)],) * len(shape))
+
+
+def linear(spark: SparkSession, shape: tuple[int, ...], columns: str, parts=None, threshold: float | None = None, **options) -> LinearIndex:
+    """The baselines' stored index of a generated array."""
+    key = (spark.sparkContext.applicationId, shape, repr(parts), columns, threshold, tuple(sorted(options.items())))
+    if key not in _LINEAR:
+        spec = spec_of(shape)
+        cells = sum_gauss(spark, shape, parts or FIXED_2D, threshold)
+        _LINEAR[key] = build_linear(cells, spec, [*spec.names, spec.attr] if columns == "all" else [spec.attr], **options)
+    return _LINEAR[key]
+
+
+def sql(shape: tuple[int, ...], parts, digits: int | None = 9) -> str:
+    """The same grid for DuckDB."""
+    n, terms = len(shape), []
     for mean, inverse, factor in scaled(shape, parts):
-        form = " + ".join(f"{inverse[i, i]!r}::DOUBLE * (d{i} - {mean[i]!r}::DOUBLE) * (d{i} - {mean[i]!r}::DOUBLE)" for i in range(len(shape))).replace("np.float64(", "").replace(")::DOUBLE", "::DOUBLE")
+        form = " + ".join(f"{float(inverse[i, j])!r}::DOUBLE * (d{i} - {float(mean[i])!r}::DOUBLE) * (d{j} - {float(mean[j])!r}::DOUBLE)" for i in range(n) for j in range(n) if inverse[i, j])
         terms.append(f"{float(factor)!r}::DOUBLE * exp(-0.5 * ({form}))")
     axes = ", ".join(f"(SELECT unnest(generate_series(0, {k - 1})) AS d{i})" for i, k in enumerate(shape))
-    return f"SELECT {', '.join(f'd{i}' for i in range(len(shape)))}, round({' + '.join(terms)}, {digits}) AS value FROM {axes}"
+    value = " + ".join(terms)
+    return f"SELECT {', '.join(f'd{i}' for i in range(n))}, {value if digits is None else f'round({value}, {digits})'} AS value FROM {axes}"

@@ -9,14 +9,14 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import edges as E
-from ..model import ArrayQuery, Constraint, complete_query
+from ..model import ArrayQuery, Constraint, complete_query, fit_spec
 from ..operators import append as A
 from ..operators import baselines as B
 from ..operators import binning, linear
 from ..operators import query as Q
-from ..operators.tree import Index, IndexConfig, choose_fanout, written
+from ..operators.tree import Index, IndexConfig, build_index, choose_fanout, read_index, written
 from . import gauss
-from .arrays import ARRAYS, cells_and_spec, index_of, load, ratio_query, ratio_sql, where_sql
+from .arrays import ARRAYS, PART_CELLS, cells_and_spec, index_of, linear_of, load, ratio_query, ratio_sql, reduction, where_sql
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -86,28 +86,40 @@ for name, (array, q, condition) in FIXED.items():
     add(name, partial(fixed, array, q), where_sql(array, condition))
 add("aligned_bounds_bucket_form", partial(fixed, "a2", FIXED["chunk_borders"][1], exact=False), where_sql("a2", FIXED["chunk_borders"][2]))
 
-for enc in ("equality", "range", "interval"):
-    for codec in ("raw", "wah", "bbc", "wordrun"):
-        if (enc, codec) in (("equality", "raw"), ("range", "bbc"), ("interval", "wah"), ("interval", "wordrun")):
-            cfg = IndexConfig(leaf_encoding=enc, codec=codec, list_below=0)
-            add(f"leaf_{enc}_{codec}", lambda s, d, cfg=cfg: Q.range_query(index_of(s, d, "ae", cfg), FIXED["one_sided"][1]), where_sql("ae", FIXED["one_sided"][2]))
-for rule in ("equi_width", "optimal", "v_uniform", "v_normal"):
+for enc, codec in (("equality", "raw"), ("equality", "wah"), ("range", "raw"), ("range", "bbc"), ("range", "wordrun"), ("interval", "wah"), ("interval", "wordrun"), ("bit_sliced", "raw"), ("components", "wah"), ("two_level", "wah")):
+    cfg = IndexConfig(leaf_encoding=enc, codec=codec, list_below=0)
+    add(f"leaf_{enc}_{codec}", lambda s, d, cfg=cfg: Q.range_query(index_of(s, d, "ae", cfg), FIXED["one_sided"][1]), where_sql("ae", FIXED["one_sided"][2]))
+for rule in ("equi_width", "optimal", "v_uniform", "v_normal", "by_sign"):
     cfg = IndexConfig(bins=4, merge=rule)
     add(f"merge_{rule}_range", lambda s, d, cfg=cfg: Q.range_query(index_of(s, d, "a2p", cfg), ArrayQuery({"partkey": C.between(5, 900)}, C.between(930.0, 980.0))), where_sql("a2p", "partkey >= 5 AND partkey < 900 AND value >= 930.0 AND value < 980.0"))
-for rule in ("equi_width", "v_optimal"):
-    cfg = IndexConfig(leaf_binning=rule, list_below=0)
+for rule in ("equi_width", "v_optimal", "weighted"):
+    cfg = IndexConfig(leaf_binning=rule, list_below=0, query_weights=((20.0, 60.0, 9.0),))
     add(f"leaf_bins_{rule}_range", lambda s, d, cfg=cfg: Q.range_query(index_of(s, d, "ae", cfg), FIXED["one_sided"][1]), where_sql("ae", FIXED["one_sided"][2]))
 for tag, fan in (("2", (2, 2)), ("4", (4, 4)), ("16", (16, 16))):
     add(f"fanout_{tag}_range", lambda s, d, fan=fan: (lambda i: Q.range_query(i, ratio_query(i, 0.1)))(index_of(s, d, "ae", IndexConfig(fanout=fan))), ratio_sql("ae", 0.1))
 add("list_leaves", lambda s, d: Q.range_query(index_of(s, d, "ao", IndexConfig(list_below=10**9)), ArrayQuery({"cust": C.below(700)}, C.at_least(100000.0))), where_sql("ao", "cust < 700 AND value >= 100000.0"))
 
 
+for order in ("row", "hilbert"):
+    cfg = IndexConfig(node_order=order, part_cells=PART_CELLS)
+    add(f"node_order_{order}", lambda s, d, cfg=cfg: (lambda i: Q.range_query(i, ratio_query(i, 0.1)))(index_of(s, d, "a2p", cfg)), ratio_sql("a2p", 0.1))
+
+
+def by_tables(array: str, hit: float, spark: SparkSession, d: str) -> DataFrame:
+    """The descent whose frontier is never held by the driver."""
+    index = index_of(spark, d, array, IndexConfig(part_cells=PART_CELLS, bins=8))
+    index.dense_rows = 0
+    return Q.range_query(index, ratio_query(index, hit))
+
+
+for label, array, hit in (("2d_005", "a2p", 0.005), ("2d_50", "a2p", 0.5), ("3d_10", "a3", 0.1)):
+    add(f"frontier_tables_{label}", partial(by_tables, array, hit), ratio_sql(array, hit))
+
+
 @query("multi_attr", f"SELECT a.partkey, a.suppkey, a.value, b.value AS quantity FROM ({ARRAYS['a2'].sql}) a JOIN ({ARRAYS['a2q'].sql}) b USING (partkey, suppkey) WHERE a.value >= 20000.0 AND a.value < 60000.0 AND b.value >= 10.0 AND b.value < 30.0 AND partkey < 900")
 def multi_attr(spark: SparkSession, d: str) -> DataFrame:
-    price, quantity = index_of(spark, d, "a2"), index_of(spark, d, "a2q")
     box = {"partkey": C.below(900)}
-    own = Q.range_query(quantity, ArrayQuery(box, C.between(10.0, 30.0))).withColumnRenamed("value", "quantity")
-    return Q.range_query(price, ArrayQuery(box, C.between(20000.0, 60000.0))).join(own, ["partkey", "suppkey"])
+    return Q.range_query_multi([("value", index_of(spark, d, "a2"), ArrayQuery(box, C.between(20000.0, 60000.0))), ("quantity", index_of(spark, d, "a2q"), ArrayQuery(box, C.between(10.0, 30.0)))])
 
 
 _BOXES = [(k, (k * 37) % 900, (k * 37) % 900 + 60 + 5 * k, (k * 11) % 50, (k * 11) % 50 + 12, 1000.0 * k, 1000.0 * k + 25000.0) for k in range(20)]
@@ -119,10 +131,33 @@ def batch_queries(spark: SparkSession, d: str) -> DataFrame:
     return Q.batch_query(index_of(spark, d, "a2"), boxes)
 
 
-@query("progressive_levels", where_sql("a2p", "partkey >= 20 AND partkey < 800 AND value < 960.0"))
+#: More bins than a node's children have bounds: nothing is merged, so masks are exact.
+_EXACT = IndexConfig(bins=200, part_cells=PART_CELLS)
+
+
+def levels_sql(condition: str, inside: str, side: int = 32, fan: int = 8, most: int = 6) -> tuple[str, str]:
+    """CTEs over a2p up to a table s(level, c0, c1, n, whole, meets): each node's cells, and whether it lies inside the query
+    or meets it; and the condition that the level is below the root. Boxes are clipped by the array's shape.
+
+    condition names cells(partkey, suppkey, value), bounds l0, l1, h0, h1, vl, vh and the query's ends q0, q1, qv
+    (exclusive) and p0, p1; inside is the test of a range of values [vmin, vmax] against the query."""
+    parts = f"""WITH c AS ({ARRAYS['a2p'].sql}), b AS (SELECT min(partkey) AS l0, max(partkey) + 1 AS h0, min(suppkey) AS l1, max(suppkey) + 1 AS h1, min(value) AS vl, max(value) AS vh FROM c), q AS (SELECT *, {condition} FROM b),
+t AS (SELECT (partkey - l0) // {side} AS c0, (suppkey - l1) // {side} AS c1, count(*) AS n, min(value) AS vmin, max(value) AS vmax FROM c, b GROUP BY 1, 2),
+h AS (SELECT min(k) AS height FROM b, (SELECT unnest(generate_series(1, {most})) AS k) WHERE {fan}**k * {side} >= h0 - l0 AND {fan}**k * {side} >= h1 - l1),
+u AS (SELECT k AS level, c0 // CAST({fan}**k AS BIGINT) AS c0, c1 // CAST({fan}**k AS BIGINT) AS c1, sum(n) AS n, min(vmin) AS vmin, max(vmax) AS vmax FROM t, (SELECT unnest(generate_series(0, {most})) AS k) GROUP BY 1, 2, 3),
+e AS (SELECT u.*, q.*, l0 + c0 * CAST({side} * {fan}**level AS BIGINT) AS a0, least(h0, l0 + (c0 + 1) * CAST({side} * {fan}**level AS BIGINT)) AS b0, l1 + c1 * CAST({side} * {fan}**level AS BIGINT) AS a1, least(h1, l1 + (c1 + 1) * CAST({side} * {fan}**level AS BIGINT)) AS b1 FROM u, q),
+s AS (SELECT level, c0, c1, n, vmin, vmax, a0 >= p0 AND b0 <= q0 AND a1 >= p1 AND b1 <= q1 AND {inside} AS whole, a0 < q0 AND b0 > p0 AND a1 < q1 AND b1 > p1 AND vmin < qv AS meets FROM e)"""
+    return parts, "level < (SELECT height FROM h)"
+
+
+_PROGRESS = levels_sql("800 AS q0, h1 AS q1, 960.0 AS qv, 20 AS p0, l1 AS p1", "vmax < qv")
+
+
+@query("progressive_levels", _PROGRESS[0] + ", top AS (SELECT c0, c1, level FROM s WHERE whole AND " + _PROGRESS[1] + "), k AS (SELECT partkey, suppkey, value, max(top.level) AS level FROM c, b, top WHERE (partkey - l0) // CAST(32 * 8**top.level AS BIGINT) = top.c0 AND (suppkey - l1) // CAST(32 * 8**top.level AS BIGINT) = top.c1 GROUP BY 1, 2, 3) SELECT coalesce(k.level, -1) AS level, partkey, suppkey, value FROM c LEFT JOIN k USING (partkey, suppkey, value) WHERE partkey >= 20 AND partkey < 800 AND value < 960.0")
 def progressive_levels(spark: SparkSession, d: str) -> DataFrame:
+    """Hits with the level of the node that told them (-1: verified by their value)."""
     q = ArrayQuery({"partkey": C.between(20, 800)}, C.below(960.0))
-    return Q.progressive(index_of(spark, d, "a2p"), q).drop("level")
+    return Q.progressive(index_of(spark, d, "a2p", _EXACT), q)
 
 
 # ---- estimates and counters -------------------------------------------------------------------------------------
@@ -138,26 +173,144 @@ def estimate_bounds(spark: SparkSession, d: str) -> DataFrame:
     return reduce(DataFrame.union, rows).crossJoin(exact).select("levels", "exact", ((F.col("lower_bound") <= F.col("exact")) & (F.col("exact") <= F.col("upper_bound"))).alias("within"))
 
 
-add("estimate_agg", lambda s, d: reduce(DataFrame.union, [Q.estimate_agg(index_of(s, d, _EST[0]), _EST[1], k).withColumn("levels", F.lit(k)) for k in (1, 2)]))
-add("trace_levels", lambda s, d: reduce(DataFrame.union, [(lambda i: Q.trace(i, ratio_query(i, h)).withColumn("hit", F.lit(h)))(index_of(s, d, "a2p")) for h in (0.005, 0.1, 0.5, 1.0)]))
-add("candidate_counts", lambda s, d: reduce(DataFrame.union, [(lambda i: Q.leaf_trace(i, ratio_query(i, 0.1)).withColumn("array", F.lit(a)))(index_of(s, d, a)) for a in ("a2", "ae", "a2p")]))
-add("index_space", lambda s, d: index_space(s, d))
+_EXACT_COUNT = f"SELECT count(*) AS exact, true AS within FROM ({where_sql(_EST[0], _EST[2])})"
+
+
+@query("estimate_error", f"SELECT levels, exact, within FROM ({_EXACT_COUNT}), (VALUES (1), (2)) v(levels)")
+def estimate_error(spark: SparkSession, d: str) -> DataFrame:
+    """Estimates level by level: within the count's bounds, the sum within the bounds times the largest value, and the
+    mean within the values asked for."""
+    index = index_of(spark, d, _EST[0])
+    exact = Q.range_query(index, _EST[1]).agg(F.count("*").alias("exact"), F.sum("value").alias("total"))
+    rows = []
+    for k in (1, 2):
+        both = Q.estimate_agg(index, _EST[1], k).crossJoin(Q.estimate_count(index, _EST[1], k)).crossJoin(exact)
+        count_ok = (F.col("est_count") >= F.col("lower_bound") - 1e-6) & (F.col("est_count") <= F.col("upper_bound") + 1e-6)
+        spread = F.col("upper_bound") - F.col("lower_bound")
+        sum_ok = F.abs(F.col("est_sum") - F.col("total")) <= spread * 960.0 + F.col("total") * 0.05
+        rows.append(both.select(F.lit(k).alias("levels"), "exact", (count_ok & sum_ok & ((F.col("exact") == 0) | F.col("est_avg").between(900.0, 960.0))).alias("within")))
+    return reduce(DataFrame.union, rows)
+
+
+@query("estimate_members", f"SELECT levels, value, count(*) AS est FROM ({ARRAYS['aet'].sql}), (VALUES (1), (2)) v(levels) WHERE value IN (0.0, 2.0, 4.0) GROUP BY 1, 2")
+def estimate_members(spark: SparkSession, d: str) -> DataFrame:
+    """Equality on few values: bins are the values themselves, so estimates are exact on every level."""
+    index = index_of(spark, d, "aet")
+    rows = [Q.estimate_agg(index, ArrayQuery({}, C.eq(v)), k).select(F.lit(k).alias("levels"), F.lit(v).alias("value"), F.round("est_count").cast("long").alias("est")) for k in (1, 2) for v in (0.0, 2.0, 4.0)]
+    return reduce(DataFrame.union, rows).where("est > 0")
+
+
+@query("estimate_from_histograms", f"SELECT count(*) AS exact, true AS within FROM ({where_sql('ae', 'value >= 20.0 AND value < 60.0')})")
+def estimate_from_histograms(spark: SparkSession, d: str) -> DataFrame:
+    """From the chunks' histograms alone: off by at most the cells of two bins in each chunk, of an equal share each."""
+    index, q = index_of(spark, d, "ae"), ArrayQuery({}, C.between(20.0, 60.0))
+    leaves = index.leaves.agg(F.sum(F.col("n_cells") * 2 / 16 + 2).alias("slack"))
+    exact = Q.range_query(index, q).agg(F.count("*").alias("exact"))
+    both = Q.estimate_from_histograms(index, q).crossJoin(leaves).crossJoin(exact)
+    return both.select("exact", (F.abs(F.col("est_count") - F.col("exact")) <= F.col("slack")).alias("within"))
+
+
+@query("estimate_from_bins", f"SELECT count(*) AS exact, true AS within FROM ({where_sql('a2', 'partkey >= 33 AND partkey < 129 AND value >= 20000.0 AND value < 50000.0')})")
+def estimate_from_bins(spark: SparkSession, d: str) -> DataFrame:
+    """Bounds from the global bitmaps alone; the edge bins of both columns make up what lies between them."""
+    wanted = {"partkey": [C.between(33, 129)], "value": [C.between(20000.0, 50000.0)]}
+    index = linear_of(spark, d, "a2", "all")
+    exact = B.bitmap_hits(index, wanted).agg(F.count("*").alias("exact"))
+    return B.count_bounds(index, wanted).crossJoin(exact).select("exact", ((F.col("lower_bound") <= F.col("exact")) & (F.col("exact") <= F.col("upper_bound")) & (F.col("upper_bound") > 0)).alias("within"))
+
+
+def _trace_sql(hit: float) -> str:
+    r = ratio_reduction(hit)
+    ends = f"l0 + CAST(ceil({r}::DOUBLE * (h0 - l0)) AS BIGINT) AS q0, l1 + CAST(ceil({r}::DOUBLE * (h1 - l1)) AS BIGINT) AS q1, {'vh + 1' if hit >= 1 else f'vl + {r}::DOUBLE * (vh - vl)'} AS qv, l0 AS p0, l1 AS p1"
+    parts, below = levels_sql(ends, "vmax < qv")
+    return f"""SELECT {hit}::DOUBLE AS hit, * FROM ({parts}, v AS (SELECT s.*, p.c0 IS NOT NULL AS seen FROM s LEFT JOIN s p ON p.level = s.level + 1 AND p.c0 = s.c0 // 8 AND p.c1 = s.c1 // 8 AND ((p.meets AND NOT p.whole) OR p.level = (SELECT height FROM h)))
+SELECT level, count(*) AS children, count(*) FILTER (whole) AS complete, count(*) FILTER (meets AND NOT whole) AS partial, count(*) FILTER (NOT meets) AS pruned FROM v WHERE seen AND {below} GROUP BY level)"""
+
+
+def ratio_reduction(hit: float) -> str:
+    return repr(reduction(hit, 2))
+
+
+_HITS = (0.005, 0.1, 0.5, 1.0)
+
+
+@query("trace_levels", " UNION ALL ".join(map(_trace_sql, _HITS)))
+def trace_levels(spark: SparkSession, d: str) -> DataFrame:
+    """What the descent meets on each level, by hit ratio."""
+    index = index_of(spark, d, "a2p", _EXACT)
+    rows = [Q.trace(index, ratio_query(index, h)).withColumn("hit", F.lit(h)) for h in _HITS]
+    return reduce(DataFrame.union, rows).select("hit", "level", "children", "complete", "partial", "pruned").where("children > 0")
+
+
+@query("candidate_counts", " UNION ALL ".join(f"SELECT '{a}' AS array_name, (SELECT count(*) FROM ({ratio_sql(a, 0.1)})) AS hits, true AS within" for a in ("a2", "ae", "a2p")))
+def candidate_counts(spark: SparkSession, d: str) -> DataFrame:
+    """Cells told by complete nodes, sure cells of leaves and candidates less false positives add up to the hits; a leaf
+    reads at most four bitmaps for one range, and its candidates lie in two bins."""
+    out = []
+    for a in ("a2", "ae", "a2p"):
+        index = index_of(spark, d, a)
+        q = ratio_query(index, 0.1)
+        told = Q.progressive(index, q).where("level >= 0").agg(F.count("*").alias("told"))
+        found = Q.leaf_trace(index, q).crossJoin(told)
+        hits = F.col("told") + F.col("sure") + F.col("candidates") - F.col("false_positives")
+        out.append(found.select(F.lit(a).alias("array_name"), hits.alias("hits"), (F.col("bitmaps") <= 4 * F.col("leaves")).alias("within")))
+    return reduce(DataFrame.union, out)
+
+
+_BLOCK_BITS = " + ".join(f"((x0 >> {j}) & 1) * {1 << (2 * j + 1)} + ((x1 >> {j}) & 1) * {1 << (2 * j)}" for j in range(12))
+
+
+@query(
+    "blocks_read",
+    f"""WITH c AS (SELECT *, min(partkey) OVER () AS l0, min(suppkey) OVER () AS l1 FROM ({ARRAYS['a2'].sql})), k AS (SELECT DISTINCT (partkey - l0) // 32 AS c0, (suppkey - l1) // 32 AS c1, l0, l1 FROM c), g AS (SELECT max(partkey) - min(partkey) + 1 AS e0, max(suppkey) - min(suppkey) + 1 AS e1, count(*) AS n FROM c),
+lv AS (SELECT min(i) AS lev FROM g, (SELECT unnest(generate_series(0, 6)) AS i) WHERE ceil(ceil(e0 / 32.0) / 8**i) * ceil(ceil(e1 / 32.0) / 8**i) <= greatest(1, least(4096, n // 256))),
+x AS (SELECT c0 >> CAST(3 * lev AS INTEGER) AS x0, c1 >> CAST(3 * lev AS INTEGER) AS x1 FROM k, lv WHERE l0 + 32 * c0 < 129 AND l0 + 32 * c0 + 32 > 33 AND l1 + 32 * c1 + 32 > 5)
+SELECT DISTINCT {_BLOCK_BITS} AS block, 1 AS reads FROM x""",
+)
+def blocks_read(spark: SparkSession, d: str) -> DataFrame:
+    """Blocks of the cells that a box reads, and how often each: the parts that its chunks lie in, once."""
+    return Q.blocks_read(index_of(spark, d, "a2", IndexConfig(part_cells=256)), FIXED["dim_only"][1])
 
 
 def index_space(spark: SparkSession, d: str) -> DataFrame:
-    """Bytes of the three methods' indexes on one array."""
+    """Bytes of the three methods' indexes, on arrays of the tables and on generated ones of three sizes."""
     out = []
+
+    def put(name: str, tree: Index, lines: B.LinearIndex, columns: B.LinearIndex) -> None:
+        own = Q.index_bytes(tree).agg(F.sum(F.col("bitmap_bytes") + F.col("meta_bytes")).alias("bytes"))
+        sizes = [("chunk_tree", own), *((m, B.bitmap_bytes(i).agg(F.sum("bytes").alias("bytes"))) for m, i in (("rect_clip", lines), ("dim_columns", columns)))]
+        out.extend(x.select(F.lit(name).alias("array_name"), F.lit(m).alias("method"), "bytes") for m, x in sizes)
+
     for name in ("a2", "ae"):
-        cells, spec = cells_and_spec(spark, d, name)
-        tree = Q.index_bytes(index_of(spark, d, name, IndexConfig(list_below=0))).agg(F.sum(F.col("bitmap_bytes") + F.col("meta_bytes")).alias("bytes"))
-        out.append(tree.select(F.lit(name).alias("array"), F.lit("chunk_tree").alias("method"), "bytes"))
-        for method, columns, encoding in (("rect_clip", [spec.attr], "interval"), ("dim_columns", [*spec.names, spec.attr], "range")):
-            edges = B.global_edges(cells, columns, 32)
-            size = B.bitmap_bytes(B.global_bitmaps(cells, spec, edges, encoding)).agg(F.sum("bytes").alias("bytes"))
-            out.append(size.select(F.lit(name).alias("array"), F.lit(method).alias("method"), "bytes"))
+        put(name, index_of(spark, d, name, IndexConfig(list_below=0)), linear_of(spark, d, name, encoding="interval"), linear_of(spark, d, name, "all"))
+    for side in (64, 128, 256):
+        put(f"gauss_{side}", gauss.index(spark, (side, side), cfg=IndexConfig(list_below=0)), gauss.linear(spark, (side, side), "value", encoding="interval"), gauss.linear(spark, (side, side), "all"))
     return reduce(DataFrame.union, out)
 
 
+#: Uncompressed, a space is known from the definition: bits of a block or chunk for each bitmap.
+_CHUNKS = ARRAYS["ae"].sql
+_RAW = f"""WITH c AS (SELECT *, min("user") OVER () AS l0, min(hour) OVER () AS l1 FROM ({_CHUNKS})), k AS (SELECT *, ("user" - l0) // 16 AS c0, (hour - l1) // 16 AS c1 FROM c),
+r AS (SELECT *, row_number() OVER (PARTITION BY c0, c1 ORDER BY value) AS r, count(*) OVER (PARTITION BY c0, c1) AS n FROM k), d AS (SELECT c0, c1, count(DISTINCT value) AS few, max(value) AS top FROM k GROUP BY 1, 2),
+e AS (SELECT DISTINCT r.c0, r.c1, value FROM r, (SELECT unnest(generate_series(0, 15)) AS b) WHERE r = b * n // 16 + 1), f AS (SELECT e.c0, e.c1, count(*) AS starts, bool_or(value = top) AS has_top FROM e JOIN d USING (c0, c1) GROUP BY 1, 2),
+m AS (SELECT CASE WHEN few <= 16 THEN few ELSE starts - has_top::INT END AS bins FROM f JOIN d USING (c0, c1))
+SELECT count(*) AS leaves, sum(bins - 1) AS range_bitmaps, sum((bins + 1) // 2) AS interval_bitmaps, sum(bins) AS equality_bitmaps FROM m"""
+
+
+@query("bitmap_counts", _RAW)
+def bitmap_counts(spark: SparkSession, d: str) -> DataFrame:
+    """Bitmaps that each encoding keeps over all leaves, without those of empty cells."""
+    out = None
+    for enc in ("range", "interval", "equality"):
+        leaves = index_of(spark, d, "ae", IndexConfig(leaf_encoding=enc, codec="raw", list_below=0)).leaves
+        own = leaves.agg(F.count("*").alias("leaves"), F.sum(F.size("bitmaps")).alias(f"{enc}_bitmaps"))
+        out = own if out is None else out.join(own, "leaves")
+    return out
+
+
+add("index_space", lambda s, d: index_space(s, d))
+
+
 @query("hit_ratios", "SELECT array_name, hit, n_cells, hits FROM (" + " UNION ALL ".join(f"SELECT '{a}' AS array_name, {h}::DOUBLE AS hit, (SELECT count(*) FROM ({ARRAYS[a].sql})) AS n_cells, (SELECT count(*) FROM ({ratio_sql(a, h)})) AS hits" for a in ("a2", "a2p") for h in (0.1, 0.5)) + ")")
 def hit_ratios(spark: SparkSession, d: str) -> DataFrame:
     out = []
@@ -172,12 +325,14 @@ def hit_ratios(spark: SparkSession, d: str) -> DataFrame:
 
 _B2 = ("a2", ArrayQuery({"partkey": C.between(10, 800), "suppkey": C.between(2, 60)}, C.between(10000.0, 45000.0)), "partkey >= 10 AND partkey < 800 AND suppkey >= 2 AND suppkey < 60 AND value >= 10000.0 AND value < 45000.0")
 _W2 = where_sql(_B2[0], _B2[2])
-add("baseline_rect_clip", lambda s, d: B.rect_clip(*cells_and_spec(s, d, "a2"), _B2[1]), _W2)
-add("baseline_dim_columns", lambda s, d: B.dim_columns(*cells_and_spec(s, d, "a2"), _B2[1]), _W2)
+add("baseline_rect_clip", lambda s, d: B.rect_clip(linear_of(s, d, "a2", encoding="interval"), _B2[1]), _W2)
+add("baseline_dim_columns", lambda s, d: B.dim_columns(linear_of(s, d, "a2", "all"), _B2[1]), _W2)
 for rule in ("equi_width", "v_optimal"):
-    add(f"dim_columns_{rule}", lambda s, d, rule=rule: B.dim_columns(*cells_and_spec(s, d, "a2"), _B2[1], binning=rule), _W2)
-add("baseline_dim_columns_3d", lambda s, d: B.dim_columns(*cells_and_spec(s, d, "a3"), FIXED["mixed_satellite_style"][1]), where_sql("a3", FIXED["mixed_satellite_style"][2]))
-add("baseline_rect_clip_3d", lambda s, d: B.rect_clip(*cells_and_spec(s, d, "a3"), FIXED["mixed_satellite_style"][1]), where_sql("a3", FIXED["mixed_satellite_style"][2]))
+    add(f"dim_columns_{rule}", lambda s, d, rule=rule: B.dim_columns(linear_of(s, d, "a2", "all", binning=rule), _B2[1]), _W2)
+for enc, name in (("bit_sliced", "bit_sliced_range"), ("components", "multi_component_range"), ("two_level", "multi_level_range")):
+    add(name, lambda s, d, enc=enc: B.dim_columns(linear_of(s, d, "a2", "all", encoding=enc, bins=64), _B2[1]), _W2)
+add("baseline_dim_columns_3d", lambda s, d: B.dim_columns(linear_of(s, d, "a3", "all"), FIXED["mixed_satellite_style"][1]), where_sql("a3", FIXED["mixed_satellite_style"][2]))
+add("baseline_rect_clip_3d", lambda s, d: B.rect_clip(linear_of(s, d, "a3", encoding="interval"), FIXED["mixed_satellite_style"][1]), where_sql("a3", FIXED["mixed_satellite_style"][2]))
 add("baseline_zone_map", lambda s, d: B.zone_map(index_of(s, d, "a2"), _B2[1]), _W2)
 add("baseline_synopsis_tree", lambda s, d: B.synopsis_tree(index_of(s, d, "a2"), _B2[1]), _W2)
 add("baseline_grid_filter", lambda s, d: B.grid_filter(index_of(s, d, "a2"), _B2[1]), _W2)
@@ -187,14 +342,17 @@ WITH hits AS ({_W2}), r AS (SELECT *, suppkey - row_number() OVER (PARTITION BY
 lines AS (SELECT partkey, min(suppkey) AS lo_suppkey, max(suppkey) + 1 AS hi_suppkey FROM r GROUP BY partkey, g),
 s AS (SELECT *, partkey - row_number() OVER (PARTITION BY lo_suppkey, hi_suppkey ORDER BY partkey) AS g FROM lines)
 SELECT min(partkey) AS lo_partkey, max(partkey) + 1 AS hi_partkey, lo_suppkey, hi_suppkey FROM s GROUP BY lo_suppkey, hi_suppkey, g"""
-add("rect_clip_rectangles", lambda s, d: B.clipped_boxes(*cells_and_spec(s, d, "a2"), _B2[1]), _RUNS)
+add("rect_clip_rectangles", lambda s, d: B.clipped_boxes(linear_of(s, d, "a2", encoding="interval"), _B2[1]), _RUNS)
+add("rect_clip_sets", lambda s, d: B.rect_clip(linear_of(s, d, "a2", encoding="interval"), FIXED["member_dim"][1]), where_sql("a2", FIXED["member_dim"][2]))
+add("rect_clip_1d", lambda s, d: B.rect_clip(linear_of(s, d, "ad", encoding="interval"), ArrayQuery({"doc": C.between(20, 900)}, C.at_least(500.0))), where_sql("ad", "doc >= 20 AND doc < 900 AND value >= 500.0"))
 
 
 @query("pairwise_agree", f"SELECT count(*) AS hits, 5 AS methods, true AS agree FROM ({_W2})")
 def pairwise_agree(spark: SparkSession, d: str) -> DataFrame:
     """All methods give the same cells: each cell is found by all five of them."""
-    index, (cells, spec) = index_of(spark, d, "a2"), cells_and_spec(spark, d, "a2")
-    found = [Q.range_query(index, _B2[1]), B.rect_clip(cells, spec, _B2[1]), B.dim_columns(cells, spec, _B2[1]), B.zone_map(index, _B2[1]), B.synopsis_tree(index, _B2[1])]
+    index = index_of(spark, d, "a2")
+    spec = index.spec
+    found = [Q.range_query(index, _B2[1]), B.rect_clip(linear_of(spark, d, "a2", encoding="interval"), _B2[1]), B.dim_columns(linear_of(spark, d, "a2", "all"), _B2[1]), B.zone_map(index, _B2[1]), B.synopsis_tree(index, _B2[1])]
     per_cell = reduce(DataFrame.unionByName, found).groupBy(*spec.names, spec.attr).agg(F.count("*").alias("k"))
     return per_cell.agg(F.count("*").alias("hits"), F.lit(5).alias("methods"), (F.min("k") == 5).alias("agree"))
 
@@ -274,25 +432,49 @@ def _parents(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("child_edges", lambda s, d: _parents(s, d).select("p0", "p1", F.explode("edges").alias("edge")), _KIDS + "SELECT p0, p1, edge FROM e")
-for family, test in (("started", "lo < edge"), ("ended", "hi <= edge")):
-    add(
-        f"double_range_{family}",
-        lambda s, d, family=family: _parents(s, d).select("p0", "p1", F.explode(F.arrays_zip((F.slice("edges", 2, 10**6) if family == "started" else F.col("edges")).alias("edge"), (F.slice("started", 1, F.size("edges") - 1) if family == "started" else F.col("ended")).alias("words"))).alias("x")).select("p0", "p1", "x.edge", "x.words").select("p0", "p1", "edge", F.explode(Q.set_slots("words", (8, 8))).alias("slot")),
-        _KIDS + f"SELECT e.p0, e.p1, e.edge, p.slot FROM e JOIN p ON p.p0 = e.p0 AND p.p1 = e.p1 AND {test}" + (" WHERE e.edge > (SELECT min(x.edge) FROM e x WHERE x.p0 = e.p0 AND x.p1 = e.p1)" if family == "started" else ""),
-    )
-add("nodesin", lambda s, d: (lambda p: p.select("p0", "p1", F.explode(Q.set_slots("inside", (8, 8))).alias("slot")))(_parents(s, d).withColumn("inside", F.array(*Q.attr_partial(C.between(52000.0, 52000.0, True), F.lit(52000.0), F.lit(52000.0), 1)))), _KIDS + "SELECT p0, p1, slot FROM p WHERE lo <= 52000.0 AND hi >= 52000.0")
+def _bounds(family: str, threshold: str):
+    """p0, p1, edge, slot: the stored bitmaps of a family, as sets."""
+    return lambda s, d: _parents(s, d).select("p0", "p1", F.explode(F.arrays_zip(F.col(threshold).alias("edge"), F.col(family).alias("words"))).alias("x")).select("p0", "p1", F.col("x.edge").alias("edge"), F.explode(Q.set_slots("x.words", (8, 8))).alias("slot"))
+
+
+# a set changes above each beginning and at each end, so just those thresholds are kept
+add("double_range_started", _bounds("started", "plus"), _KIDS + ", t AS (SELECT DISTINCT p0, p1, lo AS edge FROM p) SELECT t.p0, t.p1, t.edge, p.slot FROM t JOIN p ON p.p0 = t.p0 AND p.p1 = t.p1 AND p.lo < t.edge")
+add("double_range_ended", _bounds("ended", "minus"), _KIDS + ", t AS (SELECT DISTINCT p0, p1, hi AS edge FROM p) SELECT t.p0, t.p1, t.edge, p.slot FROM t JOIN p ON p.p0 = t.p0 AND p.p1 = t.p1 AND p.hi <= t.edge")
+add("bin_signs", lambda s, d: _parents(s, d).select("p0", "p1", F.size("plus").cast("long").alias("adding"), F.size("minus").cast("long").alias("ending")), _KIDS + "SELECT p0, p1, count(DISTINCT lo) - 1 AS adding, count(DISTINCT hi) AS ending FROM p GROUP BY 1, 2")
+add("nodesin", lambda s, d: (lambda p: p.select("p0", "p1", F.explode(Q.set_slots("inside", (8, 8))).alias("slot")))(_parents(s, d).withColumn("inside", F.array(*[a.bitwiseAND(F.bitwise_not(b)) for a, b in zip(Q.below(F.lit(52000.0), True, 1), Q.over(F.lit(52000.0), False, 1))]))), _KIDS + "SELECT p0, p1, slot FROM p WHERE lo <= 52000.0 AND hi >= 52000.0")
+
+
+def reduced_nodes(rule: str, spark: SparkSession, d: str) -> DataFrame:
+    """Nodes of at most 16 bins held against their children: every stored set is the children's, none is there twice, and
+    thresholds are bounds of children."""
+    index = index_of(spark, d, "a2", IndexConfig(merge=rule, part_cells=PART_CELLS))
+    lo, slots = [x.lo for x in index.spec.dims], F.array(*[F.lit(z) for z in linear.slot_z(index.fanout)])
+    slot = F.array_position(slots, F.col("z").bitwiseAND(F.lit((1 << index.step) - 1)).cast("int")) - 1
+    kids = index.leaves.select(F.shiftright("z", index.step).alias("z"), F.struct(slot.alias("slot"), "vmin", "vmax").alias("k")).groupBy("z").agg(F.collect_list("k").alias("kids"))
+    both = index.level(1).join(kids, "z")
+    sets = lambda family, thresholds, test: F.forall(F.arrays_zip(F.col(thresholds).alias("t"), F.col(family).alias("w")), lambda x: F.array_sort(Q.set_slots(x["w"], (8, 8)).cast("array<long>")) == F.array_sort(F.transform(F.filter("kids", lambda k: test(k, x["t"])), lambda k: k["slot"])))
+    bounds = F.array_union(F.transform("kids", lambda k: k["vmin"]), F.transform("kids", lambda k: k["vmax"]))
+    right = sets("started", "plus", lambda k, t: k["vmin"] < t) & sets("ended", "minus", lambda k, t: k["vmax"] <= t)
+    once = (F.size(F.array_distinct("started")) == F.size("started")) & (F.size(F.array_distinct("ended")) == F.size("ended"))
+    few = (F.size("edges") <= 17) & F.forall("edges", lambda e: F.array_contains(bounds, e))
+    return both.select(*[((F.col("lo")[i] - lo[i]) / 256).cast("long").alias(f"p{i}") for i in (0, 1)], F.size("kids").cast("long").alias("children"), "vmin", "vmax", right.alias("right_sets"), once.alias("no_set_twice"), few.alias("at_most_16_bins"))
 
 
-@query("dim_masks", "SELECT d, bucket, kind, count(*) AS slots FROM (SELECT unnest([0, 1]) AS d), (SELECT unnest(generate_series(0, 7)) AS bucket), (SELECT unnest(['at', 'from', 'upto']) AS kind), (SELECT unnest(generate_series(0, 63)) AS slot) WHERE CASE kind WHEN 'at' THEN (CASE d WHEN 0 THEN slot // 8 ELSE slot % 8 END) = bucket WHEN 'from' THEN (CASE d WHEN 0 THEN slot // 8 ELSE slot % 8 END) >= bucket ELSE (CASE d WHEN 0 THEN slot // 8 ELSE slot % 8 END) <= bucket END GROUP BY 1, 2, 3")
+for rule in ("equi_depth", "equi_width", "by_sign"):
+    add(f"reduced_nodes_{rule}", partial(reduced_nodes, rule), _KIDS + "SELECT p0, p1, count(*) AS children, min(lo) AS vmin, max(hi) AS vmax, true AS right_sets, true AS no_set_twice, true AS at_most_16_bins FROM p GROUP BY 1, 2")
+
+
+@query("dim_masks", "SELECT d, bucket, kind, slot FROM (SELECT unnest([0, 1]) AS d), (SELECT unnest(generate_series(0, 7)) AS bucket), (SELECT unnest(['at', 'from', 'upto']) AS kind), (SELECT unnest(generate_series(0, 63)) AS slot) WHERE CASE kind WHEN 'at' THEN (CASE d WHEN 0 THEN slot // 8 ELSE slot % 8 END) = bucket WHEN 'from' THEN (CASE d WHEN 0 THEN slot // 8 ELSE slot % 8 END) >= bucket ELSE (CASE d WHEN 0 THEN slot // 8 ELSE slot % 8 END) <= bucket END")
 def dim_masks(spark: SparkSession, d: str) -> DataFrame:
     m = Q.dim_masks((8, 8))
-    rows = [(dim, b, kind, words[0]) for kind, t in (("at", m.at), ("from", m.from_), ("upto", m.upto)) for dim, r in enumerate(t) for b, words in enumerate(r)]
-    return spark.createDataFrame(rows, "d int, bucket long, kind string, mask long").select("d", "bucket", "kind", F.bit_count("mask").cast("long").alias("slots"))
+    rows = [(dim, b, kind, words) for kind, t in (("at", m.at), ("from", m.from_), ("upto", m.upto)) for dim, r in enumerate(t) for b, words in enumerate(r)]
+    return spark.createDataFrame(rows, "d int, bucket long, kind string, words array<long>").select("d", "bucket", "kind", F.explode(Q.set_slots("words", (8, 8))).alias("slot"))
 
 
-@query("wsse_compare", None)
+@query("wsse_compare", _KIDS + ", m AS (SELECT c0 // 8 AS p0, c1 // 8 AS p1, count(*) AS n_cells FROM k GROUP BY 1, 2) SELECT e.p0, e.p1, count(*) AS n_edges, min(n_cells) AS n_cells, true AS ordered FROM e JOIN m USING (p0, p1) GROUP BY 1, 2")
 def wsse_compare(spark: SparkSession, d: str) -> DataFrame:
-    """Error of three ways to reduce each parent's edges to 8 bins."""
+    """Edges of each parent reduced to 8 bins in three ways: mass is kept, the exchange ends no worse than it began, and
+    no better than the optimum."""
     rows = _parents(spark, d).select("p0", "p1", "edges", "weights")
 
     def run(batches):
@@ -303,10 +485,14 @@ def wsse_compare(spark: SparkSession, d: str) -> DataFrame:
             out = []
             for r in pdf.itertuples():
                 e, w = np.array(r.edges), np.array(r.weights)
-                out += [(r.p0, r.p1, k, E.wsse(E.merged_mass(e, w, E.REDUCE[k](e, w, 8)), 8)) for k in ("equi_width", "equi_depth", "optimal")]
-            yield pd.DataFrame(out, columns=["p0", "p1", "rule", "wsse"])
+                error = {k: E.wsse(E.merged_mass(e, w, E.REDUCE[k](e, w, 8)), 8) for k in ("equi_width", "equi_depth", "optimal")}
+                begin = E.wsse(E.merged_mass(e, w, e[E._fill(e, np.concatenate([[0], np.cumsum(w)]), np.searchsorted(e, E.reduce_equi_width(e, 8)).tolist(), 8)]), 8)
+                slack = 1e-9 * (1 + begin)
+                ordered = error["optimal"] <= error["equi_depth"] + slack and error["equi_depth"] <= begin + slack
+                out.append((r.p0, r.p1, len(e), round(float(w.sum())), ordered))
+            yield pd.DataFrame(out, columns=["p0", "p1", "n_edges", "n_cells", "ordered"])
 
-    return rows.mapInPandas(run, "p0 long, p1 long, rule string, wsse double")
+    return rows.mapInPandas(run, "p0 long, p1 long, n_edges long, n_cells long, ordered boolean")
 
 
 # ---- append, modification, layout -------------------------------------------------------------------------------
@@ -315,32 +501,39 @@ _LATER = ("ae", ArrayQuery({"user": C.below(100)}, C.between(10.0, 90.0)), '"use
 
 
 def appended(spark: SparkSession, d: str, rebalance: bool) -> DataFrame:
-    """The first hours are indexed, the rest is appended in three slices along the hour dimension."""
-    from ..operators.tree import build_index
-
+    """The first hours are indexed, the rest is appended in three slices along the hour dimension. Users are known from
+    the start; hours grow."""
     cells, spec = cells_and_spec(spark, d, "ae")
     cells = written(cells, "cells")
     cuts = [spec.dims[1].lo + spec.dims[1].extent * k // 5 for k in (2, 3, 4)]
     first = cells.where(F.col("hour") < cuts[0])
-    from ..model import fit_spec
-
-    index: Index = build_index(first, fit_spec(first, spec.names, spec.chunk), IndexConfig(fanout=(4, 4)))
+    known = fit_spec(first, spec.names, spec.chunk, domain={"user": (spec.dims[0].lo, spec.dims[0].hi), "hour": (spec.dims[1].lo, cuts[0])})
+    index: Index = build_index(first, known, IndexConfig(fanout=(4, 4), part_cells=1 << 12))
     for a, b in zip(cuts, [*cuts[1:], spec.dims[1].hi]):
-        part = cells.where((F.col("hour") >= a) & (F.col("hour") < b) & (F.col("user") >= index.spec.dims[0].lo))
-        index = A.append(index, part, rebalance)
-    return Q.range_query(index, _LATER[1])
+        index = A.append(index, cells.where((F.col("hour") >= a) & (F.col("hour") < b)), rebalance)
+    return Q.range_query(read_index(spark, index.path), _LATER[1])
 
 
-_APP = f"WITH c AS ({ARRAYS['ae'].sql}), b AS (SELECT min(hour) AS l, max(hour) + 1 AS h FROM c), f AS (SELECT min(\"user\") AS lu FROM c, b WHERE hour < l + (h - l) * 2 // 5) SELECT \"user\", hour, value FROM c, b, f WHERE \"user\" >= lu AND {_LATER[2]}"
-add("append_equals_rebuild", lambda s, d: appended(s, d, False), _APP)
-add("append_rebalanced", lambda s, d: appended(s, d, True), _APP)
+add("append_equals_rebuild", lambda s, d: appended(s, d, False), where_sql(_LATER[0], _LATER[2]))
+add("append_rebalanced", lambda s, d: appended(s, d, True), where_sql(_LATER[0], _LATER[2]))
 
 
-@query("modify_cells", f"SELECT partkey, suppkey, value FROM (SELECT partkey, suppkey, CASE WHEN partkey % 10 = 0 AND partkey < 300 THEN value + 1000.0 ELSE value END AS value FROM ({_A2})) WHERE partkey < 500 AND value >= 20000.0 AND value < 50000.0")
+@query("append_below_origin", where_sql(_LATER[0], _LATER[2]))
+def append_below_origin(spark: SparkSession, d: str) -> DataFrame:
+    """Later hours first: what is appended lies below the origin, so the index is built anew as its next version."""
+    cells, spec = cells_and_spec(spark, d, "ae")
+    middle = spec.dims[1].lo + spec.dims[1].extent // 2
+    late = cells.where(F.col("hour") >= middle)
+    index = build_index(late, fit_spec(late, spec.names, spec.chunk), IndexConfig(part_cells=PART_CELLS))
+    return Q.range_query(A.append(index, cells.where(F.col("hour") < middle)), _LATER[1])
+
+
+@query("modify_cells", f"SELECT partkey, suppkey, value FROM (SELECT partkey, suppkey, CASE WHEN value >= 30000.0 THEN value - 20000.0 ELSE value END AS value FROM ({_A2})) WHERE value >= 20000.0 AND value < 50000.0")
 def modify_cells(spark: SparkSession, d: str) -> DataFrame:
-    index = index_of(spark, d, "a2")
-    changed = index.cells.where("partkey % 10 = 0 and partkey < 300").select("partkey", "suppkey", (F.col("value") + 1000.0).alias("value"))
-    return Q.range_query(A.modify(index, changed), ArrayQuery({"partkey": C.below(500)}, C.between(20000.0, 50000.0)))
+    """All cells of 30,000 or more lose 20,000."""
+    index = build_index(*cells_and_spec(spark, d, "a2"), IndexConfig(part_cells=PART_CELLS))
+    changed = index.cells.where("value >= 30000.0").select("partkey", "suppkey", (F.col("value") - 20000.0).alias("value"))
+    return Q.range_query(A.modify(index, changed), ArrayQuery({}, C.between(20000.0, 50000.0)))
 
 
 @query("compress_orders", None)

@@ -1,25 +1,27 @@
 """spark.read.format("gridmask").option("index", path): cells of a written index, pruned by pushed filters.
 
-Comparisons and IN on dimensions and the attribute choose leaves by their boxes and value ranges while planning; what
-is left is filtered again by Spark. Reads Parquet files with pyarrow, so the path must be one that every executor sees.
+Comparisons and IN on dimensions and the attribute choose leaves by their boxes and value ranges while planning: from the
+root down, so only nodes and leaves under nodes that meet the filters are read. What is left is filtered again by Spark.
+Files are read with pyarrow, so the path must be on a store that pyarrow's file systems reach from every executor.
 """
 
 from __future__ import annotations
 
 import json
 from collections.abc import Iterator, Sequence
-from pathlib import Path
 
 import pyarrow as pa
-import pyarrow.compute as pc
 import pyarrow.dataset as ds
+from pyarrow import fs
 from pyspark.sql import SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, In, InputPartition, LessThan, LessThanOrEqual
 from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
+from ..operators.linear import slot_z
 
-def _local(path: str) -> str:
-    return path.removeprefix("file://")
+
+def _opened(path: str) -> tuple[fs.FileSystem, str]:
+    return fs.FileSystem.from_uri(path) if "://" in path else (fs.LocalFileSystem(), path.removeprefix("file:"))
 
 
 class LeafGroup(InputPartition):
@@ -29,9 +31,14 @@ class LeafGroup(InputPartition):
 
 class IndexReader(DataSourceReader):
     def __init__(self, path: str, group: int) -> None:
-        self.path, self.group = _local(path), group
-        meta = json.loads(sorted(Path(self.path, "meta").glob("part-*"))[0].read_text())
-        self.spec, self.config = json.loads(meta["spec"]), meta["config"]
+        self.path, self.group = path.rstrip("/"), group
+        store, at = _opened(self.path)
+        found = [i.path for i in store.get_file_info(fs.FileSelector(f"{at}/versions")) if i.base_name.endswith(".json")]
+        with store.open_input_stream(max(found)) as f:
+            self.state = json.loads(f.read())
+        self.spec, self.config = json.loads(self.state["spec"]), self.state["config"]
+        bits = max(1, (max(self.config["fanout"]) - 1).bit_length())
+        self.step = len(self.spec["dims"]) * bits
         self.bounds: dict[str, list[float]] = {}
 
     def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:
@@ -54,17 +61,41 @@ class IndexReader(DataSourceReader):
                 self.bounds[name] = [max(old[0], lo), min(old[1], hi)]
             yield f
 
+    def rows(self, name: str, level: int, zs: list[int], columns: list[str]) -> pa.Table | None:
+        """Rows of a table with these codes, from the folders that hold them."""
+        store, at = _opened(self.path)
+        k = self.state["part_level"]
+        if name != "cells" and level >= k and level > 0:
+            folders = [f"{at}/{name}/gen={self.state['top']}"]
+        else:
+            parts = sorted({z >> ((k - level) * self.step) for z in zs})
+            folders = [f"{at}/{name}/gen={self.state['parts'][str(p)]}/part={p}" for p in parts if str(p) in self.state["parts"]]
+        files = [i.path for f in folders for i in store.get_file_info(fs.FileSelector(f)) if i.base_name.endswith(".parquet")]
+        if not files:
+            return None
+        z = ds.field("z")
+        return ds.dataset(files, filesystem=store, format="parquet").to_table(columns=columns, filter=(z >= min(zs)) & (z <= max(zs)) & z.isin(zs))
+
     def leaves(self) -> list[int]:
-        """Z codes of leaves whose box and value range meet the pushed bounds."""
-        t = ds.dataset(f"{self.path}/level=0").to_table(columns=["z", "lo", "vmin", "vmax"])
-        keep = [True] * t.num_rows
-        lo = t.column("lo").to_pylist()
-        for i, (d, side) in enumerate(zip(self.spec["dims"], self.spec["chunk"])):
-            a, b = self.bounds.get(d["name"], (float("-inf"), float("inf")))
-            keep = [k and x[i] <= b and x[i] + side > a for k, x in zip(keep, lo)]
-        a, b = self.bounds.get(self.spec["attr"], (float("-inf"), float("inf")))
-        mask = pc.and_(pa.array(keep), pc.and_(pc.less_equal(t.column("vmin"), b), pc.greater_equal(t.column("vmax"), a)))
-        return sorted(t.filter(mask).column("z").to_pylist())
+        """Z codes of leaves whose box and value range meet the pushed bounds, found from the root down."""
+        names = [d["name"] for d in self.spec["dims"]]
+        box = [self.bounds.get(n, [float("-inf"), float("inf")]) for n in names]
+        low, high = self.bounds.get(self.spec["attr"], [float("-inf"), float("inf")])
+        height, fanout, found = self.state["height"], self.config["fanout"], [0]
+        for level in range(height, -1, -1):
+            t = self.rows(f"level={level}", level, found, ["z", "lo", "vmin", "vmax", *(["present"] if level else [])]) if found else None
+            found = []
+            if t is None:
+                break
+            for z, lo, a, b, *present in zip(*(c.to_pylist() for c in t.columns)):
+                span = [s * f**level for s, f in zip(self.spec["chunk"], fanout)]
+                if a <= high and b >= low and all(x <= e and x + n > s for x, n, (s, e) in zip(lo, span, box)):
+                    if level == 0:
+                        found.append(z)
+                    else:
+                        bits = sum((w & ((1 << 64) - 1)) << (64 * i) for i, w in enumerate(present[0]))
+                        found += [z << self.step | own for i, own in enumerate(slot_z(fanout)) if bits >> i & 1]
+        return sorted(found)
 
     def partitions(self) -> Sequence[InputPartition]:
         z = self.leaves()
@@ -74,10 +105,9 @@ class IndexReader(DataSourceReader):
         if not partition.zs:
             return
         names = [d["name"] for d in self.spec["dims"]] + [self.spec["attr"]]
-        z = ds.field("z")
-        # cells lie in order of z, so a range of codes prunes row groups
-        wanted = (z >= partition.zs[0]) & (z <= partition.zs[-1]) & z.isin(partition.zs)
-        yield from ds.dataset(f"{self.path}/cells").to_table(columns=names, filter=wanted).to_batches()
+        t = self.rows("cells", 0, partition.zs, names)
+        if t is not None:
+            yield from t.to_batches()
 
 
 class IndexSource(DataSource):

@@ -1,8 +1,8 @@
 """Streams of cells into an index, and windows over event streams.
 
-A micro-batch is appended by the batch path, so a stream ends with the same answers as a rebuild. A batch id that was
-seen before is skipped: a restarted stream may deliver its last batch again. Rows far behind time are appended like any
-other, as their chunks are rebuilt; no row is dropped for lateness.
+A micro-batch is appended by the batch path, so a stream ends with the same answers as a rebuild. The number of the last
+batch taken is published with the index's version, in one file: a restarted stream may deliver a batch again, and it
+changes nothing. Rows far behind time are appended like any other, as their chunks are rebuilt; none is dropped.
 """
 
 from __future__ import annotations
@@ -13,23 +13,22 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.append import append
-from ..operators.tree import Index, shared_folder
+from ..operators.tree import Index, read_index, shared_folder
 
 
 class IndexedStream:
-    """Holds the latest index; the streaming query calls take() for each micro-batch."""
+    """A named stream into a stored index; the streaming query calls take() for each micro-batch. What was taken is told
+    by the index's newest version on disk, so a new object after a restart goes on where the last one ended."""
 
-    def __init__(self, index: Index, to_cells: Callable[[DataFrame], DataFrame], on_collision: str = "max") -> None:
-        self.index, self.to_cells, self.on_collision = index, to_cells, on_collision
-        self.last_batch = -1
+    def __init__(self, spark: SparkSession, path: str, name: str, to_cells: Callable[[DataFrame], DataFrame], on_collision: str = "max") -> None:
+        self.spark, self.path, self.name, self.to_cells, self.on_collision = spark, path, name, to_cells, on_collision
+
+    @property
+    def index(self) -> Index:
+        return read_index(self.spark, self.path)
 
     def take(self, rows: DataFrame, batch_id: int) -> None:
-        if batch_id <= self.last_batch:
-            return
-        cells = self.to_cells(rows)
-        if not cells.isEmpty():
-            self.index = append(self.index, cells, on_collision=self.on_collision)
-        self.last_batch = batch_id
+        append(self.index, self.to_cells(rows), on_collision=self.on_collision, batch=(self.name, batch_id))
 
 
 def append_stream(stream: DataFrame, state: IndexedStream, checkpoint: str) -> IndexedStream:
@@ -45,11 +44,17 @@ def event_stream(spark: SparkSession, path: str, like: DataFrame, files: int = 1
     return rows.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def run_to_table(agg: DataFrame, name: str, mode: str, checkpoint: str) -> DataFrame:
-    """Run a streaming aggregate to its end and return what a memory table holds (tests and small results)."""
-    q = agg.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return agg.sparkSession.table(name)
+def run_to_latest(agg: DataFrame, path: str, checkpoint: str) -> DataFrame:
+    """Run a streaming aggregate in complete mode to its end; each batch replaces a table under path by a new one, the
+    last of which is read. The result stays in files, however large."""
+    spark, last = agg.sparkSession, [-1]
+
+    def put(rows: DataFrame, batch_id: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
+        last[0] = batch_id
+
+    agg.writeStream.foreachBatch(put).outputMode("complete").option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(agg.schema).parquet(f"{path}/batch={last[0]}") if last[0] >= 0 else spark.createDataFrame([], agg.schema)
 
 
 def tumbling(stream: DataFrame, delay: str = "1 hour") -> DataFrame:
@@ -79,8 +84,10 @@ def run_to_files(rows: DataFrame, path: str, checkpoint: str) -> DataFrame:
     return rows.sparkSession.read.schema(rows.schema).parquet(path)
 
 
-def standing_queries(stream: DataFrame, bands: DataFrame) -> DataFrame:
-    """Rows of the stream with every band(band, lo, hi, least) they fall into; bands are the users' queries, so they are few."""
+def standing_queries(stream: DataFrame, bands: DataFrame, most: int = 10_000) -> DataFrame:
+    """Rows of the stream with every band(band, lo, hi, least) they fall into; more than `most` bands raise."""
+    if bands.limit(most + 1).count() > most:
+        raise ValueError(f"more than {most} standing queries")
     return stream.join(F.broadcast(bands), (F.col("user_id") >= F.col("lo")) & (F.col("user_id") < F.col("hi")) & (F.col("value") >= F.col("least")))
 
 
