@@ -7,8 +7,9 @@ the fewest candidates, by dynamic programming over exact counts of all fingerpri
 Probes enumerate the values within t_i of a fingerprint's value, meet the index rows of that value, and are verified.
 
 Work is on distinct fingerprints, so copies cost nothing. A task yields a spanning forest of the pairs that it
-verified, not the pairs. Memory: one bucket's index rows (8 bytes each, salted beyond `bucket_rows`) and a block of
-candidates.
+verified, not the pairs. A bucket of more than `bucket_rows` index rows is cut into blocks by a hash: each index row
+lies in one block, and a probe of the bucket goes to each of them. Memory: one block's index rows (16 bytes each) and
+a block of candidates.
 
 Null text counts as empty: no word, fingerprint 0, linked like any other. Repeated rows are kept. An empty table
 gives an empty result. Other columns are passed by.
@@ -31,6 +32,8 @@ from .shared import exchange_size, materialize, ranges
 BITS = 64
 #: A column that tells rows apart, where doc_id does not.
 ROW = "_row"
+#: An odd multiplier that spreads fingerprints over blocks.
+MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
 def fingerprint(text: str | None, words_per_shingle: int = 4, seed: int = 42) -> int:
@@ -165,17 +168,19 @@ def links_forest(distinct: DataFrame, radius: int, parts: int = 4, sample_rows:
                 rows: list[tuple[np.ndarray, ...]] = []
                 for i in range(parts):
                     salts = 1 + tables.value[i] // bucket_rows
-                    # index rows, once for each salt of their bucket
-                    own = salts[v[:, i]]
-                    who = np.repeat(np.arange(len(fps)), own)
-                    rows.append((np.full(len(who), i), v[who, i], ranges(np.zeros(len(fps), np.int64), own), np.zeros(len(who), np.int64), who))
+                    # each index row in one block of its bucket
+                    who = np.arange(len(fps))
+                    block = ((fps.view(np.uint64) * MIX) >> np.uint64(33)).astype(np.int64) % salts[v[:, i]]
+                    rows.append((np.full(len(who), i), v[:, i], block, np.zeros(len(who), np.int64), who))
                     for e in range(most + 1):
                         who = np.flatnonzero(thresholds[:, i] >= e)
                         for flip in flips[e]:
                             values = v[who, i] ^ flip
                             hit = tables.value[i][values] > 0
-                            mine, values = who[hit], values[hit]
-                            rows.append((np.full(len(mine), i), values, (fps[mine] >> 7) % salts[values], np.ones(len(mine), np.int64), mine))
+                            # probes in every block of the bucket
+                            own = salts[values[hit]]
+                            mine, values = np.repeat(who[hit], own), np.repeat(values[hit], own)
+                            rows.append((np.full(len(mine), i), values, ranges(np.zeros(len(own), np.int64), own), np.ones(len(mine), np.int64), mine))
                 part, value, salt, role, who = (np.concatenate(x).astype(np.int64) for x in zip(*rows))
                 key = ((part << width | value) << 20) | salt
                 yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(role.astype(np.int8)), pa.array(fps[who]), pa.array(reps[who])], names=["k", "role", "fp", "rep"])
