@@ -8,10 +8,13 @@ The template marks turns with control strings. A backslash inside a text is doub
 string gets a backslash in front, so that no text can forge a mark, and reading undoes it exactly. The loss mask
 covers each assistant text, and nothing between.
 
-Conversations in rows (conv_id, turn, role, text) are streamed in order of conv_id and turn (nulls first, ties by
-role and text) and never held whole: the output is a table of parts of bounded length, and reading goes through them
-in order. Null texts and roles count as empty; repeated rows are turns of their own; an empty table gives an empty
-result; other columns are passed by. A null conv_id is a conversation of its own.
+Conversations in rows are streamed in order of conv_id and turn (nulls first, ties by the other columns) and never held
+whole: the output is a table of parts of bounded length, and reading goes through them in order. A row is a record of
+its own: all its columns but conv_id and turn, under their names, nested or not. Its fingerprint selects the mapping
+that makes it one or more turns, so tables of role and text, of from and value or of prompt and response are read
+alike, and rows of one table may differ in what they fill. Null texts and roles count as empty; repeated rows are turns
+of their own; columns that no mapping names are passed by; an empty table gives an empty result. A null conv_id is a
+conversation of its own. A table none of whose columns suits any mapping is an error.
 """
 
 from __future__ import annotations
@@ -68,7 +71,8 @@ def fingerprint(record: dict) -> str:
 @dataclass(frozen=True)
 class Mapping:
     """How a layout becomes turns. messages: path of a list, with role and text keys in it; or fields: (role, paths)
-    pairs in order, whose non-empty texts are joined by a blank line into one turn."""
+    pairs in order, whose non-empty texts are joined by a blank line into one turn; or neither: the record is itself one
+    message."""
 
     name: str
     messages: str | None = None
@@ -80,6 +84,8 @@ class Mapping:
     def needs(self) -> set[str]:
         if self.messages is not None:
             return {f"{self.messages}[].{self.role_key}", f"{self.messages}[].{self.text_key}"}
+        if not self.fields:
+            return {self.role_key, self.text_key}
         return {paths[0] for _, paths in self.fields if paths}
 
     def turns(self, record: dict) -> list[tuple[str, str]]:
@@ -87,6 +93,9 @@ class Mapping:
             found = record.get(self.messages) or []
             name = as_text if self.roles_as_they_are else canonical_role
             return [(name(m.get(self.role_key)), as_text(m.get(self.text_key))) for m in found]
+        if not self.fields:
+            name = as_text if self.roles_as_they_are else canonical_role
+            return [(name(record.get(self.role_key)), as_text(record.get(self.text_key)))]
         out = []
         for role, paths in self.fields:
             text = "\n\n".join(t for t in (as_text(record.get(p)) for p in paths) if t)
@@ -107,6 +116,10 @@ MAPPINGS = (
     Mapping("prompt_response", fields=(("user", ("prompt",)), ("assistant", ("response",)))),
     Mapping("question_answer", fields=(("user", ("context", "question")), ("assistant", ("answer",)))),
     Mapping("turns", messages="turns", role_key="role", text_key="text", roles_as_they_are=True),
+    Mapping("row_role_text", role_key="role", text_key="text", roles_as_they_are=True),
+    Mapping("row_role_content", role_key="role", text_key="content"),
+    Mapping("row_from_value", role_key="from", text_key="value"),
+    Mapping("row_speaker_text", role_key="speaker", text_key="text"),
 )
 #: Other names of roles, as public sets use them.
 ROLES = {"human": "user", "prompter": "user", "gpt": "assistant", "bot": "assistant", "model": "assistant", "ai": "assistant"}
@@ -131,6 +144,7 @@ class Registry:
     def __init__(self, mappings: Iterable[Mapping] = MAPPINGS) -> None:
         self.mappings = tuple(mappings)
         self.known: dict[str, Mapping | None] = {}
+        self.row_kinds: dict[tuple, Mapping | None] = {}
 
     def mapping(self, record: dict) -> Mapping | None:
         key = fingerprint(record)
@@ -140,6 +154,15 @@ class Registry:
             self.known[key] = max(fits, key=lambda m: (len(m.needs()), -self.mappings.index(m)), default=None)
         return self.known[key]
 
+    def row_mapping(self, names: tuple[str, ...], record: dict) -> Mapping | None:
+        """mapping() of a flat row: rows whose columns are of the same kinds have the same fingerprint."""
+        if any(isinstance(v, dict | list) for v in record.values()):
+            return self.mapping(record)
+        kinds = (names, tuple(map(type, record.values())))
+        if kinds not in self.row_kinds:
+            self.row_kinds[kinds] = self.mapping(record)
+        return self.row_kinds[kinds]
+
     def turns(self, record: dict) -> list[tuple[str, str]] | None:
         m = self.mapping(record)
         return None if m is None else m.turns(record)
@@ -194,13 +217,18 @@ def format_records(df: DataFrame, record: str = "record") -> DataFrame:
 
 
 def format_conversations(rows: DataFrame, part_chars: int = 1 << 20) -> DataFrame:
-    """rows(conv_id, turn, role, text) -> (conv_id, part, formatted, spans): the formatted text in parts, in order.
+    """rows(conv_id, turn, columns of a layout) -> (conv_id, part, formatted, spans): the formatted text in parts, in order.
 
     A part ends with a turn and has part_chars code points or one turn; spans are the loss mask within the part. The
     parts of a conversation lie in one partition, one after the other.
     """
-    order = [F.col(c).asc_nulls_first() for c in ("conv_id", "turn", "role", "text")]
-    dealt = rows.select("conv_id", F.col("turn").cast("long").alias("turn"), "role", "text").repartition(exchange_size(rows.sparkSession), "conv_id").sortWithinPartitions(*order)
+    names = tuple(c for c in rows.columns if c not in ("conv_id", "turn"))
+    if Registry().mapping({c: "" for c in names}) is None and not any(t.startswith(("array", "struct", "map")) for _, t in rows.dtypes):
+        raise ValueError(f"no known layout has the columns {names}")
+    needed = {n.split("[")[0].split(".")[0] for m in MAPPINGS for n in m.needs()} | {p for m in MAPPINGS for _, paths in m.fields for p in paths}
+    names = tuple(c for c in names if c in needed)
+    order = [F.col(c).asc_nulls_first() for c in ("conv_id", "turn", *(c for c, t in rows.dtypes if c in names and not t.startswith("map")))]
+    dealt = rows.select("conv_id", F.col("turn").cast("long").alias("turn"), *names).repartition(exchange_size(rows.sparkSession), "conv_id").sortWithinPartitions(*order)
     span = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -221,19 +249,20 @@ def format_conversations(rows: DataFrame, part_chars: int = 1 << 20) -> DataFram
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.string(), span))], names=["conv_id", "part", "formatted", "spans"])
 
         for b in batches:
-            for c, role, text in zip(*(b.column(i).to_pylist() for i in (0, 2, 3))):
+            for c, *values in zip(*(b.column(i).to_pylist() for i in (0, *range(2, b.num_columns)))):
                 if c != conv:
                     close()
                     conv, part = c, 0
-                # a row is a record of one message; its shape selects the mapping like any other
-                ((role, text),) = registry.turns({"turns": [{"role": role, "text": text}]})
-                piece, s, e = format_turn(role, text)
-                if role == "assistant":
-                    spans.append({"start": size + s, "end": size + e})
-                texts.append(piece)
-                size += len(piece)
-                if size >= part_chars:
-                    close()
+                record = dict(zip(names, values))
+                mapping = registry.row_mapping(names, record)
+                for role, text in mapping.turns(record) if mapping else ():
+                    piece, s, e = format_turn(role, text)
+                    if role == "assistant":
+                        spans.append({"start": size + s, "end": size + e})
+                    texts.append(piece)
+                    size += len(piece)
+                    if size >= part_chars:
+                        close()
             if len(out) >= 1000 or sum(len(o[2]) for o in out) >= part_chars:
                 yield batch()
         close()

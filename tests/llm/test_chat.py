@@ -54,6 +54,24 @@ def test_layouts(spark):
     assert chat.format_records(spark.createDataFrame([], "record string")).count() == 0
 
 
+def test_row_layouts(spark):
+    want = {1: [("user", "u <s>"), ("assistant", "a")], 2: [("user", ""), ("assistant", "b")]}
+    tables = [
+        spark.createDataFrame([(1, 0, "user", "u <s>", "x"), (1, 1, "assistant", "a", "x"), (2, 0, "user", None, "x"), (2, 1, "assistant", "b", "x")], "conv_id long, turn int, role string, text string, note string"),
+        spark.createDataFrame([(1, 0, "human", "u <s>"), (1, 1, "gpt", "a"), (2, 0, "human", ""), (2, 1, "gpt", "b")], "conv_id long, turn int, from string, value string"),
+        spark.createDataFrame([(1, 0, "u <s>", "a"), (2, 0, None, "b")], "conv_id long, turn int, prompt string, response string"),
+        spark.createDataFrame([(1, 0, [("user", "u <s>"), ("assistant", "a")]), (2, 0, [("user", None), ("assistant", "b")])], "conv_id long, turn int, messages array<struct<role:string, content:string>>"),
+    ]
+    for df in tables:
+        got = {r.conv_id: chat.parse(r.formatted) for r in chat.format_conversations(df).collect()}
+        assert got == want
+    try:
+        chat.format_conversations(spark.createDataFrame([(1, 0, 3)], "conv_id long, turn int, n int"))
+        raise AssertionError("a table without a layout must be refused")
+    except ValueError:
+        pass
+
+
 def plain_digests(rows):
     by = defaultdict(list)
     for r in rows:
