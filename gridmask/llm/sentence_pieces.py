@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import exchange_size, ranges
+from .shared import exchange_size, materialize, ranges
 
 MARK = "▁"
 _WORKER: dict[str, "WordPieces"] = {}
@@ -99,21 +99,29 @@ def max_plus(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.maximum((a[:, :, None] + b[None]).max(axis=1), LOW)
 
 
-def offsets(matrices: list[np.ndarray]) -> list[int]:
-    """Border offsets 0 = o_0, o_1, ..., o_m = 0 of the best path through all chunks."""
+def offsets(matrices: list[np.ndarray], entry: int = 0, exit_: int = 0) -> list[int]:
+    """Border offsets entry = o_0, o_1, ..., o_m = exit of the best path through consecutive chunks."""
     w = len(matrices[0])
     state = np.full(w, LOW)
-    state[0] = 0
+    state[entry] = 0
     states = [state]
     for m in matrices:
         state = np.maximum((state[:, None] + m).max(axis=0), LOW)
         states.append(state)
-    out = [0]
+    out = [exit_]
     for m, s in zip(reversed(matrices), reversed(states[:-1])):
         out.append(int(np.argmax(s + m[:, out[-1]])))
     return out[::-1]
 
 
+def product(matrices: list[np.ndarray]) -> np.ndarray:
+    """The (max, +) product of consecutive matrices, combined in pairs."""
+    while len(matrices) > 1:
+        pairs = [max_plus(a, b) for a, b in zip(matrices[::2], matrices[1::2])]
+        matrices = pairs + ([matrices[-1]] if len(matrices) % 2 else [])
+    return matrices[0]
+
+
 def segment(lattice: Lattice, text: str, chunk: int | None = None) -> list[str]:
     """Pieces of the best segmentation; with `chunk`, by the scan over chunks of that many characters."""
     if not text:
@@ -127,49 +135,75 @@ def segment(lattice: Lattice, text: str, chunk: int | None = None) -> list[str]:
     return [text[a:b] for a, b in zip([0, *ends], ends)]
 
 
-def segment_giants(docs: DataFrame, lattice: Lattice, chunk: int = 20_000) -> DataFrame:
+def segment_giants(docs: DataFrame, lattice: Lattice, chunk: int = 20_000, fan: int = 64) -> DataFrame:
     """doc_id, pieces array<string>: texts cut into chunks that tasks work out apart, for unigram models.
 
-    First job: each chunk's transfer matrix; a text's matrices (one small matrix for each chunk) meet in one group and
-    give its border offsets. Second job: each chunk traces its path. doc_id must be unique.
+    Up: each chunk's transfer matrix, then products of `fan` consecutive ones, level by level, until a text has one group
+    left. Down: a group's entry and exit offsets give those of its members. Last, each chunk traces its own path. A
+    group holds at most `fan` small matrices, however long a text is. Rows are told apart by numbers of their own, so
+    null and repeated ids do not matter; null texts have no pieces.
     """
     lat = docs.sparkSession.sparkContext.broadcast(lattice)
-    w = lattice.longest
-    size = F.length("text")
-    n = F.greatest(F.ceil(size / chunk), F.lit(1)).cast("int")
-    # each chunk carries the characters that its last pieces may reach
-    cut = docs.where("text is not null and text <> ''").select("doc_id", "text", F.posexplode(F.sequence(F.lit(0), n - 1)).alias("no", "c"))
-    cut = cut.select("doc_id", "no", F.substring("text", F.col("no") * chunk + 1, F.lit(chunk + w)).alias("part"), F.least(F.lit(chunk), F.length("text") - F.col("no") * chunk).alias("len"))
-    cut = cut.repartition(exchange_size(docs.sparkSession), "doc_id", "no")
+    w, size = lattice.longest, exchange_size(docs.sparkSession)
+    rows = materialize(docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("row", F.monotonically_increasing_id()), "numbered")
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Chunks, each with the characters that its last pieces may reach."""
+        for b in batches:
+            for row, text in zip(b.column("row").to_pylist(), b.column("text").to_pylist()):
+                for at in range(0, len(text), chunk * 50):
+                    starts = list(range(at, min(len(text), at + chunk * 50), chunk))
+                    cols = [[row] * len(starts), [s // chunk for s in starts], [text[s : s + chunk + w] for s in starts], [min(chunk, len(text) - s) for s in starts]]
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.string(), pa.int32()))], names=["row", "no", "part", "len"])
+
+    chunks = materialize(rows.mapInArrow(cut, "row long, no long, part string, len int").repartition(size, "row", "no"), "chunks")
 
     def matrices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             m = [lat.value.transfer(p, 0, k).tobytes() for p, k in zip(b.column("part").to_pylist(), b.column("len").to_pylist())]
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("no"), pa.array(m, pa.binary())], names=["doc_id", "no", "m"])
+            yield pa.RecordBatch.from_arrays([b.column("row"), b.column("no"), pa.array(m, pa.binary())], names=["row", "no", "m"])
 
-    def borders(key, pdf):
+    def read(pdf) -> list[np.ndarray]:
+        return [np.frombuffer(m).reshape(w, w) for m in pdf.sort_values("no")["m"]]
+
+    def combined(key, pdf):
         import pandas as pd
 
-        pdf = pdf.sort_values("no")
-        o = offsets([np.frombuffer(m).reshape(w, w) for m in pdf["m"]])
-        return pd.DataFrame({"doc_id": pdf["doc_id"], "no": pdf["no"], "entry": o[:-1], "exit": o[1:]})
+        return pd.DataFrame({"row": [key[0]], "no": [key[1]], "m": [product(read(pdf)).tobytes()]})
 
-    found = cut.mapInArrow(matrices, "doc_id long, no int, m binary").groupBy("doc_id").applyInPandas(borders, "doc_id long, no int, entry int, exit int")
+    def inside(key, pdf):
+        import pandas as pd
+
+        pdf = pdf.sort_values("no")
+        o = offsets(read(pdf), int(pdf["entry"].iloc[0]), int(pdf["exit"].iloc[0]))
+        return pd.DataFrame({"row": pdf["row"], "no": pdf["no"], "entry": o[:-1], "exit": o[1:]})
+
+    group = F.floor(F.col("no") / fan).alias("up")
+    levels = [materialize(chunks.mapInArrow(matrices, "row long, no long, m binary"), "matrices")]
+    most = levels[0].agg(F.max("no")).first()[0] or 0
+    while most >= fan:
+        levels.append(materialize(levels[-1].groupBy("row", group).applyInPandas(combined, "row long, no long, m binary"), "products"))
+        most //= fan
+    # each text is one group on the top level; it begins and ends without a piece reaching over
+    found = levels[0].select("row").distinct().select("row", F.lit(0).cast("long").alias("up"), F.lit(0).alias("entry"), F.lit(0).alias("exit"))
+    for level in reversed(levels):
+        both = level.withColumn("up", group).join(found, ["row", "up"])
+        found = materialize(both.groupBy("row", "up").applyInPandas(inside, "row long, no long, entry int, exit int"), "offsets").withColumnRenamed("no", "up")
 
     def traces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = []
+            out = []
             for p, k, i, j in zip(*(b.column(c).to_pylist() for c in ("part", "len", "entry", "exit"))):
                 at, pieces = i, []
                 for n_ in lat.value.trace(p, 0, k, i, j):
                     pieces.append(p[at : at + n_])
                     at += n_
-                rows.append(pieces)
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("no"), pa.array(rows, pa.list_(pa.string()))], names=["doc_id", "no", "pieces"])
+                out.append(pieces)
+            yield pa.RecordBatch.from_arrays([b.column("row"), b.column("no"), pa.array(out, pa.list_(pa.string()))], names=["row", "no", "pieces"])
 
-    traced = cut.join(found, ["doc_id", "no"]).select("doc_id", "no", "part", "len", "entry", "exit").mapInArrow(traces, "doc_id long, no int, pieces array<string>")
-    joined = traced.groupBy("doc_id").agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("no", "pieces"))), lambda x: x["pieces"])).alias("pieces"))
-    return docs.select("doc_id").join(joined, "doc_id", "left").select("doc_id", F.coalesce("pieces", F.array().cast("array<string>")).alias("pieces"))
+    traced = chunks.join(found.withColumnRenamed("up", "no"), ["row", "no"]).select("row", "no", "part", "len", "entry", "exit").mapInArrow(traces, "row long, no long, pieces array<string>")
+    joined = traced.groupBy("row").agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("no", "pieces"))), lambda x: x["pieces"])).alias("pieces"))
+    return rows.select("row", "doc_id").join(joined, "row", "left").select("doc_id", F.coalesce("pieces", F.array().cast("array<string>")).alias("pieces"))
 
 
 # ---- word-wise encoding for BPE models --------------------------------------------------------------------------

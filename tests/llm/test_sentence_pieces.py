@@ -57,9 +57,13 @@ def test_giants_over_tasks(spark):
     lattice = random_lattice(rng)
     texts = ["".join(rng.choice("abcd") for _ in range(n)) for n in (0, 1, 5, 200, 333)] + [None]
     df = spark.createDataFrame([(i, t, "no") for i, t in enumerate(texts)], "doc_id long, text string, part string")
-    got = {r.doc_id: r.pieces for r in sp.segment_giants(df, lattice, chunk=37).collect()}
-    for i, t in enumerate(texts):
-        assert "".join(got[i]) == (t or "") and abs(score(lattice, got[i]) - plain_best(lattice, t or "")) < 1e-9
+    for options in ({"chunk": 37}, {"chunk": 9, "fan": 3}):  # several levels of products
+        got = {r.doc_id: r.pieces for r in sp.segment_giants(df, lattice, **options).collect()}
+        for i, t in enumerate(texts):
+            assert "".join(got[i]) == (t or "") and abs(score(lattice, got[i]) - plain_best(lattice, t or "")) < 1e-9
+    odd = spark.createDataFrame([(None, texts[3]), (1, texts[3]), (1, texts[4]), (1, texts[4])], "doc_id long, text string")
+    got = sorted(((r.doc_id or 0, "".join(r.pieces)) for r in sp.segment_giants(odd, lattice, chunk=50, fan=2).collect()))
+    assert got == sorted([(0, texts[3]), (1, texts[3]), (1, texts[4]), (1, texts[4])])
 
 
 def test_bpe_equals_library(spark, sf_dir):
