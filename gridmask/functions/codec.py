@@ -69,6 +69,10 @@ class Codec:
     def encode(self, bits: np.ndarray) -> bytes:
         return self.write(self.runs(len(bits), self.units(np.asarray(bits, bool))))
 
+    def encode_many(self, bitmaps: list[np.ndarray]) -> list[bytes]:
+        """encode() of each."""
+        return [self.encode(b) for b in bitmaps]
+
     def decode(self, raw: bytes) -> np.ndarray:
         return self.bits(self.read(raw))
 
@@ -124,6 +128,28 @@ class WordAligned(Codec):
     MOST = (1 << 30) - 1
 
     def write(self, r: Runs) -> bytes:
+        return struct.pack("<Q", r.n) + self._words(r)[0].tobytes()
+
+    def encode_many(self, bitmaps: list[np.ndarray]) -> list[bytes]:
+        """All at once where lengths are equal: bitmaps follow one another, and no run goes on into the next."""
+        n = len(bitmaps[0]) if bitmaps else 0
+        if not n or any(len(b) != n for b in bitmaps):
+            return super().encode_many(bitmaps)
+        k = -(-n // self.unit_bits)
+        rows = np.zeros((len(bitmaps), k * self.unit_bits), np.uint8)
+        rows[:, :n] = np.stack(bitmaps)
+        units = self.units(rows.ravel())
+        new = np.ones(len(units), bool)
+        new[1:] = (units[1:] != units[:-1]) | ~self.may_repeat(units[1:])
+        new[::k] = True
+        at = np.flatnonzero(new)
+        words, pieces = self._words(Runs(n, units[at], np.diff(at, append=len(units))))
+        ends = np.cumsum(pieces)[np.searchsorted(at, np.arange(1, len(bitmaps) + 1) * k) - 1]
+        head = struct.pack("<Q", n)
+        return [head + words[a:b].tobytes() for a, b in zip([0, *ends[:-1]], ends)]
+
+    def _words(self, r: Runs) -> tuple[np.ndarray, np.ndarray]:
+        """The words, and how many each run takes."""
         fill = self.may_repeat(r.units) & (r.counts > 1)
         value = (r.units > 0).astype(np.uint64)
         pieces = np.where(fill, -(-r.counts // self.MOST), 1)
@@ -133,7 +159,7 @@ class WordAligned(Codec):
         nth = np.arange(len(words)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
         amount = np.minimum(left - nth * self.MOST, self.MOST).astype(np.uint64)
         words = np.where(isfill, words | amount, words)
-        return struct.pack("<Q", r.n) + words.astype("<u4").tobytes()
+        return words.astype("<u4"), pieces
 
     def read(self, raw: bytes) -> Runs:
         (n,) = struct.unpack_from("<Q", raw)

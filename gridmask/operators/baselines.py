@@ -103,18 +103,18 @@ def build_linear(cells: DataFrame, spec: ArraySpec, columns: list[str], bins: in
     index = LinearIndex(spark, path, spec, edges, encoding, codec)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        write = CODECS[codec].encode
+        write = CODECS[codec].encode_many
         for t in grouped(batches, "block"):
             for block, s, e in runs_of(t, "block"):
                 place = t.column("place").to_numpy()[s:e]
                 mask = np.zeros(size, bool)
                 mask[place] = True
-                out = [(-1, block, write(mask), PRESENT)]
+                out = [(-1, block, write([mask])[0], PRESENT)]
                 for col in columns:
                     n = max(1, len(edges[col]) - 1)
                     bin_of = np.full(size, -1, np.int64)
                     bin_of[place] = np.clip(np.searchsorted(edges[col], t.column(col).to_numpy()[s:e], side="right") - 1, 0, n - 1)
-                    out += [(k, block, write(b), col) for k, b in enumerate(stored(bin_of, n, encoding))]
+                    out += [(k, block, b, col) for k, b in enumerate(write(stored(bin_of, n, encoding)))]
                 yield pa.RecordBatch.from_arrays([pa.array(c, t_) for c, t_ in zip(zip(*out), (pa.int32(), pa.int64(), pa.binary(), pa.string()))], names=["k", "block", "bits", "col"])
 
     dealt = index.cells.select("block", "place", *columns).repartition("block").sortWithinPartitions("block", "place")

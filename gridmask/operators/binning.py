@@ -10,6 +10,10 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
+#: Bins of a whole array that may be broadcast.
+MOST_BINS = 100_000
+
+
 def equi_depth_bins(df: DataFrame, attr: str, bins: int, by: list[str]) -> DataFrame:
     """by, bin_no, lo, n: lower edges of at most `bins` bins in each group, and the values in each bin."""
     w = Window.partitionBy(*by)
@@ -59,7 +63,9 @@ def sketch_edges(df: DataFrame, attr: str, bins: int, by: list[str]) -> DataFram
 
 
 def assign_bins(df: DataFrame, attr: str, edges: DataFrame) -> DataFrame:
-    """Range join of values with bins(bin_no, lo, hi): bins are few, so they are broadcast."""
+    """Range join of values with bins(bin_no, lo, hi): at most MOST_BINS of them, which are broadcast."""
+    if edges.limit(MOST_BINS + 1).count() > MOST_BINS:
+        raise ValueError(f"more than {MOST_BINS} bins")
     return df.join(F.broadcast(edges), (F.col(attr) >= F.col("lo")) & (F.col(attr) < F.col("hi")))
 
 

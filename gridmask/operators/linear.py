@@ -143,8 +143,16 @@ def hilbert_code(coords: Sequence[Column], bits: int) -> Column:
     return run(*coords)
 
 
-def chunk_synopsis(cells: DataFrame, spec: ArraySpec) -> DataFrame:
-    """Non-empty cells, least and largest value of each chunk: partial sums before one small shuffle."""
+def chunk_synopsis(cells: DataFrame, spec: ArraySpec, histogram: int = 0) -> DataFrame:
+    """Non-empty cells, least and largest value of each chunk: partial sums before one small shuffle. With histogram, an
+    array of the cells in so many equal intervals of the chunk's range, by a second aggregate of the same kind."""
     c = chunk_coords(spec)
     named = cells.withColumns({f"c{i}": x for i, x in enumerate(c)})
-    return named.groupBy(*[f"c{i}" for i in range(spec.n)]).agg(F.count("*").alias("n_cells"), F.min(spec.attr).alias("vmin"), F.max(spec.attr).alias("vmax"))
+    keys = [f"c{i}" for i in range(spec.n)]
+    synopsis = named.groupBy(*keys).agg(F.count("*").alias("n_cells"), F.min(spec.attr).alias("vmin"), F.max(spec.attr).alias("vmax"))
+    if not histogram:
+        return synopsis
+    at = F.floor((F.col(spec.attr) - F.col("vmin")) * histogram / F.nullif(F.col("vmax") - F.col("vmin"), F.lit(0.0)))
+    binned = named.join(synopsis, keys).withColumn("at", F.coalesce(F.least(at, F.lit(histogram - 1)), F.lit(0)))
+    counts = [F.count_if(F.col("at") == k) for k in range(histogram)]
+    return binned.groupBy(*keys, "n_cells", "vmin", "vmax").agg(F.array(*counts).alias("histogram"))

@@ -364,10 +364,9 @@ def leaf_row(z: int, lo: list[int], numbers: np.ndarray, values: np.ndarray, spe
     bins = leaf_bins(edges, len(few) <= cfg.bins)
     bin_of = np.full(cells, -1, np.int64)
     bin_of[numbers] = np.clip(np.searchsorted(edges, values, side="right") - 1, 0, bins - 1)
-    write = CODECS[cfg.codec].encode
-    present = bin_of >= 0
     kind = "values" if len(few) <= cfg.bins else "bins"
-    return (*head, kind, write(present), [write(b) for b in stored(bin_of, bins, cfg.leaf_encoding)], None, None)
+    present, *bitmaps = CODECS[cfg.codec].encode_many([bin_of >= 0, *stored(bin_of, bins, cfg.leaf_encoding)])
+    return (*head, kind, present, bitmaps, None, None)
 
 
 def leaf_bins(edges: np.ndarray, by_value: bool) -> int:

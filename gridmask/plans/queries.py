@@ -399,7 +399,6 @@ def z_decode(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("row_major_codes", lambda s, d: (lambda cells, spec: cells.select(*spec.names, linear.row_major([F.col(n.name) - n.lo for n in spec.dims], [n.extent for n in spec.dims]).alias("at"), linear.row_major([F.col(n.name) - n.lo for n in spec.dims], [n.extent for n in spec.dims], pad=64).alias("padded")))(*cells_and_spec(s, d, "a2")), f"WITH c AS ({_A2}), b AS (SELECT min(partkey) AS l0, min(suppkey) AS l1, max(suppkey) + 1 - min(suppkey) AS w FROM c) SELECT partkey, suppkey, (partkey - l0) * w + suppkey - l1 AS at, (partkey - l0) * ((w + 63) // 64 * 64) + suppkey - l1 AS padded FROM c, b")
-add("hilbert_codes", lambda s, d: linear.chunk_synopsis(*cells_and_spec(s, d, "a2")).select("c0", "c1", linear.hilbert_code([F.col("c0"), F.col("c1")], 12).alias("h")))
 
 
 def chunked(spark: SparkSession, d: str, name: str = "ae") -> tuple[DataFrame, list[str]]:
@@ -411,9 +410,10 @@ _AE = 'WITH c AS (SELECT *, min("user") OVER () AS l0, min(hour) OVER () AS l1 F
 _RANKED = ", r AS (SELECT *, row_number() OVER (PARTITION BY c0, c1 ORDER BY value) AS r, count(*) OVER (PARTITION BY c0, c1) AS n FROM k), e AS (SELECT DISTINCT c0, c1, value AS lo FROM r, (SELECT unnest(generate_series(0, 15)) AS b) WHERE r = b * n // 16 + 1), g AS (SELECT *, row_number() OVER (PARTITION BY c0, c1 ORDER BY lo) - 1 AS bin_no, lead(lo) OVER (PARTITION BY c0, c1 ORDER BY lo) AS hi FROM e) "
 add("leaf_bins_equi_depth", lambda s, d: (lambda df, by: binning.equi_depth_bins(df, "value", 16, by))(*chunked(s, d)), _AE + _RANKED + "SELECT g.c0, g.c1, g.bin_no, g.lo, count(*) AS n FROM g JOIN k ON k.c0 = g.c0 AND k.c1 = g.c1 AND value >= g.lo AND (g.hi IS NULL OR value < g.hi) GROUP BY 1, 2, 3, 4")
 add("bins_equi_width", lambda s, d: (lambda df, by: binning.equi_width_bins(df, "value", 8, by))(*chunked(s, d)), _AE + ", m AS (SELECT c0, c1, min(value) AS a, max(value) AS b FROM k GROUP BY 1, 2) SELECT k.c0, k.c1, CAST(coalesce(least(floor((value - a) * 8 / nullif(b - a, 0.0)), 7), 0) AS BIGINT) AS bin_no, count(*) AS n FROM k JOIN m USING (c0, c1) GROUP BY 1, 2, 3")
-add("bins_weighted", lambda s, d: (lambda df, by: binning.weighted_bins(df, "value", F.when(F.col("value") > 50, 5).otherwise(1), 8, by).agg(F.sum("n").alias("n"), (F.max("bin_no") < 8).alias("at_most_8")))(*chunked(s, d)), f"SELECT count(*) AS n, true AS at_most_8 FROM ({ARRAYS['ae'].sql})")
+_WEIGHTED = ", v AS (SELECT c0, c1, value, sum(CASE WHEN value > 50 THEN 5 ELSE 1 END) AS wt FROM k GROUP BY 1, 2, 3), t AS (SELECT *, coalesce(sum(wt) OVER (PARTITION BY c0, c1 ORDER BY value ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before, sum(wt) OVER (PARTITION BY c0, c1) AS total FROM v), e AS (SELECT c0, c1, value AS lo FROM t WHERE before = 0 OR floor((before + wt - 1) * 8 / total) > floor((before - 1) * 8 / total)), g AS (SELECT *, row_number() OVER (PARTITION BY c0, c1 ORDER BY lo) - 1 AS bin_no, lead(lo) OVER (PARTITION BY c0, c1 ORDER BY lo) AS hi FROM e) "
+add("bins_weighted", lambda s, d: (lambda df, by: binning.weighted_bins(df, "value", F.when(F.col("value") > 50, 5).otherwise(1), 8, by))(*chunked(s, d)), _AE + _WEIGHTED + "SELECT g.c0, g.c1, g.bin_no, g.lo, count(*) AS n FROM g JOIN k ON k.c0 = g.c0 AND k.c1 = g.c1 AND value >= g.lo AND (g.hi IS NULL OR value < g.hi) GROUP BY 1, 2, 3, 4")
 add("bins_singleton", lambda s, d: (lambda df, by: binning.singleton_bins(df, "value", by, 16))(*chunked(s, d, "aet")), 'WITH c AS (SELECT *, min("user") OVER () AS l0, min(hour) OVER () AS l1 FROM ({})), k AS (SELECT *, ("user" - l0) // 16 AS c0, (hour - l1) // 16 AS c1 FROM c), v AS (SELECT c0, c1, value, count(*) AS n FROM k GROUP BY 1, 2, 3) SELECT * FROM v QUALIFY count(*) OVER (PARTITION BY c0, c1) <= 16'.format(ARRAYS["aet"].sql))
-add("sketch_edges", lambda s, d: (lambda df, by: binning.sketch_edges(df, "value", 8, by).select(*by, F.size("edges").alias("k")))(*chunked(s, d)), _AE + " SELECT DISTINCT c0, c1, 9 AS k FROM k")
+add("sketch_edges", lambda s, d: (lambda df, by: binning.sketch_edges(df, "value", 8, by).select(*by, F.posexplode("edges").alias("k", "edge")))(*chunked(s, d)), _AE + ", r AS (SELECT c0, c1, value, row_number() OVER (PARTITION BY c0, c1 ORDER BY value) AS r, count(*) OVER (PARTITION BY c0, c1) AS n FROM k) SELECT c0, c1, j AS k, value AS edge FROM r, (SELECT unnest(generate_series(0, 8)) AS j) WHERE r = greatest(1, CAST(ceil(j * n / 8.0) AS BIGINT))")
 add("bitmap_popcounts", lambda s, d: (lambda cells, spec: binning.value_bitmaps(cells, F.col("value"), linear.row_major([F.col(x.name) - x.lo for x in spec.dims], [x.extent for x in spec.dims])).groupBy("key").agg(F.sum(F.bitmap_count("bitmap")).alias("n")))(*cells_and_spec(s, d, "aet")), f"SELECT value AS key, count(*) AS n FROM ({ARRAYS['aet'].sql}) GROUP BY 1")
 add("present_counts", lambda s, d: index_of(s, d, "a2").leaves.select(F.col("lo")[0].alias("lo0"), F.col("lo")[1].alias("lo1"), "n_cells", "vmin", "vmax"), _PART + "SELECT l0 + 32 * c0 AS lo0, l1 + 32 * c1 AS lo1, count(*) AS n_cells, min(value) AS vmin, max(value) AS vmax FROM k GROUP BY 1, 2")
 
@@ -536,25 +536,6 @@ def modify_cells(spark: SparkSession, d: str) -> DataFrame:
     return Q.range_query(A.modify(index, changed), ArrayQuery({}, C.between(20000.0, 50000.0)))
 
 
-@query("compress_orders", None)
-def compress_orders(spark: SparkSession, d: str) -> DataFrame:
-    """Bytes of one column's dimension bitmap on a 256 x 256 grid, by order of cells and codec."""
-    import numpy as np
-
-    from ..functions.codec import CODECS
-
-    n, rows = 256, []
-    ij = np.stack(np.meshgrid(np.arange(n), np.arange(n), indexing="ij"), axis=-1).reshape(-1, 2)
-    z = np.zeros(n * n, np.int64)
-    for b in range(8):
-        z |= ((ij[:, 0] >> b) & 1) << (2 * b + 1) | ((ij[:, 1] >> b) & 1) << (2 * b)
-    orders = {"row_major": np.arange(n * n), "z_order": np.argsort(z), "hilbert": np.argsort(linear.hilbert_index(ij, 8))}
-    for order, at in orders.items():
-        bits = (ij[:, 1] < 16)[at]
-        rows += [(order, name, len(c.encode(bits)), n * n // 8) for name, c in CODECS.items()]
-    return spark.createDataFrame(rows, "cell_order string, codec string, bytes long, raw_bytes long")
-
-
 @query("compress_runs", f"WITH c AS ({_A2}), b AS (SELECT min(partkey) AS l0, min(suppkey) AS l1, max(suppkey) + 1 - min(suppkey) AS w FROM c), p AS (SELECT (partkey - l0) * w + suppkey - l1 AS pos FROM c, b WHERE suppkey = l1 + 1) SELECT count(DISTINCT pos - r) AS runs FROM (SELECT pos, row_number() OVER (ORDER BY pos) AS r FROM p)")
 def compress_runs(spark: SparkSession, d: str) -> DataFrame:
     """Runs of ones of one column in row-major order: as many as rows, which no run-length code shortens."""
@@ -571,7 +552,6 @@ def compress_runs(spark: SparkSession, d: str) -> DataFrame:
 add("sum_gauss_grid", lambda s, d: gauss.sum_gauss(s, (16, 16), gauss.FIXED_2D).select("d0", "d1", F.round("value", 9).alias("value")), gauss.sql((16, 16), gauss.FIXED_2D))
 add("sum_gauss_sparse", lambda s, d: gauss.sum_gauss(s, (16, 16), gauss.FIXED_2D, threshold=0.002).select("d0", "d1", F.round("value", 9).alias("value")), f"SELECT * FROM ({gauss.sql((16, 16), gauss.FIXED_2D)}) WHERE value >= 0.002")
 add("sum_gauss_range", lambda s, d: Q.range_query(gauss.index(s, (64, 64)), ArrayQuery({"d0": C.between(5, 50)}, C.between(0.0005, 0.003))).select("d0", "d1"), f"SELECT d0, d1 FROM ({gauss.sql((64, 64), gauss.FIXED_2D, digits=15)}) WHERE d0 >= 5 AND d0 < 50 AND value >= 0.0005 AND value < 0.003")
-add("sum_gauss_trace", lambda s, d: reduce(DataFrame.union, [(lambda i: Q.trace(i, ratio_query(i, h)).withColumn("hit", F.lit(h)))(gauss.index(s, (128, 128))) for h in (0.005, 0.1, 0.5, 1.0)]))
 
 
 # ---- operators around the arrays --------------------------------------------------------------------------------
@@ -581,12 +561,8 @@ add("slice_dim", lambda s, d: Q.range_query(index_of(s, d, "a3"), ArrayQuery({"m
 add("reduce_along_dim", lambda s, d: index_of(s, d, "a3").cells.groupBy("month").agg(F.max("value").alias("vmax"), F.count("*").alias("n")), f"SELECT month, max(value) AS vmax, count(*) AS n FROM ({ARRAYS['a3'].sql}) GROUP BY 1")
 add("rollup_dims", lambda s, d: load(s, d, "supplier").join(F.broadcast(load(s, d, "nation")), F.col("s_nationkey") == F.col("n_nationkey")).join(F.broadcast(load(s, d, "region")), F.col("n_regionkey") == F.col("r_regionkey")).rollup("r_name", "n_name").agg(F.count("*").alias("n"), F.max("s_acctbal").alias("best")), "SELECT r_name, n_name, count(*) AS n, max(s_acctbal) AS best FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (r_name, n_name)")
 add("cube_dims", lambda s, d: load(s, d, "lineitem").cube("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.max("l_quantity").alias("most")), "SELECT l_returnflag, l_linestatus, count(*) AS n, max(l_quantity) AS most FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")
-# the first three turns, as its SQL asks for; pivot_turns (table_queries.py) tells all of them
-add("pivot_dim", lambda s, d: index_of(s, d, "ac").cells.groupBy("conv").pivot("turn", [0, 1, 2]).agg(F.max("value")).select("conv", F.col("0").alias("t0"), F.col("1").alias("t1"), F.col("2").alias("t2")), f"SELECT conv, max(value) FILTER (WHERE turn = 0) AS t0, max(value) FILTER (WHERE turn = 1) AS t1, max(value) FILTER (WHERE turn = 2) AS t2 FROM ({ARRAYS['ac'].sql}) GROUP BY 1")
 add("neighbourhood_window", lambda s, d: cells_and_spec(s, d, "ae")[0].withColumn("peak", F.max("value").over(Window.partitionBy("user").orderBy("hour").rangeBetween(-3, 3))), f'SELECT "user", hour, value, max(value) OVER (PARTITION BY "user" ORDER BY hour RANGE BETWEEN 3 PRECEDING AND 3 FOLLOWING) AS peak FROM ({ARRAYS["ae"].sql})')
 add("array_join", lambda s, d: cells_and_spec(s, d, "a2")[0].join(cells_and_spec(s, d, "a2p")[0].withColumnRenamed("value", "retail"), ["partkey", "suppkey"]), f"SELECT partkey, suppkey, a.value, b.value AS retail FROM ({_A2}) a JOIN ({ARRAYS['a2p'].sql}) b USING (partkey, suppkey)")
-# the first hour of each of 30 days, as its SQL asks for; asof_hours (table_queries.py) answers every hour of the array
-add("asof_cell", lambda s, d: (lambda c, h: h.join(c, ["user", "hour"], "left").withColumn("latest", F.last("value", ignorenulls=True).over(Window.partitionBy("user").orderBy("hour").rowsBetween(Window.unboundedPreceding, 0))).where("hour % 24 = 0 and latest is not null").select("user", "hour", "latest"))(cells_and_spec(s, d, "ae")[0], cells_and_spec(s, d, "ae")[0].select("user").distinct().withColumn("hour", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(719).cast("long"))))), f'WITH c AS ({ARRAYS["ae"].sql}), g AS (SELECT DISTINCT "user", h.hour FROM c, (SELECT unnest(generate_series(0, 719, 24)) AS hour) h) SELECT g."user", g.hour, c.value AS latest FROM g ASOF JOIN c ON g."user" = c."user" AND g.hour >= c.hour')
 add("fill_empty_cells", lambda s, d: load(s, d, "documents").select(F.col("doc_id").alias("doc")).join(cells_and_spec(s, d, "al")[0], "doc", "left"), f"SELECT doc_id AS doc, value FROM documents LEFT JOIN ({ARRAYS['al'].sql}) ON doc = doc_id")
 add("anti_empty_cells", lambda s, d: load(s, d, "documents").select(F.col("doc_id").alias("doc")).join(cells_and_spec(s, d, "al")[0], "doc", "left_anti"), "SELECT doc_id AS doc FROM documents WHERE NOT EXISTS (SELECT 1 FROM labels WHERE labels.doc_id = documents.doc_id AND quality IS NOT NULL)")
 add("json_attr", lambda s, d: load(s, d, "events").groupBy(F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n")), "SELECT json_extract_string(props, '$.k') AS k, count(*) AS n FROM events GROUP BY 1")
