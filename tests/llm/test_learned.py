@@ -45,6 +45,56 @@ def test_gradients():
         assert abs((values[0] - values[1]) / (2 * eps) - g[k][at]) < 1e-4
 
 
+def plain_document(net, text):
+    """Class probabilities by the definition: every window on its own, then the largest and the mean of all."""
+    w = byte_conv.cut(text, net.window, net.overlap)
+    feats = []
+    for row in w:
+        spans = [net.p["E"][row[k : k + net.span]].ravel() for k in range(net.window - net.span + 1)]
+        pooled = np.maximum((np.stack(spans) @ net.p["W"]).max(axis=0) + net.p["b"], 0)
+        feats.append(np.maximum(pooled @ net.p["H"] + net.p["h"], 0))
+    z = np.concatenate([np.max(feats, axis=0), np.mean(feats, axis=0)]) @ net.p["O"] + net.p["o"]
+    e = np.exp(z - z.max())
+    return e / e.sum()
+
+
+def test_document_scores_equal_plain_ones():
+    rng = np.random.default_rng(4)
+    net = byte_conv.ByteConv(3, window=32, filters=3, embed=4, hidden=6)
+    texts = [bytes(rng.integers(1, 256, n, dtype=np.uint8)) for n in (0, 1, 31, 32, 33, 500, 3000, 70, 28 * 300)]
+    want = np.stack([plain_document(net, t) for t in texts])
+    for at_once in (4, 50, 2048):  # long texts go in blocks, short ones together
+        assert np.allclose(net.predict(texts, at_once), want, atol=1e-5)
+
+
+def test_registered_scores_equal_plain_ones(spark, sf_dir):
+    """op2 and op7 as registered, against the trained networks applied text by text."""
+    from gridmask.llm import queries
+
+    docs, labels = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("documents", "labels"))
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    net = quality.train(docs, labels.where(~quality.in_held_out_fold()))
+    model = language_id.train(docs.where(~language_id.in_held_out_fold()))
+    short = sorted(texts, key=lambda i: len(texts[i] or ""))[:40]
+    by_quality = {r.doc_id: r for r in queries.op7_quality(spark, sf_dir).collect()}
+    by_language = {r.doc_id: r for r in queries.op2_language_id(spark, sf_dir).collect()}
+    assert set(by_quality) == set(by_language) == set(texts)
+    for i in short:
+        want = plain_document(net, (texts[i] or "").encode())[1]
+        assert abs(by_quality[i].score - want) < 1e-4 and by_quality[i].predicted == int(by_quality[i].score >= 0.3)
+        if language_id.has_letter(texts[i]):
+            p = plain_document(model.net, texts[i].lower().encode())
+            assert by_language[i].lang_pred == model.languages[p.argmax()] and abs(by_language[i].score - p.max()) < 1e-4
+
+
+def test_clashing_columns(spark):
+    docs = spark.createDataFrame([(1, "some words", "en", "a", "b", "c", "d"), (2, None, None, "a", "b", "c", "d")], "doc_id long, text string, lang string, lang_pred string, score string, held_out string, predicted string")
+    assert language_id.identify(docs).columns == ["doc_id", "held_out", "lang_pred", "score"]
+    labels = spark.createDataFrame([(1, 1, "x"), (2, 0, "y")], "doc_id long, quality int, score string")
+    assert quality.classify(docs, labels).columns == ["doc_id", "held_out", "score", "predicted"]
+    assert {r.lang_pred for r in language_id.identify(docs.withColumn("doc_id", docs.doc_id + 0)).collect()} <= {"en", "und"}
+
+
 def odd(spark, extra="lang string, source string"):
     return spark.createDataFrame([(i, t, None, "score") for i, t in enumerate(ODD)], f"doc_id long, text string, {extra}").coalesce(1)
 

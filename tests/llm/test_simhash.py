@@ -82,3 +82,43 @@ def test_components_of_chains(spark):
     random.Random(1).shuffle(edges)
     got = {r.node: r.component for r in components.connected_components(spark.createDataFrame(edges, "x long, y long").repartition(4)).collect()}
     assert got == {**{i: 0 for i in range(1, 201)}, **{i: 951 for i in range(952, 1001)}}
+
+
+def test_registered_query(spark, sf_dir):
+    """op4 as registered: hex digits and components against plain code."""
+    from gridmask.llm import queries
+
+    rows = spark.read.parquet(f"{sf_dir}/documents.parquet").collect()
+    fps = [plain_fingerprint(r.text) for r in rows]
+    comp = plain_components([r.doc_id for r in rows], fps)
+    got = {r.doc_id: (r.fingerprint, r.component_id) for r in queries.op4_simhash(spark, sf_dir).collect()}
+    assert got == {r.doc_id: (format(f, "016x"), comp[r.doc_id]) for r, f in zip(rows, fps)}
+
+
+def test_hot_buckets_are_cut(spark):
+    """Buckets of more than bucket_rows: every index row in one block, and no link lost."""
+    rng = np.random.default_rng(9)
+    base = rng.integers(0, 1 << 63, dtype=np.uint64)
+    fps = {int(base)}
+    while len(fps) < 300:  # near one value, so all partitions are hot
+        x = int(base)
+        for b in rng.choice(64, rng.integers(1, 6), replace=False):
+            x ^= 1 << int(b)
+        fps.add(x)
+    fps = sorted(fps)
+    signed = np.array(fps, np.uint64).view(np.int64).tolist()
+    distinct = spark.createDataFrame([(f, i) for i, f in enumerate(signed)], "fp long, rep long")
+    want = plain_components(list(range(len(fps))), fps)
+    for size in (8192, 16):
+        links = [(r.a, r.b) for r in simhash.links_forest(distinct, 4, bucket_rows=size).collect()]
+        root = {i: i for i in range(len(fps))}
+
+        def find(i):
+            while root[i] != i:  # noqa: B023
+                i = root[i]  # noqa: B023
+            return i
+
+        for a, b in links:
+            a, b = find(a), find(b)
+            root[max(a, b)] = min(a, b)
+        assert {i: find(i) for i in range(len(fps))} == {i: want[i] for i in range(len(fps))}
