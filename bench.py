@@ -48,6 +48,7 @@ def main() -> None:
         runs[f"tree_2d_{tag}"] = lambda hit=hit: Q.range_query(table, ratio_query(table, hit))
     third = index_of(spark, sf, "a3")
     runs["tree_3d_10"] = lambda: Q.range_query(third, ratio_query(third, 0.1))
+    runs["tree_count_2d_10"] = lambda: Q.count_query(table, q10)
     runs["rect_clip_2d_10"] = lambda: B.rect_clip(lines, q10)
     runs["dim_columns_2d_10"] = lambda: B.dim_columns(columns, q10)
     runs["zone_map_2d_10"] = lambda: B.zone_map(table, q10)

@@ -539,8 +539,8 @@ def tagged_cells(index: Index, region: Region, found: Found) -> DataFrame:
     small = held is not None and len(held) * index.spec.chunk_cells // 4 <= MOST_BROADCAST
     if whole is not None and len(whole) <= MOST_RANGES:
         if not held and held is not None:
-            return cells.where(in_ranges(F.col("z"), whole)).withColumns({"complete": F.lit(True), "hit": F.lit(None).cast("array<long>"), "sure": F.lit(None).cast("array<long>")})
-        joined = cells.join(F.broadcast(answers) if small else answers, "z", "left").withColumn("complete", in_ranges(F.col("z"), whole))
+            return cells.where(in_ranges("z", whole)).withColumns({"complete": F.lit(True), "hit": F.lit(None).cast("array<long>"), "sure": F.lit(None).cast("array<long>")})
+        joined = cells.join(F.broadcast(answers) if small else answers, "z", "left").withColumn("complete", in_ranges("z", whole))
         return joined.where(F.col("complete") | F.col("hit").isNotNull())
     none = F.lit(None).cast("array<long>")
     tags = answers.withColumn("complete", F.lit(False)).unionByName(complete_leaves(index, found, cover).select("z", none.alias("hit"), none.alias("sure"), F.lit(True).alias("complete")))
@@ -554,19 +554,56 @@ def verified(index: Index, region: Region) -> Column:
     return F.col("complete") | (F.coalesce(bit("hit", "cell_no"), F.lit(False)) & (bit("sure", "cell_no") | holds_))
 
 
-def range_query(index: Index, q: ArrayQuery | Region, exact: bool = True) -> DataFrame:
-    """The cells that satisfy the query, with the array's columns. Sets of values and of coordinates are allowed."""
+def region_predicate(region: Region, index: Index) -> Column:
+    """The region as a plain predicate on a cell. Runs over a dimension's whole domain are left out."""
+    out = F.lit(True)
+    for dim, runs in zip(index.spec.dims, region.dims):
+        if runs != ((dim.lo, dim.hi),):
+            out = out & in_ranges(dim.name, list(runs))
+    return out & reduce(lambda a, b: a | b, [c.column(F.col(index.spec.attr)) for c in region.attr])
+
+
+def range_query(index: Index, q: ArrayQuery | Region, exact: bool = True, leaves: str = "values") -> DataFrame:
+    """The cells that satisfy the query, with the array's columns. Sets of values and of coordinates are allowed.
+
+    leaves: how cells of partial leaves are told. "values": by the cells themselves, which the answer reads anyway; the
+    plan is then one scan of the parts and codes that the descent left, with a filter that Parquet sees too. "bitmaps":
+    by the leaves' bitmaps, and by values only where an edge bin leaves it open, as in count_query, which reads no other
+    cells.
+    """
     region = q if isinstance(q, Region) else complete_query(q, index.spec)
     cols = [*index.spec.names, index.spec.attr]
     if region.empty:
         return index.cells.select(*cols).limit(0)
-    return tagged_cells(index, region, descend(index, region, exact)).where(verified(index, region)).select(*cols)
+    found = descend(index, region, exact)
+    if leaves == "values":
+        return index.read("cells", found.cover()).where(region_predicate(region, index)).select(*cols)
+    return tagged_cells(index, region, found).where(verified(index, region)).select(*cols)
+
+
+def count_query(index: Index, q: ArrayQuery | Region, exact: bool = True) -> DataFrame:
+    """One row: hits. Complete nodes count by their synopses, partial leaves by their bitmaps; cells are read only for
+    leaves whose edge bins leave some open."""
+    region = q if isinstance(q, Region) else complete_query(q, index.spec)
+    if region.empty:
+        return index.spark.createDataFrame([(0,)], "hits long")
+    found = descend(index, region, exact)
+    whole = []
+    for level, kids in found:
+        whole.append(index.level(level).join(kids.where("complete").select("z"), "z", "left_semi").select(F.col("n_cells").alias("n")))
+    answers = written(leaf_answers(index, region, found), "leaf-answers")
+    ones = lambda name: F.aggregate(name, F.lit(0), lambda a, w: a + F.bit_count(w))
+    sure = answers.select(ones("sure").cast("long").alias("n"))
+    open_ = answers.where(ones("hit") > ones("sure")).select("z", "hit", "sure")
+    value = reduce(lambda a, b: a | b, [c.column(F.col(index.spec.attr)) for c in region.attr])
+    looked = index.read("cells", found.cover()).join(open_, "z").where(bit("hit", "cell_no") & ~bit("sure", "cell_no") & value)
+    return reduce(DataFrame.union, [*whole, sure, looked.select(F.lit(1).cast("long").alias("n"))]).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("hits"))
 
 
-def member_query(index: Index, dims: dict[str, list[int]] | None = None, values: list[float] | None = None) -> DataFrame:
+def member_query(index: Index, dims: dict[str, list[int]] | None = None, values: list[float] | None = None, leaves: str = "bitmaps") -> DataFrame:
     """Sets of coordinates and of values: by the equality bitmaps of nodes and the coordinate masks of chunks."""
     attr = Constraint() if values is None else Constraint.isin(values)
-    return range_query(index, ArrayQuery({d: Constraint.isin(v) for d, v in (dims or {}).items()}, attr))
+    return range_query(index, ArrayQuery({d: Constraint.isin(v) for d, v in (dims or {}).items()}, attr), leaves=leaves)
 
 
 def range_query_multi(parts: list[tuple[str, Index, ArrayQuery]]) -> DataFrame:

@@ -83,21 +83,26 @@ FIXED: dict[str, tuple[str, ArrayQuery, str]] = {
     "label_equality": ("al", ArrayQuery({}, C.eq(1.0)), "value = 1.0"),
 }
 for name, (array, q, condition) in FIXED.items():
-    add(name, partial(fixed, array, q), where_sql(array, condition))
-add("aligned_bounds_bucket_form", partial(fixed, "a2", FIXED["chunk_borders"][1], exact=False), where_sql("a2", FIXED["chunk_borders"][2]))
+    # sets go by the bitmaps and masks made for them
+    add(name, partial(fixed, array, q, leaves="bitmaps" if name.startswith(("member", "point", "label")) else "values"), where_sql(array, condition))
+for array in ("a2p", "ae", "a3"):
+    for tag in ("10", "50"):
+        add(f"count_{array}_{tag}", lambda s, d, a=array, h=HITS[tag]: (lambda i: Q.count_query(i, ratio_query(i, h)))(index_of(s, d, a)), f"SELECT count(*) AS hits FROM ({ratio_sql(array, HITS[tag])})")
+    add(f"bitmap_leaves_{array}", lambda s, d, a=array: (lambda i: Q.range_query(i, ratio_query(i, 0.1), leaves="bitmaps"))(index_of(s, d, a)), ratio_sql(array, 0.1))
+add("aligned_bounds_bucket_form", partial(fixed, "a2", FIXED["chunk_borders"][1], exact=False, leaves="bitmaps"), where_sql("a2", FIXED["chunk_borders"][2]))
 
 for enc, codec in (("equality", "raw"), ("equality", "wah"), ("range", "raw"), ("range", "bbc"), ("range", "wordrun"), ("interval", "wah"), ("interval", "wordrun"), ("bit_sliced", "raw"), ("components", "wah"), ("two_level", "wah")):
     cfg = IndexConfig(leaf_encoding=enc, codec=codec, list_below=0)
-    add(f"leaf_{enc}_{codec}", lambda s, d, cfg=cfg: Q.range_query(index_of(s, d, "ae", cfg), FIXED["one_sided"][1]), where_sql("ae", FIXED["one_sided"][2]))
+    add(f"leaf_{enc}_{codec}", lambda s, d, cfg=cfg: Q.range_query(index_of(s, d, "ae", cfg), FIXED["one_sided"][1], leaves="bitmaps"), where_sql("ae", FIXED["one_sided"][2]))
 for rule in ("equi_width", "optimal", "v_uniform", "v_normal", "by_sign"):
     cfg = IndexConfig(bins=4, merge=rule)
     add(f"merge_{rule}_range", lambda s, d, cfg=cfg: Q.range_query(index_of(s, d, "a2p", cfg), ArrayQuery({"partkey": C.between(5, 900)}, C.between(930.0, 980.0))), where_sql("a2p", "partkey >= 5 AND partkey < 900 AND value >= 930.0 AND value < 980.0"))
 for rule in ("equi_width", "v_optimal", "weighted"):
     cfg = IndexConfig(leaf_binning=rule, list_below=0, query_weights=((20.0, 60.0, 9.0),))
-    add(f"leaf_bins_{rule}_range", lambda s, d, cfg=cfg: Q.range_query(index_of(s, d, "ae", cfg), FIXED["one_sided"][1]), where_sql("ae", FIXED["one_sided"][2]))
+    add(f"leaf_bins_{rule}_range", lambda s, d, cfg=cfg: Q.range_query(index_of(s, d, "ae", cfg), FIXED["one_sided"][1], leaves="bitmaps"), where_sql("ae", FIXED["one_sided"][2]))
 for tag, fan in (("2", (2, 2)), ("4", (4, 4)), ("16", (16, 16))):
     add(f"fanout_{tag}_range", lambda s, d, fan=fan: (lambda i: Q.range_query(i, ratio_query(i, 0.1)))(index_of(s, d, "ae", IndexConfig(fanout=fan))), ratio_sql("ae", 0.1))
-add("list_leaves", lambda s, d: Q.range_query(index_of(s, d, "ao", IndexConfig(list_below=10**9)), ArrayQuery({"cust": C.below(700)}, C.at_least(100000.0))), where_sql("ao", "cust < 700 AND value >= 100000.0"))
+add("list_leaves", lambda s, d: Q.range_query(index_of(s, d, "ao", IndexConfig(list_below=10**9)), ArrayQuery({"cust": C.below(700)}, C.at_least(100000.0)), leaves="bitmaps"), where_sql("ao", "cust < 700 AND value >= 100000.0"))
 
 
 for order in ("row", "hilbert"):

@@ -224,11 +224,12 @@ def test_random_arrays(spark, enc):
         q = ArrayQuery({"d0": C.between(a, b)}, C(v, w, rng.random() < 0.5, rng.random() < 0.5))
         for exact, dense in ((True, 4096), (False, 4096), *(((True, 0), (False, 4)) if tables else ())):
             index.dense_rows = dense
-            assert sorted(map(tuple, Q.range_query(index, q, exact).collect())) == plain(rows, names, q)
+            assert sorted(map(tuple, Q.range_query(index, q, exact, "bitmaps").collect())) == plain(rows, names, q)
+        assert sorted(map(tuple, Q.range_query(index, q).collect())) == plain(rows, names, q) and Q.count_query(index, q).first().hits == len(plain(rows, names, q))
     q = ArrayQuery({"d1": C.isin([0, 1, 5, 29])}, C.isin([3.0, 4.0, 40.0]))
     traces = []
     for index.dense_rows in (0, 4096) if tables else (4096, 4096):
-        assert sorted(map(tuple, Q.range_query(index, q).collect())) == plain(rows, names, q)
+        assert sorted(map(tuple, Q.range_query(index, q, leaves="bitmaps").collect())) == plain(rows, names, q)
         traces.append(sorted(map(tuple, Q.trace(index, q).collect())))
     assert traces[0] == traces[1]
 
@@ -359,7 +360,7 @@ def test_members_and_estimates(spark):
     for q in (ArrayQuery({}, C.eq(3.0)), ArrayQuery({"d0": C.isin([1, 2, 17]), "d1": C.isin([0, 39])}, C.isin([0.0, 4.0, 8.0])), ArrayQuery({}, C.eq(3.5)), ArrayQuery({"d0": C.at_most(20)}, C(2, 5, False, True))):
         want = plain(rows, names, q)
         for index.dense_rows in (4096, 0):
-            assert sorted(map(tuple, Q.range_query(index, q).collect())) == want
+            assert sorted(map(tuple, Q.range_query(index, q, leaves="bitmaps").collect())) == want
         if q.dims == {}:
             for levels in (1, index.height):
                 assert Q.estimate_agg(index, q, levels).first().est_count == pytest.approx(len(want))
