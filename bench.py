@@ -45,14 +45,15 @@ def main() -> None:
     columns = built("2d_dim_columns", lambda: linear_of(spark, sf, "a2p", "all"))
     q10 = ratio_query(table, 0.1)
     for tag, hit in HITS.items():
-        runs[f"tree_2d_{tag}"] = lambda hit=hit: Q.range_query(table, ratio_query(table, hit))
+        runs[f"tree_2d_{tag}"] = lambda q=ratio_query(table, hit): Q.range_query(table, q)
     third = index_of(spark, sf, "a3")
-    runs["tree_3d_10"] = lambda: Q.range_query(third, ratio_query(third, 0.1))
+    q3 = ratio_query(third, 0.1)
+    runs["tree_3d_10"] = lambda: Q.range_query(third, q3)
     runs["tree_count_2d_10"] = lambda: Q.count_query(table, q10)
     runs["rect_clip_2d_10"] = lambda: B.rect_clip(lines, q10)
     runs["dim_columns_2d_10"] = lambda: B.dim_columns(columns, q10)
     runs["zone_map_2d_10"] = lambda: B.zone_map(table, q10)
-    runs["zone_map_2d_005"] = lambda: B.zone_map(table, ratio_query(table, 0.005))
+    runs["zone_map_2d_005"] = lambda q=ratio_query(table, 0.005): B.zone_map(table, q)
 
     def compared(name: str, shape: tuple[int, ...], hits: dict[str, float], parts=None) -> None:
         """The three methods on a generated array."""
