@@ -122,3 +122,72 @@ def test_hot_buckets_are_cut(spark):
             a, b = find(a), find(b)
             root[max(a, b)] = min(a, b)
         assert {i: find(i) for i in range(len(fps))} == {i: want[i] for i in range(len(fps))}
+
+
+def plain_wide(text):
+    words = re.findall(rb"[^\x20\x09-\x0D]+", (text or "").encode().lower())
+    k = min(5, len(words))
+    h = [xxhash.xxh3_128_intdigest(g, 42) for g in {b" ".join(words[i : i + k]) for i in range(len(words) - k + 1)}] if words else []
+    own = xxhash.xxh3_128_intdigest(b" ".join(words), 43)
+    bits = 0
+    for b in range(128 if words else 0):
+        twice = 2 * sum(x >> b & 1 for x in h)
+        bits |= (own >> b & 1 if twice == len(h) else twice > len(h)) << b
+    return bits
+
+
+def as_int(digest_words):
+    """The digest's bytes, most significant first, as the library's integer counts them."""
+    return int.from_bytes(np.asarray(digest_words, "<u8").tobytes(), "little")
+
+
+def swap(x):
+    """Bytes of a 128-bit integer turned round: the fingerprint reads the digest's bytes in their order."""
+    return int.from_bytes(x.to_bytes(16, "big"), "little")
+
+
+def test_wide_fingerprint():
+    for t in [None, "", " \n", "One", "a b c d e", "a b c d e f", "the Cat sat ON the mat " * 9, "x y z w q r s t u v", "ÄÖ Ü a b c d e f g"]:
+        assert as_int(simhash.wide_fingerprint(t)) == swap(plain_wide(t)), t
+    # an even number of shingles, half of them shared: tied bits do not make texts of few shingles alike
+    a, b = (simhash.wide_fingerprint(t) for t in ("one two three four five six", "one two three four five seven"))
+    assert int(np.bitwise_count(a ^ b).sum()) > 22
+
+
+def test_join_of_two_words(spark):
+    """All pairs within the radius link, none beyond the reach; pairs between them mostly do."""
+    rng = random.Random(11)
+    fps = [0]
+    for _ in range(60):
+        f = rng.getrandbits(128)
+        fps += [f] + [f ^ sum(1 << b for b in rng.sample(range(128), d)) for d in (1, 9, 15, 16, 19, 22, 23, 30)]
+    rows = [tuple(np.array([f & (2**64 - 1), f >> 64], np.uint64).view(np.int64).tolist()) + (i,) for i, f in enumerate(fps)]
+    df = spark.createDataFrame(rows, "w0 long, w1 long, rep long")
+    for options in ({}, {"bucket_rows": 8}):
+        comp = {r.node: r.component for r in components.connected_components(simhash.links_forest(df, 15, 22, **options)).collect()}
+        at_least, at_most = plain_components(range(len(fps)), fps, 15), plain_components(range(len(fps)), fps, 22)
+        got = [comp.get(i, i) for i in range(len(fps))]
+        assert all(got[i] == got[at_least[i]] for i in range(len(fps)))
+        assert all(at_most[i] == at_most[g] for i, g in enumerate(got))
+        assert sum(g != i for i, g in enumerate(got)) > 0.95 * sum(at_most[i] != i for i in range(len(fps)))
+
+
+def test_first_of_groups_by_similarity(spark):
+    """Near copies of a similarity of 0.9 and more go, unrelated texts and texts that share one passage stay."""
+    rng = random.Random(5)
+    vocabulary = [f"word{i}" for i in range(3000)]
+    passage = rng.choices(vocabulary, k=55)
+    rows, copies = [], set()
+    for i in range(150):
+        words = rng.choices(vocabulary, k=rng.choice([130, 300, 900]))
+        rows.append((10 * i, " ".join(words + (passage if i % 3 == 0 else []))))
+        near = list(rows[-1][1].split())
+        for at in rng.sample(range(len(near)), max(1, len(near) // 130)):
+            near[at] = "changed"
+        rows.append((10 * i + 1, " ".join(near)))
+        copies.add(10 * i + 1)
+    rows += [(5000 + i, t) for i, t in enumerate(["a b c d e f", "a b c d e g", "z b c d e f", "x", "y"])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "xxhash64(doc_id, text) AS _row")
+    kept = {r.doc_id for r in simhash.first_of_groups(docs).collect()}
+    assert {i for i, _ in rows} - copies <= kept
+    assert len(copies & kept) <= 3
