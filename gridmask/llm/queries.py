@@ -13,7 +13,7 @@ from .tokens import tokenizer_path
 
 
 def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path("word_bpe_49k.json"))
+    return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path("word_bpe_49k.json"), cached_pieces=1_000_000)
 
 
 def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
