@@ -2,6 +2,7 @@
 
 from datetime import datetime, timedelta
 
+import duckdb
 import pytest
 from oracle import compare, connect
 
@@ -47,3 +48,13 @@ def test_asof_hours_beyond_thirty_days(spark, late_events):
         for hour in range(min(cells), 960):
             want[user, hour] = cells[max(h for h in cells if h <= hour)]
     assert got == want
+
+
+@pytest.mark.parametrize("name", ["child_edges", "wsse_compare"])
+def test_nodes_over_few_values(spark, tmp_path, name):
+    """A node whose children hold fewer values than it may have bins: its edges are still the children's bounds."""
+    rows = [(p, s, float(1000 * p + s)) for p in (1, 2, 40, 41, 300) for s in (1, 5, 9, 33)]
+    spark.createDataFrame(rows, "l_partkey long, l_suppkey long, l_extendedprice double").write.parquet(str(tmp_path / "lineitem.parquet"))
+    con = duckdb.connect()
+    con.execute(f"create view lineitem as select * from read_parquet('{tmp_path}/lineitem.parquet/*.parquet')")
+    assert compare(entry.queries()[name](spark, str(tmp_path)), con, entry.oracle_sql()[name]) is None
