@@ -17,7 +17,7 @@ from pyspark.sql import SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, In, InputPartition, LessThan, LessThanOrEqual
 from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
-from ..operators.linear import slot_z
+from ..operators.linear import slot_z, step_bits
 
 
 def _opened(path: str) -> tuple[fs.FileSystem, str]:
@@ -37,8 +37,7 @@ class IndexReader(DataSourceReader):
         with store.open_input_stream(max(found)) as f:
             self.state = json.loads(f.read())
         self.spec, self.config = json.loads(self.state["spec"]), self.state["config"]
-        bits = max(1, (max(self.config["fanout"]) - 1).bit_length())
-        self.step = len(self.spec["dims"]) * bits
+        self.step = step_bits(self.config["fanout"])
         self.bounds: dict[str, list[float]] = {}
 
     def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:

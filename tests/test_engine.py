@@ -13,7 +13,7 @@ from gridmask.operators import append as A
 from gridmask.operators import baselines as B
 from gridmask.operators import encoding, linear
 from gridmask.operators import query as Q
-from gridmask.operators.tree import IndexConfig, build_index, choose_fanout, merge_ranges, node_row, read_index, vacuum, versions
+from gridmask.operators.tree import IndexConfig, build_index, choose_fanout, fit_fanout, merge_ranges, node_row, read_index, vacuum, versions
 
 C = Constraint
 
@@ -435,3 +435,19 @@ def test_sweep_equals_plain_clip():
             if all(a < b for a, b in got):
                 want.append(tuple(int(x) for p in got for x in p))
     assert sorted(map(tuple, B.sweep(boxes, runs).reshape(-1, 6).tolist())) == sorted(want)
+
+
+def test_five_dimensions_fit_the_code(spark):
+    """A grid of unequal sides, for which five digits of equal width a level take more than 62 bits."""
+    spec = ArraySpec((Dim("a", 0, 120_000), Dim("b", 0, 6_000), Dim("c", 0, 84), Dim("d", 0, 7), Dim("e", 0, 50)), "value", (64, 32, 16, 4, 16))
+    fan = fit_fanout(spec)
+    zs, step = linear.slot_z(fan), linear.step_bits(fan)
+    assert len(set(zs)) == len(zs) == int(np.prod(fan)) and max(zs) < 1 << step
+    rng = random.Random(4)
+    want = {tuple(rng.randrange(d.hi) for d in spec.dims): float(i) for i in range(300)}
+    cells = spark.createDataFrame([(*at, v) for at, v in want.items()], "a long, b long, c long, d long, e long, value double")
+    index = build_index(cells, spec)
+    for q in (ArrayQuery({"a": C.below(70_000), "d": C.at_least(2)}, C.between(20.0, 250.0)), ArrayQuery({"b": C.between(100, 4_000), "e": C.below(40)})):
+        hits = {at for at, v in want.items() if (at[0] < 70_000 and at[3] >= 2 and 20 <= v < 250 if "a" in q.dims else 100 <= at[1] < 4_000 and at[4] < 40)}
+        for leaves in ("values", "bitmaps"):
+            assert {tuple(r)[:5] for r in Q.range_query(index, q, leaves=leaves).collect()} == hits
