@@ -13,7 +13,7 @@ from gridmask.operators import append as A
 from gridmask.operators import baselines as B
 from gridmask.operators import encoding, linear
 from gridmask.operators import query as Q
-from gridmask.operators.tree import IndexConfig, build_index, choose_fanout, fit_fanout, merge_ranges, node_row, read_index, vacuum, versions
+from gridmask.operators.tree import IndexConfig, build_index, choose_fanout, fit_fanout, leaf_row, leaf_rows, merge_ranges, node_row, read_index, vacuum, versions
 
 C = Constraint
 
@@ -451,3 +451,20 @@ def test_five_dimensions_fit_the_code(spark):
         hits = {at for at, v in want.items() if (at[0] < 70_000 and at[3] >= 2 and 20 <= v < 250 if "a" in q.dims else 100 <= at[1] < 4_000 and at[4] < 40)}
         for leaves in ("values", "bitmaps"):
             assert {tuple(r)[:5] for r in Q.range_query(index, q, leaves=leaves).collect()} == hits
+
+
+@pytest.mark.parametrize("below", [None, 0, 12, 10**6])
+@pytest.mark.parametrize("rule", ["equi_depth", "equi_width"])
+def test_leaves_at_once_equal_leaves_one_by_one(rule, below):
+    rng, spec = np.random.default_rng(3), ArraySpec((Dim("x", 3, 500), Dim("y", 7, 300)), "value", (16, 8))
+    for bins in (2, 4, 16):
+        cfg = IndexConfig(bins=bins, fanout=(4, 4), list_below=below, leaf_binning=rule)
+        zs, want, parts = np.sort(rng.choice(4**6, 40, replace=False)), {}, []
+        for z in zs.tolist():
+            no = np.sort(rng.choice(128, rng.integers(1, 128), replace=False)).astype(np.int32)
+            v = rng.integers(0, rng.choice([2, 20, 1000]), len(no)) / 2.0
+            at = linear.decode_z(z, (4, 4), 6)
+            want[z] = leaf_row(z, [d.lo + a * c for d, a, c in zip(spec.dims, at, spec.chunk)], no, v, spec, cfg)
+            parts.append((np.full(len(no), z), no, v))
+        got = [tuple(r.values()) for b in leaf_rows(*map(np.concatenate, zip(*parts)), spec, cfg, 6) for r in b.to_pylist()]
+        assert {r[0]: r for r in got} == want and len(got) == len(want)
