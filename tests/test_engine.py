@@ -468,3 +468,20 @@ def test_leaves_at_once_equal_leaves_one_by_one(rule, below):
             parts.append((np.full(len(no), z), no, v))
         got = [tuple(r.values()) for b in leaf_rows(*map(np.concatenate, zip(*parts)), spec, cfg, 6) for r in b.to_pylist()]
         assert {r[0]: r for r in got} == want and len(got) == len(want)
+
+
+def test_linear_index_lists_blocks_of_few_cells(spark):
+    """A wide array of few cells a block keeps three rows a block instead of some dozens; answers are as before."""
+    rng = random.Random(9)
+    want = {(rng.randrange(2_000), rng.randrange(3_000)): float(i % 97) for i in range(400)} | {(5, y): float(y % 50) for y in range(1_000)}
+    cells = spark.createDataFrame([(*at, v) for at, v in want.items()], "x long, y long, value double")
+    spec = fit_spec(cells, ["x", "y"], (32, 32))
+    q = ArrayQuery({"x": C.between(3, 1_500), "y": C.at_least(40)}, C.between(10.0, 60.0))
+    hits = {(*at, v) for at, v in want.items() if 3 <= at[0] < 1_500 and at[1] >= 40 and 10 <= v < 60}
+    for enc in ("range", "interval", "components"):
+        lines, columns = B.build_linear(cells, spec, ["value"], 8, enc), B.build_linear(cells, spec, ["x", "y", "value"], 8, enc)
+        rows = {r[0]: r[1] for r in columns.bitmaps.groupBy("block").count().collect()}
+        assert sorted(rows.values())[-2] == 4 and max(rows.values()) > 4  # x = 5 fills its block, all others are listed
+        assert {tuple(r) for r in B.dim_columns(columns, q).collect()} == hits == {tuple(r) for r in B.rect_clip(lines, q).collect()}
+        bounds = B.count_bounds(columns, B.wanted_columns(spec, complete_query(q, spec))).first()
+        assert bounds.lower_bound <= len(hits) <= bounds.upper_bound
