@@ -485,3 +485,19 @@ def test_linear_index_lists_blocks_of_few_cells(spark):
         assert {tuple(r) for r in B.dim_columns(columns, q).collect()} == hits == {tuple(r) for r in B.rect_clip(lines, q).collect()}
         bounds = B.count_bounds(columns, B.wanted_columns(spec, complete_query(q, spec))).first()
         assert bounds.lower_bound <= len(hits) <= bounds.upper_bound
+
+
+@pytest.fixture
+def four_tasks(spark):
+    """Four tasks after a shuffle, however few rows there are."""
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    yield
+    spark.conf.set("spark.sql.adaptive.enabled", "true")
+
+
+def test_leaves_are_made_from_dealt_cells(spark, tmp_path, four_tasks):
+    """Cells are dealt once, by code: a part's leaves come from few tasks, so they lie in few files."""
+    cells = spark.range(64 * 64).selectExpr("id div 64 AS x", "id % 64 AS y", "cast(id * 7 % 101 AS double) AS value")
+    index = build_index(cells, fit_spec(cells, ["x", "y"], (4, 4)), IndexConfig(fanout=(2, 2), part_cells=256), f"file://{tmp_path}/i")
+    assert index.leaves.count() == 256 and len(index.parts) == 16
+    assert len(list((tmp_path / "i" / "level=0").rglob("*.parquet"))) <= len(index.parts) + 4
