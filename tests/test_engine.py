@@ -317,6 +317,19 @@ def test_query_reads_few_parts(spark):
         assert Q.range_query(index, q).count() == want
 
 
+def test_batch_reads_few_parts(spark):
+    """Queries of a batch read the cells of the parts that they reach."""
+    n = 128
+    cells = spark.range(n * n).selectExpr(f"id div {n} as x", f"id % {n} as y", "cast(id % 977 as double) as value")
+    index = build_index(cells, fit_spec(cells, ["x", "y"], (8, 8)), IndexConfig(fanout=(4, 4), part_cells=1024))
+    boxes = spark.createDataFrame([(0, 40, 50, 100, 109, 0.0, 900.0), (1, 41, 44, 90, 97, 100.0, 300.0), (2, 500, 600, 0, 9, 0.0, 1.0)], "q int, lo_x long, hi_x long, lo_y long, hi_y long, lo_value double, hi_value double")
+    files, rows = scanned(Q.batch_query(index, boxes), f"{index.path}/cells")
+    assert 0 < rows <= n * n * 0.2 and files <= len(files_of(index, "cells")) * 0.2
+    want = cells.crossJoin(boxes).where("x >= lo_x and x < hi_x and y >= lo_y and y < hi_y and value >= lo_value and value < hi_value").select("q", "x", "y", "value")
+    assert sorted(map(tuple, Q.batch_query(index, boxes).collect())) == sorted(map(tuple, want.collect()))
+    assert Q.batch_query(index, boxes.where("q = 2")).count() == 0
+
+
 def test_append_and_modify(spark):
     cells, names, rows = random_cells(spark, (30, 60), 0.5, seed=4)
     first = cells.where("d1 < 20")
