@@ -545,3 +545,60 @@ def test_leaves_are_made_from_dealt_cells(spark, tmp_path, four_tasks):
     index = build_index(cells, fit_spec(cells, ["x", "y"], (4, 4)), IndexConfig(fanout=(2, 2), part_cells=256), f"file://{tmp_path}/i")
     assert index.leaves.count() == 256 and len(index.parts) == 16
     assert len(list((tmp_path / "i" / "level=0").rglob("*.parquet"))) <= len(index.parts) + 4
+
+
+def test_z_code_of_many_levels_is_compiled(spark):
+    """The JVM leaves methods of 8,000 bytes of code and more uncompiled; tables of several levels' digits keep below."""
+    from pyspark.sql import functions as F
+
+    for fan, levels in (((2,) * 5, 11), ((4, 4, 4), 8), ((3,) * 5, 6)):
+        names = [f"c{i}" for i in range(len(fan))]
+        cells = spark.range(2000).select(*[(F.col("id") * (7 * i + 3) % min(f**levels, 3000)).alias(c) for i, (c, f) in enumerate(zip(names, fan))])
+        rows = cells.withColumn("z", linear.z_code([F.col(c) for c in names], fan, levels))
+        code = rows._jdf.queryExecution().debug().codegenToSeq()
+        assert max(code.apply(i)._3().maxMethodCodeSize() for i in range(code.size())) < 8000
+        got = rows.toPandas()
+        for c, at in zip(names, linear.decode_z(got["z"].to_numpy(), fan, levels)):
+            assert (got[c].to_numpy() == at).all()
+
+
+@pytest.mark.parametrize("fan, cfg", [((2, 2, 2), IndexConfig(bins=4)), ((2, 2, 2), IndexConfig(bins=4, node_values=False)), ((16, 8), IndexConfig(bins=8))])
+def test_plain_nodes_at_once_as_one_by_one(fan, cfg):
+    import math
+
+    import pyarrow as pa
+
+    from gridmask.operators import tree as T
+
+    rng, n, n_slots = np.random.default_rng(3), 60, math.prod(fan)
+    nodes = []
+    for g in range(n):
+        kids = []
+        for s in sorted(rng.choice(n_slots, rng.integers(1, 7), replace=False)):
+            e = np.unique(rng.integers(0, 6 + 3 * (g % 4), rng.integers(1, 4))).astype(float)
+            spread = g % 10 == 9 and len(e) > 1
+            kids.append((s, e[0], e[-1], int(rng.integers(1, 9)), e, rng.integers(1, 5, len(e) - spread).astype(float)))
+        nodes.append(kids)
+    flat = [k for kids in nodes for k in kids]
+    slot, low, high, cells = (np.array([k[i] for k in flat]) for i in range(4))
+    owner = np.repeat(np.arange(n), [len(kids) for kids in nodes])
+    every = T.Children(owner, slot, low, high, cells, *(np.array([len(k[i]) for k in flat]) for i in (4, 5)), *(np.concatenate([k[i] for k in flat]) for i in (4, 5)))
+    plain = T.plain_nodes(every, n, cfg)
+    words, numbers = pa.list_(pa.int64()), pa.list_(pa.float64())
+    kinds = {"z": pa.int64(), "lo": words, "n_cells": pa.int64(), "vmin": pa.float64(), "vmax": pa.float64(), "edges": numbers, "weights": numbers, "plus": numbers, "started": pa.list_(words), "minus": numbers, "ended": pa.list_(words), "equal": pa.list_(words), "present": words}
+    z = np.arange(n)
+    got = T.plain_node_rows(z[plain], np.stack([z, z], axis=1)[plain], every.of(plain), n_slots, cfg, pa.schema(list(kinds.items()))).to_pylist()
+    assert 10 < plain.sum() < n and len(got) == plain.sum()
+    for row in got:
+        kids = dict(zip(("slot", "vmin", "vmax", "n_cells", "edges", "weights"), zip(*nodes[row["z"]])))
+        assert tuple(row.values()) == node_row(row["z"], row["lo"], kids, fan, cfg)
+
+
+def test_middle_of_a_bin_as_by_all_inner_edges():
+    rng = np.random.default_rng(5)
+    for _ in range(300):
+        total = np.concatenate([[0], np.cumsum(rng.integers(0, 4, 20))]).astype(float)
+        a, b = sorted(rng.choice(21, 2, replace=False))
+        if b - a > 1:
+            inner = np.arange(a + 1, b)
+            assert E._middle(total.tolist(), int(a), int(b)) == inner[np.argmin(np.abs(total[inner] - (total[a] + total[b]) / 2))]
