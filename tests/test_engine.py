@@ -602,3 +602,19 @@ def test_middle_of_a_bin_as_by_all_inner_edges():
         if b - a > 1:
             inner = np.arange(a + 1, b)
             assert E._middle(total.tolist(), int(a), int(b)) == inner[np.argmin(np.abs(total[inner] - (total[a] + total[b]) / 2))]
+
+
+def test_listed_leaves_answer_by_their_cells_numbers(spark):
+    """A chunk of 8,192 cells that lists three of them answers with their numbers, not with words over the whole chunk."""
+    rng = np.random.default_rng(11)
+    rows = {(int(x), int(y)): float(v) for x, y, v in zip(rng.integers(0, 300, 60), rng.integers(0, 300, 60), rng.integers(0, 50, 60))}
+    cells = spark.createDataFrame([(x, y, v) for (x, y), v in rows.items()], "x long, y long, value double")
+    index = build_index(cells, fit_spec(cells, ["x", "y"], (128, 64)))
+    q = ArrayQuery({"x": Constraint.isin([*range(20, 90), *range(100, 250)]), "y": Constraint.below(200)}, Constraint.between(5.0, 30.0))
+    want = {(x, y) for (x, y), v in rows.items() if (20 <= x < 90 or 100 <= x < 250) and y < 200 and 5.0 <= v < 30.0}
+    region = complete_query(q, index.spec)
+    answers = Q.leaf_answers(index, region, Q.descend(index, region)).collect()
+    assert answers and all(r.listed and r.hit == r.sure and 0 < len(r.hit) < 60 for r in answers)
+    assert sum(len(r.hit) for r in answers) <= len(want)
+    assert Q.count_query(index, q).first().hits == len(want) > 0
+    assert {(r.x, r.y) for r in Q.range_query(index, q, leaves="bitmaps").collect()} == want
