@@ -594,6 +594,74 @@ def test_plain_nodes_at_once_as_one_by_one(fan, cfg):
         assert tuple(row.values()) == node_row(row["z"], row["lo"], kids, fan, cfg)
 
 
+@pytest.mark.parametrize("fan, cfg", [((4, 4, 4), IndexConfig(bins=4)), ((8, 8), IndexConfig(bins=16)), ((16, 8), IndexConfig(bins=8, node_values=False))])
+def test_wide_nodes_at_once_as_one_by_one(fan, cfg):
+    import math
+
+    import pyarrow as pa
+
+    from gridmask.operators import tree as T
+
+    rng, n, n_slots = np.random.default_rng(4), 50, math.prod(fan)
+    nodes = []
+    for g in range(n):
+        kids = []
+        for s in sorted(rng.choice(n_slots, rng.integers(2, n_slots), replace=False)):
+            e = np.unique(rng.integers(0, 20 + 100 * (g % 5), rng.integers(1, 18))).astype(float)
+            spread = g % 3 > 0 and len(e) > 1 and rng.random() < 0.7
+            kids.append((s, e[0], e[-1], int(rng.integers(1, 9)), e, rng.integers(0, 5, len(e) - spread).astype(float)))
+        nodes.append(kids)
+    flat = [k for kids in nodes for k in kids]
+    slot, low, high, cells = (np.array([k[i] for k in flat]) for i in range(4))
+    owner = np.repeat(np.arange(n), [len(kids) for kids in nodes])
+    every = T.Children(owner, slot, low, high, cells, *(np.array([len(k[i]) for k in flat]) for i in (4, 5)), *(np.concatenate([k[i] for k in flat]) for i in (4, 5)))
+    wide = ~T.plain_nodes(every, n, cfg) & (T.bounds_of(every, n) > 1)
+    words, numbers = pa.list_(pa.int64()), pa.list_(pa.float64())
+    kinds = {"z": pa.int64(), "lo": words, "n_cells": pa.int64(), "vmin": pa.float64(), "vmax": pa.float64(), "edges": numbers, "weights": numbers, "plus": numbers, "started": pa.list_(words), "minus": numbers, "ended": pa.list_(words), "equal": pa.list_(words), "present": words}
+    z = np.arange(n)
+    got = T.wide_node_rows(z[wide], np.stack([z] * len(fan), axis=1)[wide], every.of(wide), n_slots, cfg, pa.schema(list(kinds.items()))).to_pylist()
+    assert wide.sum() > 30 and len(got) == wide.sum()
+    for row in got:
+        kids = dict(zip(("slot", "vmin", "vmax", "n_cells", "edges", "weights"), zip(*nodes[row["z"]])))
+        assert tuple(row.values()) == node_row(row["z"], row["lo"], kids, fan, cfg)
+
+
+def test_edges_of_many_nodes_reduced_as_one_by_one():
+    from gridmask.functions import edges as E
+
+    rng = np.random.default_rng(6)
+    for bins in (2, 3, 8, 16):
+        rows = [np.unique(rng.integers(0, 400, rng.integers(bins + 3, 120))).astype(float) for _ in range(60)]
+        rows = [e for e in rows if len(e) > bins + 1]
+        masses = [rng.integers(0, 9, len(e) - 1).astype(float) ** rng.integers(1, 3) for e in rows]
+        n, most = np.array([len(e) for e in rows]), max(map(len, rows))
+        edges, mass = np.full((len(rows), most), np.inf), np.zeros((len(rows), most - 1))
+        for i, (e, m) in enumerate(zip(rows, masses)):
+            edges[i, : len(e)], mass[i, : len(m)] = e, m
+        kept = E.reduce_equi_depth_many(edges, n, mass, bins)
+        for e, m, k in zip(rows, masses, kept):
+            assert e[k].tolist() == E.reduce_equi_depth(e, m, bins).tolist()
+
+
+def test_raw_rows_collapse_as_they_are_dealt(spark):
+    import pandas as pd
+    from pyspark.sql import functions as F
+
+    rng = np.random.default_rng(7)
+    rows = spark.createDataFrame(pd.DataFrame({"x": rng.integers(0, 160, 3000), "y": rng.integers(3, 123, 3000), "value": rng.random(3000)}))
+    cells = rows.groupBy("x", "y").agg(F.max("value").alias("value"))
+    cfg = IndexConfig(bins=4, fanout=(2, 2), part_cells=30)
+    index = build_index(rows, fit_spec(rows, ["x", "y"], (4, 4)), cfg, raw=True)
+    plain = build_index(cells, fit_spec(cells, ["x", "y"], (4, 4)), cfg)
+    assert index.spec == plain.spec and index.spec.n_cells == cells.count() < 3000 and index.state["parts"] == plain.state["parts"]
+    for name in ("cells", *(f"level={k}" for k in range(index.height + 1))):
+        assert sorted(map(str, index.read(name).collect())) == sorted(map(str, plain.read(name).collect()))
+    # parts are many: what is made of a part's children is one file
+    assert index.part_level > 1 and len(index.parts) >= 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    files = index.level(1).select(F.input_file_name().alias("f")).distinct().count()
+    assert files == len(index.parts)
+
+
 def test_middle_of_a_bin_as_by_all_inner_edges():
     rng = np.random.default_rng(5)
     for _ in range(300):
