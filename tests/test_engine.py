@@ -662,6 +662,38 @@ def test_raw_rows_collapse_as_they_are_dealt(spark):
     assert files == len(index.parts)
 
 
+def test_raw_rows_collapse_in_a_linear_index_and_few_answers_are_broadcast(spark):
+    import pandas as pd
+    from pyspark.sql import functions as F
+
+    rng = np.random.default_rng(8)
+    rows = spark.createDataFrame(pd.DataFrame({"x": rng.integers(0, 20_000, 2000), "y": rng.integers(5, 20_000, 2000), "value": rng.random(2000)}))
+    rows = rows.unionByName(rows.withColumn("value", F.col("value") / 2)).repartition(3)
+    cells = rows.groupBy("x", "y").agg(F.max("value").alias("value"))
+    index = B.build_linear(rows, fit_spec(rows, ["x", "y"], (32, 32)), ["x", "y", "value"], 8, raw=True)
+    plain = B.build_linear(cells, fit_spec(cells, ["x", "y"], (32, 32)), ["x", "y", "value"], 8)
+    assert index.spec.n_cells == cells.count() < rows.count()
+    for name in ("cells", "bitmaps"):
+        assert sorted(map(str, getattr(index, name).collect())) == sorted(map(str, getattr(plain, name).collect()))
+    q = ArrayQuery({"x": C.between(100, 9000), "y": C.between(50, 7000)}, C.between(0.2, 0.9))
+    found = B.dim_columns(index, q)
+    assert index.blocks * B.block_cells(index.spec) // 4 > Q.MOST_BROADCAST
+    assert "BroadcastHashJoin" in found._jdf.queryExecution().sparkPlan().toString()
+    assert sorted(map(tuple, found.collect())) == sorted(map(tuple, B.scan(cells, index.spec, q).collect()))
+    none = B.dim_columns(index, ArrayQuery({"x": C.between(100, 9000)}, C.between(5.0, 6.0)))
+    assert none.count() == 0
+
+
+def test_edges_of_many_values_are_equally_deep(spark):
+    from pyspark.sql import functions as F
+
+    cells = spark.range(300_000).select((F.col("id") * 7919 % 300_000).alias("k"), F.expr("CASE WHEN id % 2 = 0 THEN 3.0D ELSE sqrt(id) END").alias("value"))
+    edges = B.global_edges(cells, ["k", "value"], 16)
+    assert len(edges["k"]) == 17 and (edges["k"][0], edges["k"][-1]) == (0, 299_999)
+    assert np.abs(np.diff(edges["k"]) - 300_000 / 16).max() < 200
+    assert 3.0 in edges["value"] and len(edges["value"]) < 17  # half of all values are one
+
+
 def test_middle_of_a_bin_as_by_all_inner_edges():
     rng = np.random.default_rng(5)
     for _ in range(300):
