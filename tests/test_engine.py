@@ -99,6 +99,17 @@ def test_edge_reduction():
     assert a > b >= c
 
 
+def test_exchange_begins_with_all_bins_and_ends_no_worse():
+    rng = np.random.default_rng(21)
+    for _ in range(40):
+        edges = np.unique(rng.exponential(50, rng.integers(1, 40)))
+        mass, bins = rng.exponential(1, max(1, len(edges) - 1)) ** 2, int(rng.integers(2, 9))
+        begin, depth = E.begin_equi_depth(edges, mass, bins), E.reduce_equi_depth(edges, mass, bins)
+        assert set(begin) <= set(edges) and begin[0] == edges[0] and begin[-1] == edges[-1] and len(begin) == min(bins + 1, len(edges))
+        a, b = (E.wsse(E.merged_mass(edges, mass, kept), bins) for kept in (begin, depth))
+        assert b <= a + 1e-9 * (1 + a)
+
+
 def test_v_optimal_is_optimal():
     rng = np.random.default_rng(3)
     for _ in range(20):
