@@ -17,7 +17,8 @@ from pyspark.sql import SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, In, InputPartition, LessThan, LessThanOrEqual
 from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
-from ..operators.linear import slot_z, step_bits
+from ..model import ArraySpec
+from ..operators.linear import bits_below, code_layout, slot_z
 
 
 def _opened(path: str) -> tuple[fs.FileSystem, str]:
@@ -37,7 +38,8 @@ class IndexReader(DataSourceReader):
         with store.open_input_stream(max(found)) as f:
             self.state = json.loads(f.read())
         self.spec, self.config = json.loads(self.state["spec"]), self.state["config"]
-        self.step = step_bits(self.config["fanout"])
+        self.layout = code_layout(ArraySpec.from_json(self.state["spec"]).grid, self.config["fanout"], self.state["height"])
+        self.below = bits_below(self.layout)
         self.bounds: dict[str, list[float]] = {}
 
     def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:
@@ -67,7 +69,7 @@ class IndexReader(DataSourceReader):
         if name != "cells" and level >= k and level > 0:
             folders = [f"{at}/{name}/gen={self.state['top']}"]
         else:
-            parts = sorted({z >> ((k - level) * self.step) for z in zs})
+            parts = sorted({z >> (self.below[k] - self.below[level]) for z in zs})
             folders = [f"{at}/{name}/gen={self.state['parts'][str(p)]}/part={p}" for p in parts if str(p) in self.state["parts"]]
         files = [i.path for f in folders for i in store.get_file_info(fs.FileSelector(f)) if i.base_name.endswith(".parquet")]
         if not files:
@@ -93,7 +95,8 @@ class IndexReader(DataSourceReader):
                         found.append(z)
                     else:
                         bits = sum((w & ((1 << 64) - 1)) << (64 * i) for i, w in enumerate(present[0]))
-                        found += [z << self.step | own for i, own in enumerate(slot_z(fanout)) if bits >> i & 1]
+                        own = self.layout[level - 1]
+                        found += [z << sum(own) | digit for i, digit in enumerate(slot_z(fanout, own)) if bits >> i & 1]
         return sorted(found)
 
     def partitions(self) -> Sequence[InputPartition]:

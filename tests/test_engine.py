@@ -508,6 +508,48 @@ def test_five_dimensions_fit_the_code(spark):
             assert {tuple(r)[:5] for r in Q.range_query(index, q, leaves=leaves).collect()} == hits
 
 
+def test_codes_leave_out_digits_of_dimensions_at_their_end(spark):
+    """Two children along each of five dimensions of unequal sides: 15 levels of five bits would not fit a code."""
+    from pyspark.sql import functions as F
+
+    from gridmask.sources.index_source import register
+
+    spec, fan = ArraySpec((Dim("a", 0, 1_200_000), Dim("b", 0, 60_000), Dim("c", 0, 84), Dim("d", 0, 7), Dim("e", 0, 50)), "value", (64, 32, 16, 4, 16)), (2,) * 5
+    layout = linear.code_layout(spec.grid, fan, 15)
+    assert [sum(own) for own in layout] == [5, 4, 3, *[2] * 8, *[1] * 4]
+    assert linear.code_layout(spec.grid, (8, 8, 2, 2, 2), 5) == [[3, 3, 1, 1, 1]] * 5
+    rng = random.Random(8)
+    want = {tuple(rng.randrange(d.hi) for d in spec.dims): float(i) for i in range(240)} | {tuple(d.hi - 1 for d in spec.dims): 500.0}
+
+    def frame(cells):
+        return spark.createDataFrame([(*at, v) for at, v in cells.items()], "a long, b long, c long, d long, e long, value double")
+
+    cells = frame(want)
+    coded = cells.select(*spec.names, linear.z_code(linear.chunk_coords(spec), fan, 15, layout).alias("z")).toPandas()
+    for d, k, at in zip(spec.names, spec.chunk, linear.decode_z(coded["z"].to_numpy(), fan, 15, layout)):
+        assert (at == coded[d].to_numpy() // k).all()
+    box, top = ArrayQuery({"a": C.between(90_000, 900_000), "d": C.at_least(2)}, C.between(20.0, 250.0)), ArrayQuery({"c": C.at_least(64)}, C.at_least(100.0))
+
+    def check(index, queries):
+        for q in queries:
+            hits = {at for at, v in want.items() if (90_000 <= at[0] < 900_000 and at[3] >= 2 and 20 <= v < 250 if q is box else at[2] >= 64 and v >= 100)}
+            assert {tuple(r)[:5] for r in Q.range_query(index, q).collect()} == hits
+
+    index = build_index(cells, spec, IndexConfig(fanout=fan, part_cells=16))
+    assert max(index.parts) < 1 << index.bits(index.height, index.part_level)
+    check(index, (box, top))
+    index.dense_rows = 0
+    check(index, (box,))
+    index.dense_rows = 4096
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    register(spark)
+    read = spark.read.format("gridmask").option("index", index.path.removeprefix("file://")).load()
+    assert {tuple(r)[:5] for r in read.where("a >= 90000 and c < 40").collect()} == {at for at in want if at[0] >= 90_000 and at[2] < 40}
+    # beyond the digits that a dimension has: all codes are others
+    want[7, 7, 300, 6, 7] = 302.0
+    check(A.append(index, frame({(7, 7, 300, 6, 7): 302.0})), (top,))
+
+
 @pytest.mark.parametrize("below", [None, 0, 12, 10**6])
 @pytest.mark.parametrize("rule", ["equi_depth", "equi_width"])
 def test_leaves_at_once_equal_leaves_one_by_one(rule, below):
