@@ -9,6 +9,7 @@ passed by; an empty table gives an empty result.
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -42,9 +43,24 @@ def sample_by_class(rows: DataFrame, label: str, per_class: int) -> DataFrame:
     return picked.orderBy(F.xxhash64(*rows.columns), *rows.columns).limit(2 * per_class * len(counts))
 
 
+def letters_of(texts: list[str]) -> frozenset[str]:
+    """The letters that occur, in lower case."""
+    return frozenset(c for c in set().union(*(t.lower() for t in texts)) if c.isalpha())
+
+
 class LanguageModel:
-    def __init__(self, languages: list[str], net: ByteConv | None) -> None:
-        self.languages, self.net = languages, net
+    """letters: those of the taught texts; none: any letter counts as taught."""
+
+    def __init__(self, languages: list[str], net: ByteConv | None, letters: frozenset[str] = frozenset()) -> None:
+        self.languages, self.net, self.letters = languages, net, letters
+
+    def taught_share(self, text: str) -> float:
+        """Share of the text's letters that occur in taught texts."""
+        lower = text.lower()
+        if not self.letters or not any(c.isalpha() for c in set(lower) - self.letters):
+            return 1.0
+        counts = {c: n for c, n in Counter(lower).items() if c.isalpha()}
+        return sum(n for c, n in counts.items() if c in self.letters) / sum(counts.values())
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
         names, scores = [UNKNOWN] * len(texts), np.zeros(len(texts))
@@ -70,7 +86,7 @@ def train(docs: DataFrame, per_language: int = 500, epochs: int = 6) -> Language
     weights = 1 / np.bincount(y)[y]
     net = ByteConv(len(languages), window=160, filters=8, hidden=16)
     net.fit([r.text.lower().encode("utf-8", "surrogatepass") for r in rows], y, weights * len(y) / len(languages), epochs=epochs)
-    return LanguageModel(languages, net)
+    return LanguageModel(languages, net, letters_of([r.text for r in rows]))
 
 
 def predict(docs: DataFrame, model: LanguageModel) -> DataFrame:
@@ -97,18 +113,19 @@ def identify(docs: DataFrame) -> DataFrame:
     return predict(docs, model).select("doc_id", F.coalesce(in_held_out_fold(), F.lit(False)).alias("held_out"), "lang_pred", "score")
 
 
-def undecided(model: LanguageModel, margin: float = 1.25) -> float:
-    """The score below which a prediction is hardly better than an even guess among the learned languages."""
-    return margin / max(2, len(model.languages))
+#: The network knows no language but the learned ones and divides every text among them. A text is in one of them where
+#: this one has more than all others together.
+MAJORITY = 0.5
 
 
 def known_language(docs: DataFrame, model: LanguageModel, floor: float | None = None, languages: tuple[str, ...] | None = None) -> DataFrame:
     """Filter: the rows whose text has a letter and a language, at a score of at least floor; columns as they were.
 
-    floor None: undecided(model). languages: only these stay (None: every learned one). A model without languages has no
-    ground to reject a text with letters.
+    The score here is the network's times the share of the text's letters that taught texts have, so that a text in another
+    script, which the network may well take for a language of its own, has no language. floor None: MAJORITY. languages:
+    only these stay (None: every learned one). A model without languages has no ground to reject a text with letters.
     """
-    least = undecided(model) if floor is None else floor
+    least = MAJORITY if floor is None else floor
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -119,7 +136,7 @@ def known_language(docs: DataFrame, model: LanguageModel, floor: float | None =
                 if shared.value.net is None:
                     keep = [has_letter(t) for t in texts]
                 else:
-                    keep = [n != UNKNOWN and bool(s >= least) and (languages is None or n in languages) for n, s in zip(*shared.value.predict(texts))]
+                    keep = [n != UNKNOWN and bool(s * shared.value.taught_share(t) >= least) and (languages is None or n in languages) for t, n, s in zip(texts, *shared.value.predict(texts))]
                 yield b.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

@@ -34,6 +34,17 @@ def test_language_stage_without_taught_texts(spark):
     assert sorted(r.doc_id for r in language_id.known_language(docs, model, floor=0.5).collect()) == [0, 3]
 
 
+def test_language_stage_rejects_texts_in_no_learned_language(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").where("lang is not null")
+    odd = ["Это обычный русский текст о погоде и городе. " * 4, "这是一个关于天气和城市的普通中文文本。" * 6, "これは天気についての文章です。" * 6, "xqzt vvrk jjpw qqxz " * 10, "a8f3e09c1d77 " * 15]
+    more = spark.createDataFrame([(10**6 + i, t, None, "s", len(t)) for i, t in enumerate(odd)], SCHEMA)
+    kept = {r.doc_id for r in corpus_pipeline.by_language(spark, docs.unionByName(more), "").select("doc_id").collect()}
+    taught = {r.doc_id for r in docs.select("doc_id").collect()}
+    assert not kept - taught and len(kept) >= 0.99 * len(taught)
+    model = language_id.LanguageModel(["en"], None, language_id.letters_of(["Abc", "é 1"]))
+    assert model.letters == set("abcé") and [model.taught_share(t) for t in ("CAB 12!", "éж", "жж 1")] == [1, 0.5, 0]
+
+
 def write_tables(spark, folder, rows, labels=()):
     schema = "doc_id long, text string, lang string, source string, n_chars long, score string, sequence_id string"
     spark.createDataFrame([(i, t, None, "s", None, "clash", "clash") for i, t in rows], schema).write.mode("overwrite").parquet(f"{folder}/documents.parquet")
