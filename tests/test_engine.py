@@ -567,6 +567,33 @@ def test_leaves_at_once_equal_leaves_one_by_one(rule, below):
         assert {r[0]: r for r in got} == want and len(got) == len(want)
 
 
+@pytest.mark.parametrize("encoding", ["range", "interval", "equality"])
+def test_bitmap_leaves_at_once_equal_leaves_one_by_one(encoding):
+    rng, spec = np.random.default_rng(5), ArraySpec((Dim("x", 3, 500), Dim("y", 7, 300)), "value", (16, 8))
+    for bins, below, codec in ((2, 0, "wah"), (5, 40, "wah"), (16, 0, "wah"), (16, 30, "raw")):
+        cfg = IndexConfig(bins=bins, fanout=(4, 4), list_below=below, leaf_encoding=encoding, codec=codec)
+        want, parts = {}, []
+        for z in range(60):
+            no = rng.choice(128, 128 if z % 9 == 0 else rng.integers(1, 128), replace=False).astype(np.int32)
+            v = rng.integers(0, rng.choice([1, 4, 20, 1000]), len(no)) / 2.0
+            at = linear.decode_z(z, (4, 4), 6)
+            want[z] = leaf_row(z, [d.lo + a * c for d, a, c in zip(spec.dims, at, spec.chunk)], no, v, spec, cfg)
+            parts.append((np.full(len(no), z), no, v))
+        got = [tuple(r.values()) for b in leaf_rows(*map(np.concatenate, zip(*parts)), spec, cfg, 6) for r in b.to_pylist()]
+        assert {r[0]: r for r in got} == want and len(got) == len(want)
+
+
+@pytest.mark.parametrize("codec", sorted(CODECS))
+def test_bitmaps_from_ones_equal_bitmaps_from_bits(codec):
+    rng = np.random.default_rng(6)
+    for n in (1, 31, 62, 100, 124, 32768):
+        maps = [rng.random(n) < p for p in (0, 0.001, 0.05, 0.5, 0.97, 1, 0)] + [np.arange(n) // 31 % 3 > 0]
+        row, place = np.nonzero(np.stack(maps))
+        mixed = rng.permutation(len(row))
+        ends, data = CODECS[codec].encode_ones(n, len(maps), row[mixed], place[mixed])
+        assert [data[a:b] for a, b in zip([0, *ends], ends)] == [CODECS[codec].encode(m) for m in maps]
+
+
 def test_linear_index_lists_blocks_of_few_cells(spark):
     """A wide array of few cells a block keeps three rows a block instead of some dozens; answers are as before."""
     rng = random.Random(9)
